@@ -1,6 +1,6 @@
 """Quality classifier with hierarchical empirical Bayes over hosts and paths.
 
-A logistic model on word presence and a few text ratios, fitted on a bounded labelled sample, gives
+A logistic model on the presence of words and word beginnings and a few text ratios, fitted on a bounded labelled sample, gives
 each document's own evidence. All documents' evidence (labels where there are any) is summed by path
 and host; beta-binomial posteriors shrink a path towards its host and a host towards the global
 rate, with strengths from the method of moments over all sites. A document's posterior log-odds are
@@ -29,8 +29,15 @@ _FOLD = bytes(c + 32 if 65 <= c <= 90 else c if c >= 128 or 48 <= c <= 57 or 97
 RATIOS = ["short", "symbols", "upper", "marks", "repeats", "dup_lines", "digits"]
 
 
-def words_of(text: str | None) -> set[bytes]:
-    return set((text or "").encode("utf-8", "surrogatepass").translate(_FOLD).split())
+PREFIXES = (4, 5, 6, 7)
+
+
+def words_of(text: str | None) -> set[str]:
+    """The words of a text in lower case, and their beginnings (marked by ``*``)."""
+    folded = (text or "").lower().encode("utf-8", "replace").translate(_FOLD).decode("utf-8", "replace")
+    words = set(folded.split())
+    starts = {w[:k] for w in words for k in PREFIXES if len(w) > k}
+    return words | {x + "*" for x in starts}
 
 
 def ratios_of(texts: list) -> np.ndarray:
@@ -41,7 +48,7 @@ def ratios_of(texts: list) -> np.ndarray:
 
 @dataclass
 class DocumentModel:
-    words: list[bytes] = field(default_factory=list)
+    words: list[str] = field(default_factory=list)
     weights: np.ndarray = field(default_factory=lambda: np.zeros(len(RATIOS)))
     bias: float = 0.0
     rate: float = 0.0
@@ -89,7 +96,7 @@ def fit(docs: DataFrame, flags: DataFrame, max_train: int = 6000, max_words: int
 
     def seen(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for b in batches:
-            df: dict[bytes, list[int]] = {}
+            df: dict[str, list[int]] = {}
             for t, bad in zip(b["text"], b["bad"]):
                 for w in words_of(t):
                     df.setdefault(w, [0, 0])[bad] += 1
@@ -97,8 +104,8 @@ def fit(docs: DataFrame, flags: DataFrame, max_train: int = 6000, max_words: int
 
     p1, p0 = (F.col("n1") + 0.5) / (n1 + 1), (F.col("n0") + 0.5) / (n0 + 1)
     z = (p1 - p0) / F.sqrt(p1 * (1 - p1) / n1 + p0 * (1 - p0) / n0)
-    df = sample.mapInPandas(seen, "w binary, n0 long, n1 long").groupBy("w").agg(F.sum("n0").alias("n0"), F.sum("n1").alias("n1"))
-    words = [bytes(r["w"]) for r in df.where(F.col("n0") + F.col("n1") >= min_docs).orderBy(F.abs(z).desc(), "w").limit(max_words).collect()]
+    df = sample.mapInPandas(seen, "w string, n0 long, n1 long").groupBy("w").agg(F.sum("n0").alias("n0"), F.sum("n1").alias("n1"))
+    words = [r["w"] for r in df.where(F.col("n0") + F.col("n1") >= min_docs).orderBy(F.abs(z).desc(), "w").limit(max_words).collect()]
     model = DocumentModel(words, np.zeros(len(words) + len(RATIOS)), 0.0, n1 / (n1 + n0))
 
     def features(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
