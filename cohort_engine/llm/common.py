@@ -5,6 +5,8 @@ from __future__ import annotations
 import tempfile
 import uuid
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -59,6 +61,69 @@ def join_small(big: DataFrame, side: DataFrame, on, how: str, max_rows: int) ->
     return big.join(F.broadcast(side) if small(side, max_rows) else side, on, how)
 
 
+def hash_longs(x: np.ndarray, salt=0) -> np.ndarray:
+    """A 64-bit mix of int64 keys with a salt; the same in ``BitFilter.of`` and in Python scans."""
+    h = (x.view(np.uint64) ^ (np.asarray(salt, np.uint64) * np.uint64(0x9E3779B97F4A7C15))) * np.uint64(0xC2B2AE3D27D4EB4F)
+    h = (h ^ (h >> np.uint64(29))) * np.uint64(0x165667B19E3779F9)
+    return (h ^ (h >> np.uint64(32))).view(np.int64)
+
+
+class BitFilter:
+    """A bit for each hash bucket of a set of 64-bit keys; never misses one, may pass others."""
+
+    def __init__(self, words: np.ndarray):
+        self.words = words
+
+    @classmethod
+    def of(cls, keys: DataFrame, columns, max_bits: int = 1 << 30, per_key: int = 16) -> BitFilter:
+        """A filter of one long column, or of (salt, long); its size follows the keys up to ``max_bits``, whatever the data.
+
+        Filled on the executors in blocks of 64 Ki bits.
+        """
+        names = [columns] if isinstance(columns, str) else list(columns)
+        n = max(keys.count(), 1)
+        bits = 1 << min(max_bits.bit_length() - 1, max(16, (per_key * n - 1).bit_length()))
+
+        def places(batches):
+            for b in batches:
+                salt = b[names[0]].to_numpy(np.int64).view(np.uint64) if len(names) > 1 else 0
+                at = hash_longs(b[names[-1]].to_numpy(np.int64), salt) & np.int64(bits - 1)
+                yield pd.DataFrame({"at": (at & 0xFFFF).astype(np.int32), "block": (at >> 16).astype(np.int32)})
+
+        def fill(g: pd.DataFrame) -> pd.DataFrame:
+            x = np.zeros(1 << 16, dtype=np.uint8)
+            x[g["at"].to_numpy()] = 1
+            return pd.DataFrame({"block": [g["block"].iloc[0]], "bits": [np.packbits(x, bitorder="little").tobytes()]})
+
+        out = np.zeros(bits // 8, dtype=np.uint8).reshape(-1, 8192)
+        filled = keys.select(*names).mapInPandas(places, "at int, block int").groupBy("block").applyInPandas(fill, "block int, bits binary")
+        for r in filled.toLocalIterator():
+            out[r["block"]] = np.frombuffer(r["bits"], dtype=np.uint8)
+        return cls(out.ravel())
+
+    def has(self, hashed: np.ndarray) -> np.ndarray:
+        """For ``hash_longs`` of keys."""
+        at = hashed & np.int64(8 * len(self.words) - 1)
+        return (self.words[at >> 3] >> (at & 7).astype(np.uint8)) & 1 == 1
+
+    def keep(self, df: DataFrame, column: str) -> DataFrame:
+        """Rows of ``df`` whose key may be in the set."""
+        shared = df.sparkSession.sparkContext.broadcast(self.words)
+
+        def run(batches):
+            f = BitFilter(shared.value)
+            for b in batches:
+                yield b.filter(_mask(f.has(hash_longs(b.column(column).to_numpy()))))
+
+        return df.mapInArrow(run, df.schema)
+
+
+def _mask(ok):
+    import pyarrow as pa
+
+    return pa.array(ok)
+
+
 def hex_order(seed: int, *cols):
     """A seeded pseudo-random order that other SQL engines can repeat."""
     return F.md5(F.concat_ws(":", F.lit(str(seed)), *[F.col(c).cast("string") for c in cols]))

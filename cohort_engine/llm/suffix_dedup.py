@@ -29,7 +29,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialise
+from .common import BitFilter, hash_longs, join_small, materialise
 
 WINDOW, GRAM = 100, 32
 _MIX = (np.random.default_rng(99).integers(0, 2**63, 256, dtype=np.int64).astype(np.uint64) << np.uint64(1)) | np.uint64(1)
@@ -180,69 +180,67 @@ def gram_counts(docs: DataFrame) -> DataFrame:
     return docs.select("text").mapInPandas(run, "gram long, n long").groupBy("gram").agg(F.sum("n").alias("n"))
 
 
-def gram_filter(grams: DataFrame, max_bits: int = 1 << 30) -> np.ndarray:
-    """A bit per hash bucket of ``grams``; its size follows their number up to ``max_bits``, whatever the data."""
-    n = max(grams.count(), 1)
-    bits = 1 << min(max_bits.bit_length() - 1, max(16, (16 * n - 1).bit_length()))
-    at = f"(gram & {bits - 1}L)"
-    words = grams.selectExpr(f"cast(shiftright({at}, 5) as int) as w", f"shiftleft(1L, cast({at} & 31 as int)) as b").groupBy("w").agg(F.bit_or("b").alias("b")).toPandas()
-    out = np.zeros(bits // 32, dtype=np.uint32)
-    out[words["w"].to_numpy()] = words["b"].to_numpy(np.int64).astype(np.uint32)
-    return out
+def runs_in(docs: DataFrame, grams: BitFilter, heads: BitFilter | None = None) -> DataFrame:
+    """gram, code, doc_id, s, windows of the runs whose gram passes; ``code`` is the hash of their bytes.
 
-
-def repeated_runs(docs: DataFrame, bits: np.ndarray) -> DataFrame:
-    """gram, code, doc_id, s, windows, body of the runs whose gram passes the filter; ``code`` is the body's hash."""
-    shared = docs.sparkSession.sparkContext.broadcast(bits)
+    With ``heads`` (a filter of xxhash of doc_id and s), only those runs, and their bytes as body.
+    """
+    shared = docs.sparkSession.sparkContext.broadcast((grams.words, heads.words if heads else None))
+    names = ["gram", "code", "doc_id", "s", "windows", *(["body"] if heads else [])]
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        table = shared.value
-        mask = np.uint64(32 * len(table) - 1)
+        by_gram, by_head = (BitFilter(w) if w is not None else None for w in shared.value)
         for b in batches:
-            rows, held = [], 0
+            rows = []
             for doc_id, text in zip(b["doc_id"], b["text"]):
                 raw = _bytes(text)
                 g, first, last, _ = runs_of(raw)
-                at = (g & mask).astype(np.int64)
-                keep = np.flatnonzero((table[at >> 5] >> (at & 31).astype(np.uint32)) & np.uint32(1))
+                keep = by_gram.has(hash_longs(g.view(np.int64)))
+                if by_head is not None:
+                    keep &= by_head.has(hash_longs(first, np.uint64(doc_id & 0xFFFFFFFFFFFFFFFF)))
                 data = raw.tobytes()
-                for k in keep.tolist():
+                for k in np.flatnonzero(keep).tolist():
                     body = data[first[k] : last[k] + WINDOW]
-                    rows.append((int(g[k].view(np.int64)), xxhash.xxh3_64_intdigest(body) - 2**63, doc_id, int(first[k]), int(last[k] - first[k] + 1), body))
-                held += len(keep)
-                if held > 20_000:
-                    yield pd.DataFrame(rows, columns=["gram", "code", "doc_id", "s", "windows", "body"])
-                    rows, held = [], 0
+                    row = (int(g[k].view(np.int64)), xxhash.xxh3_64_intdigest(body) - 2**63, doc_id, int(first[k]), int(last[k] - first[k] + 1))
+                    rows.append((*row, body) if heads else row)
+                if len(rows) > 20_000:
+                    yield pd.DataFrame(rows, columns=names)
+                    rows = []
             if rows:
-                yield pd.DataFrame(rows, columns=["gram", "code", "doc_id", "s", "windows", "body"])
+                yield pd.DataFrame(rows, columns=names)
 
-    return docs.select(F.col("doc_id").cast("long"), "text").mapInPandas(run, "gram long, code long, doc_id long, s long, windows long, body binary")
+    return docs.select(F.col("doc_id").cast("long"), "text").mapInPandas(run, "gram long, code long, doc_id long, s long, windows long" + (", body binary" if heads else ""))
 
 
-def removed_spans(docs: DataFrame, max_classes: int = 20_000, task_bytes: int = 8 << 20) -> DataFrame:
+def removed_spans(docs: DataFrame, max_classes: int = 20_000, task_bytes: int = 3 << 20, max_broadcast: int = 1_000_000) -> DataFrame:
     """doc_id, s, e: byte spans covered by windows that also start earlier (spans may overlap)."""
-    text = docs.where("text is not null").select("doc_id", "text")
-    grams = materialise(gram_counts(text).where("n > 1").select("gram"), "repeat_grams")
-    runs = materialise(repeated_runs(text, gram_filter(grams)), "repeat_runs")
+    text = docs.where("text is not null and doc_id is not null").select("doc_id", "text")
+    grams = BitFilter.of(materialise(gram_counts(text).where("n > 1").select("gram"), "repeat_grams"), "gram")
+    runs = materialise(runs_in(text, grams), "repeat_runs")
     first = F.min(F.struct("doc_id", "s", "windows")).alias("f")
     classes = materialise(runs.groupBy("gram", "code").agg(first, F.count("*").alias("n")).select("gram", "code", "f.doc_id", "f.s", "f.windows", "n"), "repeat_classes")
     many = classes.where("n > 1").select("gram", "code", F.col("doc_id").alias("d0"), F.col("s").alias("s0"))
-    later = runs.select("gram", "code", "doc_id", "s", "windows").join(many, ["gram", "code"]).where("doc_id != d0 or s != s0")
+    later = runs.join(many, ["gram", "code"]).where("doc_id != d0 or s != s0")
     copies = later.select("doc_id", "s", (F.col("s") + F.col("windows") - 1 + WINDOW).alias("e"))
     per = materialise(classes.groupBy("gram").agg(F.count("*").alias("k"), F.sum(F.col("windows") + WINDOW).alias("bytes")).where("k > 1"), "repeat_per_gram")
-    usual = per.where(F.col("k") <= max_classes)
-    total = usual.agg(F.sum("bytes")).collect()[0][0] or 0
-    buckets = int(total // task_bytes) + 1
-    heads = classes.join(per.select("gram", "k"), "gram").select("gram", "code", "doc_id", "s", "k")
-    bodies = runs.join(heads, ["gram", "code", "doc_id", "s"]).select("gram", "doc_id", "s", "windows", "body", "k")
-    few = bodies.where(F.col("k") <= max_classes).withColumn("bucket", F.pmod(F.xxhash64("gram"), F.lit(buckets)).cast("int"))
+    buckets = int((per.where(F.col("k") <= max_classes).agg(F.sum("bytes")).collect()[0][0] or 0) // task_bytes) + 1
+    heads = classes.join(per.select("gram"), "gram", "left_semi").select("doc_id", "s")
+    # what passes the filter by chance is a real occurrence, later than its class's first: harmless
+    bodies = runs_in(text, grams, BitFilter.of(heads, ["doc_id", "s"]))
+    wide_grams = materialise(per.where(F.col("k") > max_classes).select("gram"), "repeat_wide")
+    any_wide = wide_grams.limit(1).count() > 0
+    if any_wide:  # read twice
+        bodies = materialise(bodies, "repeat_bodies")
+    few = (join_small(bodies, wide_grams, "gram", "left_anti", max_broadcast) if any_wide else bodies).withColumn("bucket", F.pmod(F.xxhash64("gram"), F.lit(buckets)).cast("int"))
 
     def task(g: pd.DataFrame) -> pd.DataFrame:
         doc, at, body = g["doc_id"].to_numpy(np.int64), g["s"].to_numpy(np.int64), list(g["body"])
         k, off = repeated(body, doc, at)
         return _spans(doc[k], at[k] + off)
 
-    merged = few.groupBy("bucket").applyInPandas(task, "doc_id long, s long, e long")
+    merged = few.select("bucket", "doc_id", "s", "body").groupBy("bucket").applyInPandas(task, "doc_id long, s long, e long")
+    if not any_wide:
+        return copies.unionByName(merged)
 
     def windows(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for b in batches:
@@ -250,10 +248,10 @@ def removed_spans(docs: DataFrame, max_classes: int = 20_000, task_bytes: int =
                 rows = [(d, s + o, xxhash.xxh3_128_digest(x[o : o + WINDOW])) for d, s, n, x in b.iloc[a : a + 2000][["doc_id", "s", "windows", "body"]].itertuples(index=False) for o in range(n)]
                 yield pd.DataFrame(rows, columns=["doc_id", "s", "w"])
 
-    wide = bodies.where(F.col("k") > max_classes).mapInPandas(windows, "doc_id long, s long, w binary")
+    wide = join_small(bodies, wide_grams, "gram", "left_semi", max_broadcast).mapInPandas(windows, "doc_id long, s long, w binary")
     lead = wide.groupBy("w").agg(F.min(F.struct("doc_id", "s")).alias("f"), F.count("*").alias("n")).where("n > 1").select("w", F.col("f.doc_id").alias("d0"), F.col("f.s").alias("s0"))
     hot = wide.join(lead, "w").where("doc_id != d0 or s != s0").select("doc_id", "s", (F.col("s") + WINDOW).alias("e"))
-    return copies.unionByName(merged).unionByName(hot) if per.where(F.col("k") > max_classes).limit(1).count() else copies.unionByName(merged)
+    return copies.unionByName(merged).unionByName(hot)
 
 
 def _mask(n: int, s, e) -> np.ndarray:
@@ -263,11 +261,14 @@ def _mask(n: int, s, e) -> np.ndarray:
     return np.cumsum(edge[:-1]) > 0
 
 
-def deduplicate(docs: DataFrame, with_text: bool = False, **options) -> DataFrame:
+def deduplicate(docs: DataFrame, with_text: bool = False, max_broadcast: int = 2_000_000, **options) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans, kept_sha256 and, if asked for, kept (the bytes left)."""
-    spans = removed_spans(docs, **options).groupBy("doc_id").agg(F.collect_list(F.struct("s", "e")).alias("spans"))
-    spans = materialise(spans, "repeat_spans")
-    joined = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(spans, "doc_id", "left").select("doc_id", "text", F.col("spans.s").alias("s"), F.col("spans.e").alias("e"))
+    found = removed_spans(docs, **options).groupBy("doc_id").agg(F.collect_list(F.struct("s", "e")).alias("spans"))
+    found = materialise(found, "repeat_spans")
+    text = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
+    ids = found.select("doc_id")
+    whole = join_small(text, ids, "doc_id", "left_anti", max_broadcast).select("doc_id", "text", F.lit(None).cast("array<long>").alias("s"), F.lit(None).cast("array<long>").alias("e"))
+    part = join_small(text, ids, "doc_id", "left_semi", max_broadcast).join(found, "doc_id").select("doc_id", "text", F.col("spans.s").alias("s"), F.col("spans.e").alias("e"))
     schema = "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string" + (", kept binary" if with_text else "")
 
     def cut(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
@@ -283,4 +284,4 @@ def deduplicate(docs: DataFrame, with_text: bool = False, **options) -> DataFram
                 rows.append((doc_id, len(left) + gone, gone, n, hashlib.sha256(left).hexdigest(), *((left,) if with_text else ())))
             yield pd.DataFrame(rows, columns=[x.strip().split()[0] for x in schema.split(",")])
 
-    return joined.mapInPandas(cut, schema)
+    return whole.mapInPandas(cut, schema).unionByName(part.mapInPandas(cut, schema))
