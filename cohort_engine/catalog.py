@@ -1,13 +1,492 @@
-"""Registered queries of the cohort methods and their DuckDB equivalents."""
+"""Registered queries of the cohort methods and their DuckDB equivalents (each written by another route)."""
 
+from __future__ import annotations
 
-def entry(spark, sf_dir):
-    raise NotImplementedError
+from pyspark.sql import functions as F
+
+from .functions.randomness import gauss_sql, rank_sql, unit_sql
+from .operators import blocks, campaigns, features, hashing, mode_split, neighbours, similarity
+from .operators.features import BASKETS_SQL, DOCS_SQL, EMBED_SQL
+from .plans import workloads
+from .sources.tables import read_table
+
+SEED, P, K, ROUNDS = 7, 1.2, 20, 12
+_Q, _SQL = {}, {}
+
+
+def query(sql: str | None = None):
+    def add(f):
+        _Q[f.__name__] = f
+        if sql:
+            _SQL[f.__name__] = sql
+        return f
+
+    return add
 
 
 def queries():
-    return {}
+    return dict(_Q)
 
 
 def oracle_sql():
-    return {}
+    return dict(_SQL)
+
+
+def _users(spark, sf):
+    return read_table(spark, sf, "customer").select(F.col("c_custkey").alias("user_id"))
+
+
+def _pairs(v, step: int = 37):
+    """Each user with the one ``step`` ids on."""
+    u = v.select("user_id").distinct()
+    return u.select(F.col("user_id").alias("a"), (F.col("user_id") + step).alias("b")).join(u.select(F.col("user_id").alias("b")), "b").select("a", "b")
+
+
+def entry(spark, sf):
+    v = features.baskets(spark, sf)
+    c = mode_split.mode_split(v, _users(spark, sf), k=5, rounds=ROUNDS, p=P, seed=SEED)
+    return c.assignments.orderBy("user_id")
+
+
+_PAIRS = "(select a.user_id as a, b.user_id as b from (select distinct user_id from v) a join (select distinct user_id from v) b on b.user_id = a.user_id + 37)"
+_BV = f"with v as ({BASKETS_SQL})"
+_DV = f"with v as ({DOCS_SQL})"
+_EV = f"with v as ({EMBED_SQL})"
+
+
+@query(BASKETS_SQL)
+def vectors_baskets(spark, sf):
+    return features.baskets(spark, sf)
+
+
+@query(DOCS_SQL)
+def vectors_docs(spark, sf):
+    return features.doc_terms(spark, sf)
+
+
+@query("select user_id, event_type || ':' || ((props->>'k')::int // 10) as feature, sum(value::decimal(18,4))::double as weight from events group by 1, 2 having sum(value::decimal(18,4)) > 0")
+def vectors_clicks(spark, sf):
+    k = F.get_json_object("props", "$.k").cast("int")
+    e = read_table(spark, sf, "events").select("user_id", F.concat_ws(":", "event_type", F.floor(k / 10).cast("string")).alias("feature"), F.col("value").cast("decimal(18,4)").alias("x"))
+    return e.groupBy("user_id", "feature").agg(F.sum("x").cast("double").alias("weight")).where("weight > 0")
+
+
+def _embed(spark, sf):
+    return features.split_signs(read_table(spark, sf, "embeddings"), "vec_id", "embedding")
+
+
+@query(EMBED_SQL)
+def split_signs(spark, sf):
+    return _embed(spark, sf)
+
+
+@query(f"{_BV} select user_id, feature, 1.0::double as weight from v")
+def binarise(spark, sf):
+    return features.binarise(features.baskets(spark, sf))
+
+
+@query(f"{_BV} select user_id, feature, weight * case when feature like 's:%' then 3.0 else 1.0 end as weight from v")
+def reweight(spark, sf):
+    v = features.baskets(spark, sf)
+    imp = v.where("feature like 's:%'").select("feature").distinct().withColumn("importance", F.lit(3.0))
+    return features.reweight(v, imp)
+
+
+@query(f"{_BV} select user_id, feature, weight from (select *, row_number() over (partition by user_id order by weight desc, feature) as r from v) where r <= 5")
+def top_features(spark, sf):
+    return features.top_features(features.baskets(spark, sf), 5)
+
+
+@query(f"{_BV} select count(distinct user_id) as n, count(distinct feature) as d, count(*) as nnz, max(weight) as max_weight, round(count(*)::double / count(distinct user_id) / count(distinct feature), 9) as density from v")
+def vector_stats(spark, sf):
+    return features.vector_stats(features.baskets(spark, sf))
+
+
+def _kernel_sql(head: str, p: float, digits: int = 6) -> str:
+    return f"""{head}, p as {_PAIRS},
+        f as (select p.a, p.b, x.feature, pow(x.weight, {p}) as x, 0.0 as y from p join v x on x.user_id = p.a
+              union all select p.a, p.b, y.feature, 0.0, pow(y.weight, {p}) from p join v y on y.user_id = p.b),
+        g as (select a, b, feature, max(x) as x, max(y) as y from f group by 1, 2, 3)
+        select a, b, round(sum(least(x, y)) / sum(greatest(x, y)), {digits}) as similarity from g group by 1, 2"""
+
+
+def _rounded(df, name="similarity"):
+    return df.withColumn(name, F.round(name, 6))
+
+
+@query(_kernel_sql(_BV, 1.0))
+def weighted_jaccard_pairs(spark, sf):
+    v = features.baskets(spark, sf)
+    return _rounded(similarity.minmax_kernel(v, _pairs(v)))
+
+
+@query(_kernel_sql(_BV, P))
+def minmax_kernel_pairs(spark, sf):
+    v = features.baskets(spark, sf)
+    return _rounded(similarity.minmax_kernel(v, _pairs(v), P))
+
+
+@query(_kernel_sql(_EV, 1.0))
+def signed_kernel_pairs(spark, sf):
+    v = _embed(spark, sf)
+    return _rounded(similarity.minmax_kernel(v, _pairs(v)))
+
+
+@query(_kernel_sql(f"with v as (select user_id, feature, 1.0 as weight from ({BASKETS_SQL}))", 1.0))
+def jaccard_pairs(spark, sf):
+    v = features.binarise(features.baskets(spark, sf))
+    return _rounded(similarity.minmax_kernel(v, _pairs(v)))
+
+
+@query(f"""{_BV}, n as (select user_id, sqrt(sum(weight * weight)) as t from v group by 1), p as {_PAIRS},
+    m as (select p.a, p.b, sum(x.weight * y.weight) as s from p join v x on x.user_id = p.a join v y on y.user_id = p.b and y.feature = x.feature group by 1, 2)
+    select p.a, p.b, round(coalesce(s, 0) / u.t / w.t, 6) as similarity from p left join m using (a, b) join n u on u.user_id = p.a join n w on w.user_id = p.b""")
+def cosine_pairs(spark, sf):
+    v = features.baskets(spark, sf)
+    return _rounded(similarity.cosine(v, _pairs(v)))
+
+
+_TEN = list(range(1, 11))
+
+
+@query(f"{_BV} " + hashing.weighted_sql("v", _TEN, P, SEED))
+def weighted_sample(spark, sf):
+    return hashing.weighted_samples(features.baskets(spark, sf), _TEN, P, SEED)
+
+
+def _sig_sql(head: str, samples: str, value: str) -> str:
+    return f"{head}, s as ({samples}) select user_id, string_agg(({value})::varchar, '|' order by round) as sig from s group by 1"
+
+
+def _flat(df):
+    return df.select("user_id", F.array_join(F.transform("sig", lambda x: x.cast("string")), "|").alias("sig"))
+
+
+_MIN = f"select user_id, round, min({rank_sql(SEED, 'round', 'feature')}) as h from v cross join (select unnest({_TEN}) as round) group by 1, 2"
+_DOT = f"select user_id, round, sum(weight * {gauss_sql(SEED, 'round', 'feature')}) as dot from v cross join (select unnest({_TEN}) as round) group by 1, 2"
+
+
+@query(_sig_sql(_BV, hashing.weighted_sql("v", _TEN, P, SEED), "feature || ':' || level"))
+def weighted_signature(spark, sf):
+    s = hashing.weighted_samples(features.baskets(spark, sf), _TEN, P, SEED)
+    return _flat(hashing.signature(s, F.concat_ws(":", "feature", F.col("level").cast("string"))))
+
+
+@query(_sig_sql(_BV, hashing.weighted_sql("v", _TEN, P, SEED), "feature"))
+def zero_bit_signature(spark, sf):
+    return _flat(hashing.signature(hashing.weighted_samples(features.baskets(spark, sf), _TEN, P, SEED), F.col("feature")))
+
+
+@query(_sig_sql(_BV, _MIN, "h"))
+def minwise_signature(spark, sf):
+    return _flat(hashing.signature(hashing.minwise(features.baskets(spark, sf), _TEN, SEED), F.col("h")))
+
+
+@query(_sig_sql(_BV, _MIN, "h & 3"))
+def bbit_signature(spark, sf):
+    return _flat(hashing.signature(hashing.minwise(features.baskets(spark, sf), _TEN, SEED), F.col("h").bitwiseAND(3)))
+
+
+@query(f"""{_BV}, d as (select user_id, {rank_sql(SEED, "'0'", 'feature')} as st from v), e as (select user_id, round, ((st + round * 104729) % 281474976710656)::varchar as moved from d cross join (select unnest({_TEN}) as round)),
+    s as (select user_id, round, min({rank_sql(SEED, "'1'", 'moved')}) as h from e group by 1, 2) select user_id, string_agg(h::varchar, '|' order by round) as sig from s group by 1""")
+def circulant_signature(spark, sf):
+    return _flat(hashing.signature(hashing.circulant_minwise(features.baskets(spark, sf), _TEN, SEED), F.col("h")))
+
+
+@query(f"""{_BV}, r as (select user_id, {rank_sql(SEED, "'0'", 'feature')} as h from v), d as (select user_id, h % 16 as bin, min(h) as h from r group by 1, 2),
+    k as (select user_id, slot, d.h, (bin - slot + 16) % 16 as far, row_number() over (partition by user_id, slot order by (bin - slot + 16) % 16) as place from d cross join (select unnest(range(16)) as slot))
+    select user_id, string_agg(h || '+' || far, '|' order by slot) as sig from k where place = 1 group by 1""")
+def one_permutation_signature(spark, sf):
+    return _flat(hashing.one_permutation(features.baskets(spark, sf), 16, SEED))
+
+
+@query(_sig_sql(_BV, _DOT, "case when dot >= 0 then 1 else 0 end"))
+def sign_bits(spark, sf):
+    return _flat(hashing.signature(hashing.sign_bits(features.baskets(spark, sf), _TEN, SEED), F.col("bit")))
+
+
+_W = "'w'"
+
+
+@query(_sig_sql(_BV, _DOT, f"floor((dot + 50.0 * {unit_sql(SEED, 'round', 'offset', _W)}) / 50.0)::bigint"))
+def quantised_projection(spark, sf):
+    return _flat(hashing.signature(hashing.quantised(features.baskets(spark, sf), _TEN, 50.0, SEED), F.col("cell")))
+
+
+@query(f"""{_BV}, s as ({hashing.weighted_sql('v', list(range(1, 51)), P, SEED)}), p as {_PAIRS}
+    select p.a, p.b, round(avg(case when x.feature = y.feature then 1.0 else 0.0 end), 6) as estimate
+    from p join s x on x.user_id = p.a join s y on y.user_id = p.b and y.round = x.round group by 1, 2""")
+def estimate_similarity(spark, sf):
+    v = features.baskets(spark, sf)
+    h = workloads.signatures(v, "weighted", 50, P, SEED)
+    return _rounded(similarity.estimate(h, _pairs(v)), "estimate")
+
+
+@query()
+def estimator_error(spark, sf):
+    """Collision estimates of 100 full samples against the exact kernel."""
+    v = features.baskets(spark, sf)
+    s = hashing.weighted_samples(v, list(range(1, 101)), P, SEED)
+    h = hashing.signature(s, F.concat_ws("|", "feature", F.col("level").cast("string")))
+    return similarity.estimation_error(similarity.estimate(h, _pairs(v)), similarity.minmax_kernel(v, _pairs(v), P))
+
+
+def split_sql(vectors: str = BASKETS_SQL, users: str = "select c_custkey as user_id from customer", first: str = "'0'", k: int = K, rounds: int = ROUNDS, p: float = P, seed: int = SEED, key: str = "feature", strict: bool = False, final: str = "select user_id, cohort_id from l{n}") -> str:
+    """Consecutive splitting unrolled as chained CTEs, modal keys by row_number."""
+    least = k + 1 if strict else k
+    parts = [f"v as ({vectors})", f"h as materialized ({hashing.weighted_sql('v', list(range(1, rounds + 1)), p, seed)})", f"l0 as (select user_id, {first} as cohort_id from ({users}))"]
+    value = "h.feature" if key == "feature" else "h.feature || '|' || h.level"
+    for r in range(1, rounds + 1):
+        parts += [
+            f"k{r} as (select l.user_id, l.cohort_id, {value} as key from l{r - 1} l left join h on h.user_id = l.user_id and h.round = {r})",
+            f"c{r} as (select cohort_id, key, count(*) as n, sum(count(*)) over (partition by cohort_id) as total, row_number() over (partition by cohort_id order by count(*) desc, key nulls last) as place from k{r} group by 1, 2)",
+            f"d{r} as (select cohort_id, key, n, total - n as rest from c{r} where place = 1 and n >= {least} and total - n >= {least})",
+            f"l{r} as materialized (select k.user_id, case when d.cohort_id is null then k.cohort_id when k.key is not distinct from d.key then k.cohort_id || '/{r}m' else k.cohort_id || '/{r}r' end as cohort_id from k{r} k left join d{r} d using (cohort_id))",
+        ]
+    return "with " + ", ".join(parts) + " " + final.replace("{n}", str(rounds))
+
+
+def _split(spark, sf, **options):
+    return mode_split.mode_split(features.baskets(spark, sf), _users(spark, sf), **({"k": K, "rounds": ROUNDS, "p": P, "seed": SEED} | options))
+
+
+@query(split_sql())
+def mode_split_baskets(spark, sf):
+    return _split(spark, sf).assignments
+
+
+@query(split_sql())
+def mode_split_global(spark, sf):
+    """Every round as cluster-wide aggregates: the same tree."""
+    return _split(spark, sf, local_limit=0, block=12).assignments
+
+
+@query(split_sql(key="level"))
+def mode_split_pair_key(spark, sf):
+    return _split(spark, sf, key="feature_level").assignments
+
+
+@query(split_sql(strict=True))
+def mode_split_strict(spark, sf):
+    return _split(spark, sf, strict=True).assignments
+
+
+_REGION = "select c_custkey as user_id, 'r' || n_regionkey as first_id from customer join nation on c_nationkey = n_nationkey"
+
+
+@query(split_sql(users=_REGION, first="first_id"))
+def mode_split_initial(spark, sf):
+    c = read_table(spark, sf, "customer").join(read_table(spark, sf, "nation"), F.col("c_nationkey") == F.col("n_nationkey"))
+    return _split(spark, sf, initial=c.select(F.col("c_custkey").alias("user_id"), F.concat(F.lit("r"), F.col("n_regionkey").cast("string")).alias("cohort_id"))).assignments
+
+
+@query(split_sql(vectors=f"select user_id, feature, weight * case when feature like 's:%' then 3.0 else 1.0 end as weight from ({BASKETS_SQL})"))
+def mode_split_importance(spark, sf):
+    return mode_split.mode_split(reweight(spark, sf), _users(spark, sf), K, ROUNDS, P, SEED).assignments
+
+
+@query(split_sql(final="select * from (" + " union all ".join(f"select {r}::int as round, cohort_id as parent, key, n as n_matched, rest::bigint as n_rest from d{r}" for r in range(1, ROUNDS + 1)) + ")"))
+def split_log(spark, sf):
+    return _split(spark, sf).split_log
+
+
+@query(split_sql(rounds=1))
+def split_round(spark, sf):
+    u = _users(spark, sf).withColumn("cohort_id", F.lit("0"))
+    s = hashing.weighted_samples(features.baskets(spark, sf), [1], P, SEED).select("user_id", F.col("feature").alias("key"))
+    at = mode_split.shared_write(u.join(s, "user_id", "left"), "round")
+    return mode_split.relabel(at, mode_split.decisions(at, K), 1).select("user_id", "cohort_id")
+
+
+@query(split_sql(final="select cohort_id, sha256(string_agg(user_id::varchar, ',' order by user_id)) as content_id from l{n} group by 1"))
+def content_ids(spark, sf):
+    return campaigns.content_ids(_split(spark, sf).assignments)
+
+
+def _blocks_sql(sig: str, k: int = K) -> str:
+    return f"""{_BV}, s as ({sig}), b as (select user_id, row_number() over (order by s, user_id) - 1 as r, count(*) over () as n from (select user_id, list(x order by round) as s from s group by 1))
+        select user_id, least(r // {k}, greatest(n // {k}, 1) - 1)::varchar as cohort_id from b"""
+
+
+@query(_blocks_sql(f"select user_id, round, case when dot >= 0 then 1 else 0 end as x from ({_DOT})"))
+def sorted_blocks_sign(spark, sf):
+    return blocks.sorted_blocks(workloads.signatures(features.baskets(spark, sf), "sign", 10, seed=SEED), K)
+
+
+@query(_blocks_sql(f"select user_id, round, h as x from ({_MIN})"))
+def sorted_blocks_minwise(spark, sf):
+    return blocks.sorted_blocks(workloads.signatures(features.baskets(spark, sf), "minwise", 10, seed=SEED), K)
+
+
+@query(_blocks_sql(f"select user_id, round, feature as x from ({hashing.weighted_sql('v', _TEN, P, SEED)})"))
+def sorted_blocks_weighted(spark, sf):
+    return blocks.sorted_blocks(workloads.signatures(features.baskets(spark, sf), "weighted", 10, P, SEED), K)
+
+
+@query(f"{_BV}, s as ({hashing.weighted_sql('v', [1], P, SEED)}) select user_id, feature as cohort_id from s")
+def raw_buckets(spark, sf):
+    return blocks.raw_buckets(workloads.signatures(features.baskets(spark, sf), "weighted", 1, P, SEED))
+
+
+@query("select c_custkey as user_id, (('0x' || substr(md5('7:' || c_custkey), 1, 12))::BIGINT % 64)::varchar as cohort_id from customer")
+def random_groups(spark, sf):
+    return blocks.random_groups(_users(spark, sf), 64, SEED)
+
+
+_TAIL = ", a as (select user_id, cohort_id from l{n}), z as (select cohort_id, count(*) as members from a group by 1) "
+
+
+def _tail(sql: str) -> str:
+    return split_sql(final=_TAIL + sql).replace(")  , a as", "), a as").replace(") , a as", "), a as")
+
+
+@query(_tail("select cohort_id, feature, round(count(*) / max(members)::double, 9) as share, round(sum(weight) / max(members), 6) as mean_weight, max(members) as members from v join a using (user_id) join z using (cohort_id) group by 1, 2"))
+def cohort_identity(spark, sf):
+    return campaigns.cohort_identity(_split(spark, sf).assignments, features.baskets(spark, sf)).withColumn("share", F.round("share", 9)).withColumn("mean_weight", F.round("mean_weight", 6))
+
+
+@query(_tail("select members, count(*) as cohorts, round(sum(count(*)) over (order by members)::double / sum(count(*)) over (), 9) as cdf from z group by 1"))
+def size_cdf(spark, sf):
+    return campaigns.size_cdf(_split(spark, sf).assignments).withColumn("cdf", F.round("cdf", 9))
+
+
+@query(_tail(f"select min(members) as least, quantile_cont(members, 0.5) as p50, round(quantile_cont(members, 0.95), 9) as p95, round(quantile_cont(members, 0.99), 9) as p99, max(members) as most, round(avg(case when members between {K} and {2 * K} then 1.0 else 0.0 end), 9) as in_band from z"))
+def size_percentiles(spark, sf):
+    d = campaigns.size_percentiles(_split(spark, sf).assignments, K)
+    return d.withColumns({c: F.round(c, 9) for c in ("p95", "p99", "in_band")})
+
+
+_AUDIT = f"select min(members) as least, sum((members < {K})::bigint)::bigint as cohorts_below, sum(case when members < {K} then members else 0 end)::bigint as users_below, round(avg(1.0 / members), 9) as risk_mean, round(max(1.0 / members), 9) as risk_most, 0::bigint as missing, 0::bigint as doubled from z"
+
+
+@query(_tail(_AUDIT))
+def anonymity_audit(spark, sf):
+    d = campaigns.anonymity_audit(_split(spark, sf).assignments, _users(spark, sf), K)
+    return d.withColumns({c: F.round(c, 9) for c in ("risk_mean", "risk_most")})
+
+
+@query("with z as (select ('0x' || substr(md5('7:' || c_custkey), 1, 12))::BIGINT % 64 as c, count(*) as members from customer group by 1) " + _AUDIT)
+def random_groups_audit(spark, sf):
+    d = campaigns.anonymity_audit(random_groups(spark, sf), _users(spark, sf), K)
+    return d.withColumns({c: F.round(c, 9) for c in ("risk_mean", "risk_most")})
+
+
+_SEG = "c as (select distinct feature as campaign_id, feature, 1.0 as min_weight from v where feature like 's:%' union all select distinct feature, feature, 100.0 from v where feature like 'b:%')"
+
+
+def _camps(v):
+    seg = v.where("feature like 's:%' or feature like 'b:%'").select("feature").distinct()
+    return seg.select(F.col("feature").alias("campaign_id"), "feature", F.when(F.col("feature").startswith("b:"), 100.0).otherwise(1.0).alias("min_weight"))
+
+
+@query(f"{_BV}, {_SEG} select campaign_id, user_id from v join c using (feature) where weight >= min_weight")
+def match_users(spark, sf):
+    v = features.baskets(spark, sf)
+    return campaigns.match_users(_camps(v), v)
+
+
+_MATCH = f", {_SEG}, m as (select campaign_id, user_id from v join c using (feature) where weight >= min_weight), a as (select user_id, cohort_id from l{{n}}), z as (select cohort_id, count(*) as members from a group by 1), mc as (select campaign_id, cohort_id, count(*) as matched, max(members) as members, count(*) >= 0.5 * max(members) as hit from m join a using (user_id) join z using (cohort_id) group by 1, 2) "
+_COUNTS = _MATCH + ", cc as (select campaign_id, sum(case when hit then matched else 0 end)::bigint as tp, sum(case when hit then members - matched else 0 end)::bigint as fp, sum(case when hit then 0 else matched end)::bigint as fn from mc group by 1) "
+
+
+def _matched(spark, sf, rule="share"):
+    v = features.baskets(spark, sf)
+    return campaigns.match_cohorts(campaigns.match_users(_camps(v), v), _split(spark, sf).assignments, rule)
+
+
+def _after(sql: str) -> str:
+    return split_sql(final=sql).replace(") , ", "), ")
+
+
+@query(_after(_MATCH + "select campaign_id, cohort_id, matched, members, hit from mc"))
+def match_cohorts(spark, sf):
+    return _matched(spark, sf)
+
+
+@query(_after(_COUNTS + "select campaign_id, tp, fp, fn, tp + fp as audience, round(tp / nullif(tp + fn, 0)::double, 9) as recall from cc"))
+def campaign_counts(spark, sf):
+    return campaigns.campaign_counts(_matched(spark, sf)).withColumn("recall", F.round("recall", 9))
+
+
+@query(_after(_COUNTS + "select round(avg(tp / nullif(tp + fn, 0)::double), 9) as micro_recall, round(sum(tp) / sum(tp + fn)::double, 9) as macro_recall, round(sum(tp) / nullif(sum(tp + fp), 0)::double, 9) as \"precision\", count(*) as campaigns from cc"))
+def recall_of_split(spark, sf):
+    d = campaigns.recalls(campaigns.campaign_counts(_matched(spark, sf)))
+    return d.withColumns({c: F.round(c, 9) for c in ("micro_recall", "macro_recall", "precision")})
+
+
+@query(_after(_COUNTS + ", bb as (select *, ntile(4) over (order by tp + fn, campaign_id) as band from cc) select band::int as band, round(avg(tp / nullif(tp + fn, 0)::double), 9) as micro_recall, round(sum(tp) / sum(tp + fn)::double, 9) as macro_recall, count(*) as campaigns from bb group by 1"))
+def recall_by_audience(spark, sf):
+    d = campaigns.recall_by_audience(campaigns.campaign_counts(_matched(spark, sf)))
+    return d.withColumns({c: F.round(c, 9) for c in ("micro_recall", "macro_recall")})
+
+
+@query(_after(_MATCH + "select event_id as impression_id, cohort_id, campaign_id from events e join a on a.user_id = e.user_id join mc using (cohort_id) where hit"))
+def retrieve_campaigns(spark, sf):
+    c = _split(spark, sf).assignments
+    v = features.baskets(spark, sf)
+    hits = campaigns.match_cohorts(campaigns.match_users(_camps(v), v), c)
+    return campaigns.retrieve(read_table(spark, sf, "events").select(F.col("event_id").alias("impression_id"), "user_id"), c, hits)
+
+
+@query(_tail(f"select cohort_id, count(*) as conversions from events e join a on a.user_id = e.user_id join z using (cohort_id) where event_type = 'purchase' and members >= {K} group by 1"))
+def cohort_conversions(spark, sf):
+    e = read_table(spark, sf, "events").where("event_type = 'purchase'").select("user_id")
+    return campaigns.cohort_conversions(e, _split(spark, sf).assignments, K)
+
+
+@query(split_sql())
+def assign_new(spark, sf):
+    """Replaying the log over the same users gives the same cohorts."""
+    v = features.baskets(spark, sf)
+    s = hashing.weighted_samples(v, list(range(1, ROUNDS + 1)), P, SEED)
+    keys = _users(spark, sf).join(hashing.signature(s, F.col("feature")).withColumnRenamed("sig", "keys"), "user_id", "left")
+    return mode_split.assign_new(keys, _split(spark, sf).split_log)
+
+
+@query()
+def within_similarity(spark, sf):
+    return campaigns.within_similarity(_split(spark, sf).assignments, features.baskets(spark, sf), P)
+
+
+@query()
+def bucket_query(spark, sf):
+    """Ten nearest of every twentieth document from 25 bands of 2 min-wise slots."""
+    v = features.binarise(features.doc_terms(spark, sf))
+    index = neighbours.bucket_index(workloads.signatures(v, "minwise", 50), 25, 2)
+    return neighbours.bucket_query(index, v.where("user_id % 20 = 0").select("user_id").distinct(), v, 10)
+
+
+@query()
+def similar_pairs(spark, sf):
+    v = features.binarise(features.doc_terms(spark, sf))
+    return neighbours.similar_pairs(neighbours.bucket_index(workloads.signatures(v, "minwise", 48), 12, 4), v, 0.8)
+
+
+@query()
+def recall_table(spark, sf):
+    """All five methods on document vectors."""
+    v = features.doc_terms(spark, sf)
+    return workloads.compare(v, workloads.word_campaigns(v, K), K, rounds=64, lengths=(50,))
+
+
+@query()
+def p_sweep(spark, sf):
+    return workloads.p_sweep(features.baskets(spark, sf), _users(spark, sf), workloads.basket_campaigns(spark), [x / 10 for x in range(5, 16)], K, rounds=ROUNDS)
+
+
+@query()
+def kmeans_cohorts(spark, sf):
+    v = _embed(spark, sf)
+    return blocks.kmeans_cohorts(v, 20, dimensions=128)
+
+
+@query()
+def density_cohorts(spark, sf):
+    v = _embed(spark, sf)
+    pairs = similarity.minmax_kernel(v, _pairs(v, 1).union(_pairs(v, 2)).union(_pairs(v, 3)))
+    return blocks.density_cohorts(pairs, v.select("user_id").distinct(), 0.2, 2)
+
+
+@query()
+def agglomerative_cohorts(spark, sf):
+    return blocks.agglomerative_cohorts(_embed(spark, sf), K)
