@@ -8,11 +8,12 @@ document is little else. The order affects speed only.
 Round 1: each class goes, with its set, to the bucket of its first token that another class has.
 A bucket is a signature tree: its nodes hold the OR of their members' bitmaps, size ranges and
 collision excess; a dual traversal drops node pairs whose maximum possible overlap is too small,
-leaf pairs are verified exactly unless already united. Buckets above ``max_bucket`` are dealt to
+leaf pairs are verified exactly unless already united. A bucket of
+one leaf is compared at once, many buckets together. Buckets above ``max_bucket`` are dealt to
 parts, and the parts' representatives meet again in the next rounds.
 Round 2: only tokens whose classes lie in different components still matter. Their buckets are
 traversed with bitmaps alone to find the classes with a surviving partner; those then meet with
-their sets. Buckets above ``max_bucket`` are traversed in pairs of blocks. No pairs leave a task.
+their sets (of a one-leaf bucket, as pairs, each pair once). Buckets above ``max_bucket`` are traversed in pairs of blocks. So at most LEAF - 1 pairs a row leave a task.
 
 Edge cases: null and blank texts have no set and link with nothing; texts of fewer words than a
 shingle are one shingle; copies and repeated rows share a component; ids are expected to be keys
@@ -30,32 +31,52 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import components, join_small, materialise
+from .common import BitFilter, components, join_small, materialise
 
 BITS = 2048
 _M1, _M2, _M3 = (np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9))
 
 
+_BYTE = (np.random.default_rng(7).integers(0, 2**63, 256, dtype=np.int64).astype(np.uint64) << np.uint64(1)) | np.uint64(1)
+_BLANK = np.zeros(256, dtype=bool)
+_BLANK[[9, 10, 11, 12, 13, 32]] = True
+_P = 0x9E3779B97F4A7C15
+_POWERS: list[np.ndarray] = []
+
+
+def _powers(n: int) -> tuple[np.ndarray, np.ndarray]:
+    """P^i and P^-i modulo 2^64 for i < n or more."""
+    if not _POWERS or len(_POWERS[0]) < n:
+        size = max(4096, 1 << (n - 1).bit_length())
+        out = []
+        for p in (_P, pow(_P, -1, 1 << 64)):
+            x = np.full(size, p, dtype=np.uint64)
+            x[0] = 1
+            out.append(np.multiply.accumulate(x))
+        _POWERS[:] = out
+    return _POWERS[0], _POWERS[1]
+
+
 class Shingler:
-    """Sorted distinct shingle hashes of texts; word hashes are kept between texts."""
+    """Sorted distinct 64-bit shingle hashes of texts, from differences of one running polynomial over the bytes."""
 
     def __init__(self, words: int = 3):
-        self.words, self.known = words, {}
+        self.words = words
 
     def __call__(self, text: str | None) -> np.ndarray:
-        if not text:
-            return np.zeros(0, np.uint64)
-        tokens = text.encode("utf-8", "surrogatepass").lower().split()
-        known = self.known
-        if len(known) > 500_000:
-            known.clear()
-        for w in tokens:
-            if w not in known:
-                known[w] = xxhash.xxh64_intdigest(w)
-        h = np.fromiter(map(known.__getitem__, tokens), dtype=np.uint64, count=len(tokens))
-        k = min(self.words, len(h))
+        b = np.frombuffer((text or "").encode("utf-8", "surrogatepass").lower(), dtype=np.uint8)
+        solid = np.zeros(len(b) + 2, dtype=bool)
+        solid[1:-1] = ~_BLANK[b]
+        cut = np.flatnonzero(solid[1:] != solid[:-1])
+        first, last = cut[::2], cut[1::2]
+        k = min(self.words, len(first))
         if not k:
-            return h
+            return np.zeros(0, np.uint64)
+        up, down = _powers(len(b) + 1)
+        total = np.zeros(len(b) + 1, dtype=np.uint64)
+        np.cumsum(_BYTE[b] * up[: len(b)], out=total[1:])
+        h = (total[last] - total[first]) * down[first]
+        h = (h ^ (h >> np.uint64(32))) * _M3
         out = np.full(len(h) - k + 1, k, dtype=np.uint64)
         for i in range(k):
             out = (out ^ h[i : len(h) - k + 1 + i]) * _M1
@@ -155,7 +176,7 @@ def unite(sets: list[np.ndarray], lab: np.ndarray, percent: int) -> np.ndarray:
 
 
 def survivors(maps: np.ndarray, sizes: np.ndarray, comp: np.ndarray, percent: int) -> np.ndarray:
-    """Items with a partner in another component that the bounds cannot drop."""
+    """Items of one bucket with a partner in another component that the bounds cannot drop."""
     order = np.lexsort((maps[:, 0], sizes))
     keep = np.zeros(len(sizes), dtype=bool)
     for i, j in SignatureTree(maps[order], sizes[order]).pairs(percent):
@@ -165,37 +186,68 @@ def survivors(maps: np.ndarray, sizes: np.ndarray, comp: np.ndarray, percent: in
     return keep
 
 
-def scan(docs: DataFrame, percent: int = 90, words: int = 3, least: int = 2) -> DataFrame:
-    """Rows of documents (doc_id, n, fp) and, with fp null, of tokens seen at least ``least`` times in a batch (doc_id = token, n)."""
+LEAF = 48
+
+
+def leaf_pairs(starts: np.ndarray, sizes: np.ndarray, maps: np.ndarray, counts: np.ndarray, comp: np.ndarray, percent: int, chunk: int = 200_000) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """Pairs inside many buckets of one leaf each (``counts`` rows from ``starts``) that the bounds cannot drop."""
+    for k in np.unique(counts):
+        i, j = np.triu_indices(int(k), 1)
+        for part in np.array_split(starts[counts == k], max(1, int((counts == k).sum() * len(i) // chunk))):
+            a, b = (part[:, None] + i[None, :]).ravel(), (part[:, None] + j[None, :]).ravel()
+            ok = (comp[a] != comp[b]) & (100 * sizes[a] >= percent * sizes[b]) & (100 * sizes[b] >= percent * sizes[a])
+            a, b = a[ok], b[ok]
+            both = np.bitwise_count(maps[a] & maps[b]).sum(axis=1).astype(np.int64)
+            bits = [np.bitwise_count(maps[x]).sum(axis=1).astype(np.int64) for x in (a, b)]
+            most = np.minimum(sizes[a] - bits[0] + both, sizes[b] - bits[1] + both)
+            ok = most >= needed(sizes[a] + sizes[b], percent)
+            yield a[ok], b[ok]
+
+
+def _bounds(*columns: np.ndarray) -> np.ndarray:
+    """Starts of the groups of equal rows, and the end."""
+    n = len(columns[0])
+    new = np.ones(n + 1, dtype=bool)
+    new[1:-1] = np.any([c[1:] != c[:-1] for c in columns], axis=0)
+    return np.flatnonzero(new)
+
+
+def scan(docs: DataFrame, percent: int = 90, words: int = 3) -> DataFrame:
+    """Rows of documents (doc_id, n, fp) and, with fp null, of first tokens by hash (doc_id = token, n)."""
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         shingle = Shingler(words)
+        none = np.zeros(0, np.uint64)
         for b in batches:
             sets = [shingle(t) for t in b["text"]]
             fp = [xxhash.xxh128_digest(s.tobytes()) for s in sets]
             yield pd.DataFrame({"doc_id": b["doc_id"], "n": [len(s) for s in sets], "fp": fp})
-            small = [prefix_of(s, np.zeros(0, np.uint64), percent) for s in dict(zip(fp, sets)).values()]
-            tok, n = np.unique(np.concatenate(small), return_counts=True) if small else (np.zeros(0, np.uint64), np.zeros(0, int))
-            often = n >= least
-            yield pd.DataFrame({"doc_id": tok[often].view(np.int64), "n": n[often], "fp": None})
+            first = [prefix_of(s, none, percent) for s in dict(zip(fp, sets)).values()]
+            tok, n = np.unique(np.concatenate([*first, none]), return_counts=True)
+            for a in range(0, len(tok), 500_000):
+                yield pd.DataFrame({"doc_id": tok[a : a + 500_000].view(np.int64), "n": n[a : a + 500_000], "fp": None})
 
     return docs.select(F.col("doc_id").cast("long"), "text").mapInPandas(run, "doc_id long, n long, fp binary")
 
 
 def prefixes(docs: DataFrame, hot: np.ndarray, percent: int, words: int = 3) -> DataFrame:
-    """rep, tok: the prefix tokens of each document."""
+    """rep, n, tok, place: the prefix tokens of each document and its set's size."""
     shared = docs.sparkSession.sparkContext.broadcast(hot)
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         shingle = Shingler(words)
         for b in batches:
-            sets = [prefix_of(shingle(t), shared.value, percent) for t in b["text"]]
-            n = [len(s) for s in sets]
+            whole = [shingle(t) for t in b["text"]]
+            full = np.array([len(s) for s in whole], dtype=np.int64)
+            sets = [prefix_of(s, shared.value, percent) for s in whole]
+            k = [len(s) for s in sets]
             tok = np.concatenate([*sets, np.zeros(0, np.uint64)])
+            rep, n, place = np.repeat(b["doc_id"].to_numpy(), k), np.repeat(full, k), np.concatenate([np.arange(x, dtype=np.int32) for x in k])
             for a in range(0, len(tok), 500_000):
-                yield pd.DataFrame({"rep": np.repeat(b["doc_id"].to_numpy(), n)[a : a + 500_000], "tok": tok[a : a + 500_000].view(np.int64), "place": np.concatenate([np.arange(k) for k in n])[a : a + 500_000].astype(np.int32)})
+                e = a + 500_000
+                yield pd.DataFrame({"rep": rep[a:e], "n": n[a:e], "tok": tok[a:e].view(np.int64), "place": place[a:e]})
 
-    return docs.select("doc_id", "text").mapInPandas(run, "rep long, tok long, place int")
+    return docs.select("doc_id", "text").mapInPandas(run, "rep long, n long, tok long, place int")
 
 
 def shingle_sets(docs: DataFrame, words: int = 3) -> DataFrame:
@@ -211,18 +263,86 @@ def shingle_sets(docs: DataFrame, words: int = 3) -> DataFrame:
     return docs.select("doc_id", "text").mapInPandas(run, "rep long, s binary")
 
 
-def _unite_buckets(rows: DataFrame, percent: int) -> DataFrame:
-    """``rows`` (key, part, rep, comp, s) to rep, comp, n, map: united inside each (key, part)."""
+def _dealt(rows: DataFrame, key: str, each: int) -> DataFrame:
+    """``rows`` with a task number: all rows of a key in one, about ``each`` rows in a task."""
+    return rows.withColumn("task", F.pmod(F.xxhash64(key, "part"), F.lit(max(1, rows.count() // each))).cast("int"))
+
+
+def _unite_buckets(sets: DataFrame, rows: DataFrame, percent: int) -> DataFrame:
+    """``rows`` (key, part, rep, comp) with ``sets`` to rep, comp0, comp: united inside each (key, part)."""
 
     def one(g: pd.DataFrame) -> pd.DataFrame:
-        sets = [np.frombuffer(s, dtype=np.uint64) for s in g["s"]]
-        lab = unite(sets, g["comp"].to_numpy(np.int64), percent)
-        return pd.DataFrame({"rep": g["rep"], "comp0": g["comp"], "comp": lab, "n": [len(s) for s in sets], "map": [bitmap_of(s).tobytes() for s in sets]})
+        g = g.sort_values(["key", "part", "rep"])
+        cut = _bounds(g["key"].to_numpy(), g["part"].to_numpy())
+        comp = g["comp"].to_numpy(np.int64)
+        after = comp.copy()
+        for a, b in zip(cut, cut[1:]):
+            after[a:b] = unite([np.frombuffer(s, dtype=np.uint64) for s in g["s"].iloc[a:b]], comp[a:b], percent)
+        return pd.DataFrame({"rep": g["rep"], "comp0": comp, "comp": after})
+
+    return sets.join(_dealt(rows, "key", 300), "rep").groupBy("task").applyInPandas(one, "rep long, comp0 long, comp long")
 
-    return rows.groupBy("key", "part").applyInPandas(one, "rep long, comp0 long, comp long, n long, map binary")
 
+def _prune(maps: DataFrame, rows: DataFrame, percent: int, pairs: bool) -> DataFrame:
+    """What the bounds leave of ``rows`` (key, part, rep, comp): rows for ``_unite_buckets``, or, of buckets of one leaf, pairs."""
 
-def link_components(docs: DataFrame, percent: int = 90, words: int = 3, hot_df: int = 64, max_hot: int = 250_000, max_bucket: int = 4000, max_broadcast: int = 2_000_000) -> DataFrame:
+    def one(g: pd.DataFrame) -> pd.DataFrame:
+        g = g.sort_values(["key", "part", "rep"]).reset_index(drop=True)
+        m = np.stack([np.frombuffer(x, dtype=np.uint64) for x in g["map"]])
+        n, comp, rep = (g[c].to_numpy(np.int64) for c in ("n", "comp", "rep"))
+        cut = _bounds(g["key"].to_numpy(), g["part"].to_numpy())
+        size = np.diff(cut)
+        out = []
+        keep = np.zeros(len(g), dtype=bool)
+        small = size <= LEAF
+        for a, b in leaf_pairs(cut[:-1][small & (size > 1)], n, m, size[small & (size > 1)], comp, percent):
+            if pairs:
+                lo, hi = np.where(rep[a] < rep[b], a, b), np.where(rep[a] < rep[b], b, a)
+                out.append(pd.DataFrame({"rep": rep[lo], "comp": comp[lo], "rep2": rep[hi], "comp2": comp[hi]}).drop_duplicates())
+            else:
+                keep[a] = keep[b] = True
+        for a, b in zip(cut[:-1][~small], cut[1:][~small]):
+            keep[a:b] = survivors(m[a:b], n[a:b], comp[a:b], percent)
+        out.append(g.loc[keep, ["key", "part", "rep", "comp"]])
+        return pd.concat(out).reindex(columns=["key", "part", "rep", "comp", "rep2", "comp2"]).astype({"key": "Int64", "part": "Int32", "rep2": "Int64", "comp2": "Int64"})
+
+    return _dealt(rows, "key", 20_000).join(maps, "rep").groupBy("task").applyInPandas(one, "key long, part int, rep long, comp long, rep2 long, comp2 long")
+
+
+def _sized(rows: DataFrame, percent: int) -> DataFrame:
+    """``rows`` (key, part, rep, comp, n) without those that have no partner of a fitting size in their one-leaf bucket."""
+
+    def one(g: pd.DataFrame) -> pd.DataFrame:
+        g = g.sort_values(["key", "part", "rep"]).reset_index(drop=True)
+        cut = _bounds(g["key"].to_numpy(), g["part"].to_numpy())
+        size = np.diff(cut)
+        keep = np.repeat(size > LEAF, size)
+        some = (size > 1) & (size <= LEAF)
+        none = np.zeros((len(g), 1), dtype=np.uint64)
+        for a, b in leaf_pairs(cut[:-1][some], g["n"].to_numpy(np.int64), none, size[some], g["comp"].to_numpy(np.int64), percent):
+            keep[a] = keep[b] = True
+        return g.loc[keep, ["key", "part", "rep", "comp"]]
+
+    return _dealt(rows, "key", 50_000).groupBy("task").applyInPandas(one, "key long, part int, rep long, comp long")
+
+
+def _verify(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """a, b: components of the linked ones among ``pairs`` (rep, comp, rep2, comp2)."""
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for g in batches:
+            rows = []
+            for s, t, a, b in zip(g["s"], g["s2"], g["comp"], g["comp2"]):
+                x, y = np.frombuffer(s, dtype=np.uint64), np.frombuffer(t, dtype=np.uint64)
+                if len(x) + len(y) - len(np.union1d(x, y)) >= needed(len(x) + len(y), percent):
+                    rows.append((a, b))
+            yield pd.DataFrame(rows, columns=["a", "b"])
+
+    both = pairs.join(sets, "rep").join(sets.select(F.col("rep").alias("rep2"), F.col("s").alias("s2")), "rep2")
+    return both.select("s", "s2", "comp", "comp2").mapInPandas(run, "a long, b long")
+
+
+def link_components(docs: DataFrame, percent: int = 90, words: int = 3, hot_df: int = 4, max_hot: int = 1_000_000, max_bucket: int = 4000, max_broadcast: int = 2_000_000) -> DataFrame:
     """doc_id, n_shingles, component_id."""
     seen = materialise(scan(docs, percent, words), "jaccard_scan")
     members = seen.where("fp is not null")
@@ -234,48 +354,51 @@ def link_components(docs: DataFrame, percent: int = 90, words: int = 3, hot_df:
     text = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     own = join_small(text, others, "doc_id", "left_anti", max_broadcast)
     toks = materialise(prefixes(own, hot, percent, words), "jaccard_prefixes")
-    shared = toks.groupBy("tok").agg(F.min("rep").alias("lo"), F.max("rep").alias("hi"), F.count("*").alias("df")).where("lo != hi")
-    cand = materialise(toks.join(shared.select("tok", "df"), "tok"), "jaccard_candidates")
+    shared = materialise(toks.groupBy("tok").agg(F.min("rep").alias("lo"), F.max("rep").alias("hi")).where("lo != hi").select("tok"), "jaccard_shared")
+    cand = materialise(BitFilter.of(shared, "tok").keep(toks, "tok"), "jaccard_candidates")
     first = materialise(cand.groupBy("rep").agg(F.min_by(F.struct("tok"), F.struct("place", "tok")).alias("f")).select("rep", F.col("f.tok").alias("key")), "jaccard_first")
     size = first.groupBy("key").count()
     alone = size.where("count > 1").withColumn("parts", F.ceil(F.col("count") / max_bucket))
-    dealt = materialise(first.join(alone, "key").select("rep", "key", F.pmod(F.xxhash64("rep"), F.col("parts")).alias("part")), "jaccard_dealt")
+    dealt = materialise(first.join(alone, "key").select("rep", "key", F.pmod(F.xxhash64("rep"), F.col("parts")).cast("int").alias("part")), "jaccard_dealt")
+
+    pick = lambda ids: join_small(text, ids.select(F.col("rep").alias("doc_id")).distinct(), "doc_id", "left_semi", max_broadcast)
+    sets = lambda ids: shingle_sets(pick(ids), words)
+
+    def unite_of(rows: DataFrame) -> DataFrame:
+        live = materialise(_prune(bitmaps(pick(rows), words), rows, percent, False), "jaccard_live").drop("rep2", "comp2")
+        return materialise(_unite_buckets(sets(live), live, percent), "jaccard_met")
 
-    sets = lambda ids: shingle_sets(join_small(text, ids.select(F.col("rep").alias("doc_id")).distinct(), "doc_id", "left_semi", max_broadcast), words)
-    met = materialise(_unite_buckets(sets(dealt).join(dealt, "rep").withColumn("comp", F.col("rep")), percent).drop("comp0"), "jaccard_met")
+    met = unite_of(dealt.withColumn("comp", F.col("rep")))
     comp = met.select("rep", "comp")
     while dealt.where("part > 0").limit(1).count():  # the parts' representatives meet again
         heads = met.select(F.col("comp").alias("rep")).distinct()
         again = dealt.join(heads, "rep", "left_semi")
         sizes = again.groupBy("key").agg(F.count("*").alias("count"), F.max("part").alias("p")).where("p > 0").withColumn("parts", F.ceil(F.col("count") / max_bucket))
         before = again.count()
-        dealt = materialise(again.join(sizes, "key").select("rep", "key", F.pmod(F.xxhash64("rep", F.lit(1)), F.col("parts")).alias("part")), "jaccard_dealt")
-        top = materialise(_unite_buckets(sets(dealt).join(dealt, "rep").withColumn("comp", F.col("rep")), percent), "jaccard_met")
+        dealt = materialise(again.join(sizes, "key").select("rep", "key", F.pmod(F.xxhash64("rep", F.lit(1)), F.col("parts")).cast("int").alias("part")), "jaccard_dealt")
+        top = unite_of(dealt.withColumn("comp", F.col("rep")))
         moved = top.where("rep != comp").select(F.col("rep").alias("comp"), F.col("comp").alias("to"))
         comp = materialise(comp.join(moved, "comp", "left").select("rep", F.coalesce("to", "comp").alias("comp")), "jaccard_comp")
         met = top
         if dealt.count() >= before or not moved.limit(1).count():
             break
-    maps = None
     base = cand.select("rep").distinct().join(comp, "rep", "left").select("rep", F.coalesce("comp", "rep").alias("comp"))
     base = materialise(base, "jaccard_base")
     split = cand.join(base, "rep").groupBy("tok").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.count("*").alias("count")).where("lo != hi").select("tok", F.ceil(F.col("count") / max_bucket).cast("int").alias("blocks"))
-    left = materialise(cand.select("rep", "tok").join(split, "tok").join(base, "rep"), "jaccard_left")
-    maps = materialise(bitmaps(join_small(text, left.select(F.col("rep").alias("doc_id")).distinct(), "doc_id", "left_semi", max_broadcast), words), "jaccard_maps")
+    near = cand.select("rep", "tok", "n").join(split, "tok").join(base, "rep")
     b = F.pmod(F.xxhash64("rep"), F.col("blocks")).cast("int")
     mine = F.transform(F.sequence(F.lit(0), F.col("blocks") - 1), lambda k: F.least(b, k) * F.col("blocks") + F.greatest(b, k))
-    blocks = left.withColumn("part", F.explode(mine)).withColumnRenamed("tok", "key")
-
-    def prune(g: pd.DataFrame) -> pd.DataFrame:
-        m = np.stack([np.frombuffer(x, dtype=np.uint64) for x in g["map"]])
-        keep = survivors(m, g["n"].to_numpy(np.int64), g["comp"].to_numpy(), percent)
-        return g.loc[keep, ["key", "part", "rep", "comp"]]
-
-    live = materialise(blocks.join(maps, "rep").select("key", "part", "rep", "comp", "n", "map").groupBy("key", "part").applyInPandas(prune, "key long, part int, rep long, comp long"), "jaccard_live")
-    late = _unite_buckets(sets(live).join(live, "rep"), percent)
-    edges = late.where("comp != comp0").select(F.col("comp0").alias("a"), F.col("comp").alias("b"))
+    blocks = materialise(near.select("rep", "comp", "n", F.col("tok").alias("key"), F.explode(mine).alias("part")), "jaccard_met_late")
+    blocks = materialise(_sized(blocks, percent), "jaccard_blocks")
+    left = materialise(_prune(bitmaps(pick(blocks), words), blocks, percent, True), "jaccard_left")
+    pairs = materialise(left.where("rep2 is not null").select("rep", "comp", "rep2", "comp2").distinct(), "jaccard_pairs")
+    both = pairs.select("rep").union(pairs.select("rep2"))
+    edges = _verify(pairs, materialise(sets(both), "jaccard_sets"), percent)
+    live = left.where("rep2 is null").drop("rep2", "comp2")
+    late = _unite_buckets(sets(live), live, percent)
+    edges = edges.unionByName(late.where("comp != comp0").select(F.col("comp0").alias("a"), F.col("comp").alias("b")))
     up = components(edges)
-    final = base.where("comp != rep").unionByName(base.where("comp = rep")).join(up.withColumnRenamed("id", "comp"), "comp", "left").select("rep", F.coalesce("component", "comp").alias("component"))
+    final = base.join(up.withColumnRenamed("id", "comp"), "comp", "left").select("rep", F.coalesce("component", "comp").alias("component"))
     out = member.join(final, "rep", "left")
     return out.select("doc_id", F.col("n").alias("n_shingles"), F.coalesce("component", "rep").alias("component_id"))
 
