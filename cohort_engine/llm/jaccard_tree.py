@@ -31,7 +31,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import BitFilter, components, join_small, materialise
+from .common import BitFilter, components, discard, join_small, materialise
 
 BITS = 2048
 _M1, _M2, _M3 = (np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9))
@@ -356,6 +356,8 @@ def link_components(docs: DataFrame, percent: int = 90, words: int = 3, hot_df:
     toks = materialise(prefixes(own, hot, percent, words), "jaccard_prefixes")
     shared = materialise(toks.groupBy("tok").agg(F.min("rep").alias("lo"), F.max("rep").alias("hi")).where("lo != hi").select("tok"), "jaccard_shared")
     cand = materialise(BitFilter.of(shared, "tok").keep(toks, "tok"), "jaccard_candidates")
+    for used in (seen, toks, shared):
+        discard(used)
     first = materialise(cand.groupBy("rep").agg(F.min_by(F.struct("tok"), F.struct("place", "tok")).alias("f")).select("rep", F.col("f.tok").alias("key")), "jaccard_first")
     size = first.groupBy("key").count()
     alone = size.where("count > 1").withColumn("parts", F.ceil(F.col("count") / max_bucket))
