@@ -16,7 +16,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import WORD, hex_order, materialise
+from .common import WORD, hex_order, join_small, materialise
 
 
 def sizes(docs: DataFrame) -> DataFrame:
@@ -98,12 +98,12 @@ def mix(docs: DataFrame, weights=(1, 2, 3), max_repeat: int = 3, block: int = 16
     return s.select("doc_id", "size", "source_size", "target", (F.col("_passes") * F.col("size") + part).cast("long").alias("taken"), "source", "source_rank", "shard")
 
 
-def mixed_documents(docs: DataFrame, **options) -> DataFrame:
+def mixed_documents(docs: DataFrame, max_broadcast: int = 2_000_000, **options) -> DataFrame:
     """The documents the mix takes, whole, one row per repetition, with the columns of ``docs``.
 
     At most one document of a (source, shard) is taken in part; it is rounded to the nearer whole.
     """
     m = mix(docs, **options).where("taken > 0").select("doc_id", F.expr("cast(round(taken / size) as int)").alias("_copies")).where("_copies > 0")
-    m = m.groupBy("doc_id").agg(F.max("_copies").alias("_copies"))
-    out = docs.join(m, "doc_id").withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("_copies"))))
+    m = materialise(m.groupBy("doc_id").agg(F.max("_copies").alias("_copies")), "mix_copies")
+    out = join_small(docs, m, "doc_id", "inner", max_broadcast).withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("_copies"))))
     return out.select(*docs.columns)

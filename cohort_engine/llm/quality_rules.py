@@ -22,7 +22,7 @@ import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import hex_order, materialise
+from .common import hex_order, join_small, materialise
 
 BLANKS = b" \t\n\x0b\x0c\r"
 SYMBOLS = b"#*$%&|<>"
@@ -228,10 +228,10 @@ def judge(docs: DataFrame, labels: DataFrame, **options) -> DataFrame:
     return stats.select("doc_id", *COUNTS, failed.alias("base_failed"), (~failed & rules.expression()).alias("kept"))
 
 
-def keep_documents(docs: DataFrame, labels: DataFrame, **options) -> DataFrame:
+def keep_documents(docs: DataFrame, labels: DataFrame, max_broadcast: int = 2_000_000, **options) -> DataFrame:
     """``docs`` without those that are rejected; a repeated doc_id goes only if all its texts do."""
     kept = judge(docs, labels, **options).where("kept").select("doc_id").distinct()
-    return docs.join(kept, "doc_id", "left_semi").select(*docs.columns)
+    return join_small(docs, kept, "doc_id", "left_semi", max_broadcast).select(*docs.columns)
 
 
 __all__ = ["COUNTS", "DecisionList", "count_texts", "fit", "judge", "keep_documents", "learn", "statistics"]
