@@ -12,8 +12,10 @@ leaf pairs are verified exactly unless already united. A bucket of
 one leaf is compared at once, many buckets together. Buckets above ``max_bucket`` are dealt to
 parts, and the parts' representatives meet again in the next rounds.
 Round 2: only tokens whose classes lie in different components still matter. Their buckets are
-traversed with bitmaps alone to find the classes with a surviving partner; those then meet with
-their sets (of a one-leaf bucket, as pairs, each pair once). Buckets above ``max_bucket`` are traversed in pairs of blocks. So at most LEAF - 1 pairs a row leave a task.
+traversed with bitmaps alone to find the classes with a surviving partner (of a one-leaf bucket,
+as pairs, each pair once). The same bounds on bitmaps that widen with the set drop nearly all that
+do not link, and the rest meet with their sets. Buckets above ``max_bucket`` are traversed in pairs
+of blocks. So at most LEAF - 1 pairs a row leave a task.
 
 Edge cases: null and blank texts have no set and link with nothing; texts of fewer words than a
 shingle are one shingle; copies and repeated rows share a component; ids are expected to be keys
@@ -104,6 +106,26 @@ def bitmap_of(s: np.ndarray) -> np.ndarray:
     return np.packbits(out).view(np.uint64)
 
 
+def fine_map_of(s: np.ndarray) -> np.ndarray:
+    """A bitmap of four bits or more for each token; its width is a power of two, and halves of it unite to the next narrower one."""
+    width = max(BITS, 1 << (4 * len(s) - 1).bit_length())
+    out = np.zeros(width, dtype=np.uint8)
+    out[((s * _M3) >> np.uint64(20)).astype(np.int64) & (width - 1)] = 1
+    return np.packbits(out).view(np.uint64)
+
+
+def folded(m: np.ndarray, words: int) -> np.ndarray:
+    return np.bitwise_or.reduce(m.reshape(-1, words), axis=0)
+
+
+def may_link(x: np.ndarray, y: np.ndarray, n: int, m: int, percent: int) -> bool:
+    """Whether sets of n and m tokens with these fine maps can overlap enough."""
+    words = min(len(x), len(y))
+    x, y = folded(x, words), folded(y, words)
+    only_x, only_y = int(np.bitwise_count(x & ~y).sum()), int(np.bitwise_count(y & ~x).sum())
+    return min(n - only_x, m - only_y) >= needed(n + m, percent)
+
+
 class SignatureTree:
     """Levels of nodes over items sorted by (size, smallest token): OR bitmaps, sizes, excess."""
 
@@ -132,7 +154,7 @@ class SignatureTree:
         ok[at] = most >= least
         return ok
 
-    def pairs(self, percent: int, cross: int | None = None, chunk: int = 8192) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    def pairs(self, percent: int, chunk: int = 8192) -> Iterator[tuple[np.ndarray, np.ndarray]]:
         """Item pairs i < j that the bounds cannot drop, by dual traversal from the root."""
         top = len(self.levels) - 1
         stack = [(top, np.zeros(1, np.int64), np.zeros(1, np.int64))]
@@ -175,17 +197,31 @@ def unite(sets: list[np.ndarray], lab: np.ndarray, percent: int) -> np.ndarray:
     return lab
 
 
-def survivors(maps: np.ndarray, sizes: np.ndarray, comp: np.ndarray, percent: int) -> np.ndarray:
-    """Items of one bucket with a partner in another component that the bounds cannot drop."""
+def survivors(maps: np.ndarray, sizes: np.ndarray, comp: np.ndarray, percent: int, own: np.ndarray | None = None) -> np.ndarray:
+    """Items of one bucket with a partner in another component that the bounds cannot drop; of each pair, one must be in ``own``."""
     order = np.lexsort((maps[:, 0], sizes))
     keep = np.zeros(len(sizes), dtype=bool)
-    for i, j in SignatureTree(maps[order], sizes[order]).pairs(percent):
+    for i, j in SignatureTree(maps[order], sizes[order]).pairs(percent, chunk=max(64, 8192 * BITS // 64 // maps.shape[1])):
         a, b = order[i], order[j]
         differ = comp[a] != comp[b]
+        if own is not None:
+            differ &= own[a] | own[b]
         keep[a[differ]] = keep[b[differ]] = True
     return keep
 
 
+def fine_survivors(maps: list[np.ndarray], sizes: np.ndarray, comp: np.ndarray, percent: int) -> np.ndarray:
+    """``survivors`` with fine maps: each pair meets at the width of the narrower one."""
+    width = np.array([len(m) for m in maps])
+    reach = 1 << (-(-100 // percent) - 1).bit_length()  # wider ones are too large to link
+    keep = np.zeros(len(maps), dtype=bool)
+    for words in np.unique(width):
+        at = np.flatnonzero((width >= words) & (width <= words * reach))
+        if len(at) > 1:
+            keep[at] |= survivors(np.stack([folded(maps[k], int(words)) for k in at]), sizes[at], comp[at], percent, width[at] == words)
+    return keep
+
+
 LEAF = 48
 
 
@@ -326,8 +362,40 @@ def _sized(rows: DataFrame, percent: int) -> DataFrame:
     return _dealt(rows, "key", 50_000).groupBy("task").applyInPandas(one, "key long, part int, rep long, comp long")
 
 
+def _refine(maps: DataFrame, rows: DataFrame, percent: int) -> DataFrame:
+    """What fine maps leave of ``rows`` (key, part, rep, comp)."""
+
+    def one(g: pd.DataFrame) -> pd.DataFrame:
+        g = g.sort_values(["key", "part", "rep"]).reset_index(drop=True)
+        m = [np.frombuffer(x, dtype=np.uint64) for x in g["map"]]
+        n, comp = g["n"].to_numpy(np.int64), g["comp"].to_numpy(np.int64)
+        cut = _bounds(g["key"].to_numpy(), g["part"].to_numpy())
+        keep = np.zeros(len(g), dtype=bool)
+        for a, b in zip(cut, cut[1:]):
+            keep[a:b] = fine_survivors(m[a:b], n[a:b], comp[a:b], percent)
+        return g.loc[keep, ["key", "part", "rep", "comp"]]
+
+    return _dealt(rows, "key", 2000).join(maps, "rep").groupBy("task").applyInPandas(one, "key long, part int, rep long, comp long")
+
+
+def _with_both(pairs: DataFrame, side: DataFrame) -> DataFrame:
+    """``pairs`` (rep, comp, rep2, comp2) with the columns of ``side`` for rep and, with a 2 after their names, for rep2."""
+    return pairs.join(side, "rep").join(side.select(*[F.col(c).alias(c + "2") for c in side.columns]), "rep2")
+
+
+def _refine_pairs(pairs: DataFrame, maps: DataFrame, percent: int) -> DataFrame:
+    """What fine maps leave of ``pairs``."""
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for g in batches:
+            ok = [may_link(np.frombuffer(x, np.uint64), np.frombuffer(y, np.uint64), n, m, percent) for x, y, n, m in zip(g["map"], g["map2"], g["n"], g["n2"])]
+            yield g.loc[np.array(ok, dtype=bool), ["rep", "comp", "rep2", "comp2"]]
+
+    return _with_both(pairs, maps).mapInPandas(run, "rep long, comp long, rep2 long, comp2 long")
+
+
 def _verify(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """a, b: components of the linked ones among ``pairs`` (rep, comp, rep2, comp2)."""
+    """a, b: components of the linked ones among ``pairs``."""
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for g in batches:
@@ -338,8 +406,7 @@ def _verify(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
                     rows.append((a, b))
             yield pd.DataFrame(rows, columns=["a", "b"])
 
-    both = pairs.join(sets, "rep").join(sets.select(F.col("rep").alias("rep2"), F.col("s").alias("s2")), "rep2")
-    return both.select("s", "s2", "comp", "comp2").mapInPandas(run, "a long, b long")
+    return _with_both(pairs, sets).select("s", "s2", "comp", "comp2").mapInPandas(run, "a long, b long")
 
 
 def link_components(docs: DataFrame, percent: int = 90, words: int = 3, hot_df: int = 4, max_hot: int = 1_000_000, max_bucket: int = 4000, max_broadcast: int = 2_000_000) -> DataFrame:
@@ -386,17 +453,27 @@ def link_components(docs: DataFrame, percent: int = 90, words: int = 3, hot_df:
             break
     base = cand.select("rep").distinct().join(comp, "rep", "left").select("rep", F.coalesce("comp", "rep").alias("comp"))
     base = materialise(base, "jaccard_base")
+    for used in (first, dealt, met, comp):
+        discard(used)
     split = cand.join(base, "rep").groupBy("tok").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi"), F.count("*").alias("count")).where("lo != hi").select("tok", F.ceil(F.col("count") / max_bucket).cast("int").alias("blocks"))
     near = cand.select("rep", "tok", "n").join(split, "tok").join(base, "rep")
     b = F.pmod(F.xxhash64("rep"), F.col("blocks")).cast("int")
     mine = F.transform(F.sequence(F.lit(0), F.col("blocks") - 1), lambda k: F.least(b, k) * F.col("blocks") + F.greatest(b, k))
-    blocks = materialise(near.select("rep", "comp", "n", F.col("tok").alias("key"), F.explode(mine).alias("part")), "jaccard_met_late")
-    blocks = materialise(_sized(blocks, percent), "jaccard_blocks")
+    together = materialise(near.select("rep", "comp", "n", F.col("tok").alias("key"), F.explode(mine).alias("part")), "jaccard_met_late")
+    discard(cand)
+    blocks = materialise(_sized(together, percent), "jaccard_blocks")
+    discard(together)
     left = materialise(_prune(bitmaps(pick(blocks), words), blocks, percent, True), "jaccard_left")
+    discard(blocks)
     pairs = materialise(left.where("rep2 is not null").select("rep", "comp", "rep2", "comp2").distinct(), "jaccard_pairs")
-    both = pairs.select("rep").union(pairs.select("rep2"))
-    edges = _verify(pairs, materialise(sets(both), "jaccard_sets"), percent)
     live = left.where("rep2 is null").drop("rep2", "comp2")
+    ids = pairs.select("rep").union(pairs.select("rep2")).union(live.select("rep"))
+    fine = materialise(bitmaps(pick(ids), words, fine=True), "jaccard_fine")
+    pairs, wide = materialise(_refine_pairs(pairs, fine, percent), "jaccard_close"), pairs
+    live = materialise(_refine(fine, live, percent), "jaccard_close_live")
+    for used in (left, wide, fine):
+        discard(used)
+    edges = _verify(pairs, sets(pairs.select("rep").union(pairs.select("rep2"))), percent)
     late = _unite_buckets(sets(live), live, percent)
     edges = edges.unionByName(late.where("comp != comp0").select(F.col("comp0").alias("a"), F.col("comp").alias("b")))
     up = components(edges)
@@ -405,14 +482,15 @@ def link_components(docs: DataFrame, percent: int = 90, words: int = 3, hot_df:
     return out.select("doc_id", F.col("n").alias("n_shingles"), F.coalesce("component", "rep").alias("component_id"))
 
 
-def bitmaps(docs: DataFrame, words: int = 3) -> DataFrame:
+def bitmaps(docs: DataFrame, words: int = 3, fine: bool = False) -> DataFrame:
     """rep, n, map."""
+    make = fine_map_of if fine else bitmap_of
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         shingle = Shingler(words)
         for b in batches:
             sets = [shingle(t) for t in b["text"]]
-            yield pd.DataFrame({"rep": b["doc_id"], "n": [len(s) for s in sets], "map": [bitmap_of(s).tobytes() for s in sets]})
+            yield pd.DataFrame({"rep": b["doc_id"], "n": [len(s) for s in sets], "map": [make(s).tobytes() for s in sets]})
 
     return docs.select("doc_id", "text").mapInPandas(run, "rep long, n long, map binary")
 
