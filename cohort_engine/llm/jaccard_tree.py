@@ -225,7 +225,7 @@ def fine_survivors(maps: list[np.ndarray], sizes: np.ndarray, comp: np.ndarray,
 LEAF = 48
 
 
-def leaf_pairs(starts: np.ndarray, sizes: np.ndarray, maps: np.ndarray, counts: np.ndarray, comp: np.ndarray, percent: int, chunk: int = 200_000) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+def leaf_pairs(starts: np.ndarray, sizes: np.ndarray, maps: np.ndarray, counts: np.ndarray, comp: np.ndarray, percent: int, chunk: int = 32_000) -> Iterator[tuple[np.ndarray, np.ndarray]]:
     """Pairs inside many buckets of one leaf each (``counts`` rows from ``starts``) that the bounds cannot drop."""
     for k in np.unique(counts):
         i, j = np.triu_indices(int(k), 1)
@@ -248,13 +248,20 @@ def _bounds(*columns: np.ndarray) -> np.ndarray:
     return np.flatnonzero(new)
 
 
+def _slices(batches: Iterator[pd.DataFrame], rows: int = 1000) -> Iterator[pd.DataFrame]:
+    """The same rows, few at a time: the sets of a slice are in memory together."""
+    for b in batches:
+        for a in range(0, len(b), rows):
+            yield b.iloc[a : a + rows]
+
+
 def scan(docs: DataFrame, percent: int = 90, words: int = 3) -> DataFrame:
     """Rows of documents (doc_id, n, fp) and, with fp null, of first tokens by hash (doc_id = token, n)."""
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         shingle = Shingler(words)
         none = np.zeros(0, np.uint64)
-        for b in batches:
+        for b in _slices(batches):
             sets = [shingle(t) for t in b["text"]]
             fp = [xxhash.xxh128_digest(s.tobytes()) for s in sets]
             yield pd.DataFrame({"doc_id": b["doc_id"], "n": [len(s) for s in sets], "fp": fp})
@@ -272,7 +279,7 @@ def prefixes(docs: DataFrame, hot: np.ndarray, percent: int, words: int = 3) ->
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         shingle = Shingler(words)
-        for b in batches:
+        for b in _slices(batches):
             whole = [shingle(t) for t in b["text"]]
             full = np.array([len(s) for s in whole], dtype=np.int64)
             sets = [prefix_of(s, shared.value, percent) for s in whole]
@@ -291,10 +298,8 @@ def shingle_sets(docs: DataFrame, words: int = 3) -> DataFrame:
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         shingle = Shingler(words)
-        for b in batches:
-            for a in range(0, len(b), 500):
-                part = b.iloc[a : a + 500]
-                yield pd.DataFrame({"rep": part["doc_id"], "s": [shingle(t).tobytes() for t in part["text"]]})
+        for b in _slices(batches, 500):
+            yield pd.DataFrame({"rep": b["doc_id"], "s": [shingle(t).tobytes() for t in b["text"]]})
 
     return docs.select("doc_id", "text").mapInPandas(run, "rep long, s binary")
 
@@ -488,7 +493,7 @@ def bitmaps(docs: DataFrame, words: int = 3, fine: bool = False) -> DataFrame:
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         shingle = Shingler(words)
-        for b in batches:
+        for b in _slices(batches):
             sets = [shingle(t) for t in b["text"]]
             yield pd.DataFrame({"rep": b["doc_id"], "n": [len(s) for s in sets], "map": [make(s).tobytes() for s in sets]})
 
