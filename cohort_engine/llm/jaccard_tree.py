@@ -25,10 +25,11 @@ extra columns are ignored.
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -248,11 +249,16 @@ def _bounds(*columns: np.ndarray) -> np.ndarray:
     return np.flatnonzero(new)
 
 
-def _slices(batches: Iterator[pd.DataFrame], rows: int = 1000) -> Iterator[pd.DataFrame]:
-    """The same rows, few at a time: the sets of a slice are in memory together."""
-    for b in batches:
-        for a in range(0, len(b), rows):
-            yield b.iloc[a : a + rows]
+def _over_texts(docs: DataFrame, run: Callable[[Iterator[pd.DataFrame]], Iterator[pd.DataFrame]], schema: str, rows: int = 1000) -> DataFrame:
+    """``run`` over slices of few documents: the texts and sets of one slice are in a worker's memory together."""
+    kinds = {"long": pa.int64(), "int": pa.int32(), "binary": pa.binary()}
+    arrow = pa.schema([(name, kinds[kind]) for name, kind in (c.split() for c in schema.split(", "))])
+
+    def go(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for out in run(b.slice(a, rows).to_pandas() for b in batches for a in range(0, b.num_rows, rows)):
+            yield pa.RecordBatch.from_pandas(out, schema=arrow, preserve_index=False)
+
+    return docs.mapInArrow(go, schema)
 
 
 def scan(docs: DataFrame, percent: int = 90, words: int = 3) -> DataFrame:
@@ -261,7 +267,7 @@ def scan(docs: DataFrame, percent: int = 90, words: int = 3) -> DataFrame:
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         shingle = Shingler(words)
         none = np.zeros(0, np.uint64)
-        for b in _slices(batches):
+        for b in batches:
             sets = [shingle(t) for t in b["text"]]
             fp = [xxhash.xxh128_digest(s.tobytes()) for s in sets]
             yield pd.DataFrame({"doc_id": b["doc_id"], "n": [len(s) for s in sets], "fp": fp})
@@ -270,7 +276,7 @@ def scan(docs: DataFrame, percent: int = 90, words: int = 3) -> DataFrame:
             for a in range(0, len(tok), 500_000):
                 yield pd.DataFrame({"doc_id": tok[a : a + 500_000].view(np.int64), "n": n[a : a + 500_000], "fp": None})
 
-    return docs.select(F.col("doc_id").cast("long"), "text").mapInPandas(run, "doc_id long, n long, fp binary")
+    return _over_texts(docs.select(F.col("doc_id").cast("long"), "text"), run, "doc_id long, n long, fp binary")
 
 
 def prefixes(docs: DataFrame, hot: np.ndarray, percent: int, words: int = 3) -> DataFrame:
@@ -279,7 +285,7 @@ def prefixes(docs: DataFrame, hot: np.ndarray, percent: int, words: int = 3) ->
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         shingle = Shingler(words)
-        for b in _slices(batches):
+        for b in batches:
             whole = [shingle(t) for t in b["text"]]
             full = np.array([len(s) for s in whole], dtype=np.int64)
             sets = [prefix_of(s, shared.value, percent) for s in whole]
@@ -290,7 +296,7 @@ def prefixes(docs: DataFrame, hot: np.ndarray, percent: int, words: int = 3) ->
                 e = a + 500_000
                 yield pd.DataFrame({"rep": rep[a:e], "n": n[a:e], "tok": tok[a:e].view(np.int64), "place": place[a:e]})
 
-    return docs.select("doc_id", "text").mapInPandas(run, "rep long, n long, tok long, place int")
+    return _over_texts(docs.select("doc_id", "text"), run, "rep long, n long, tok long, place int")
 
 
 def shingle_sets(docs: DataFrame, words: int = 3) -> DataFrame:
@@ -298,10 +304,10 @@ def shingle_sets(docs: DataFrame, words: int = 3) -> DataFrame:
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         shingle = Shingler(words)
-        for b in _slices(batches, 500):
+        for b in batches:
             yield pd.DataFrame({"rep": b["doc_id"], "s": [shingle(t).tobytes() for t in b["text"]]})
 
-    return docs.select("doc_id", "text").mapInPandas(run, "rep long, s binary")
+    return _over_texts(docs.select("doc_id", "text"), run, "rep long, s binary", 500)
 
 
 def _dealt(rows: DataFrame, key: str, each: int) -> DataFrame:
@@ -478,7 +484,7 @@ def link_components(docs: DataFrame, percent: int = 90, words: int = 3, hot_df:
     live = materialise(_refine(fine, live, percent), "jaccard_close_live")
     for used in (left, wide, fine):
         discard(used)
-    edges = _verify(pairs, sets(pairs.select("rep").union(pairs.select("rep2"))), percent)
+    edges = _verify(pairs, materialise(sets(pairs.select("rep").union(pairs.select("rep2"))), "jaccard_sets"), percent)
     late = _unite_buckets(sets(live), live, percent)
     edges = edges.unionByName(late.where("comp != comp0").select(F.col("comp0").alias("a"), F.col("comp").alias("b")))
     up = components(edges)
@@ -493,11 +499,11 @@ def bitmaps(docs: DataFrame, words: int = 3, fine: bool = False) -> DataFrame:
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         shingle = Shingler(words)
-        for b in _slices(batches):
+        for b in batches:
             sets = [shingle(t) for t in b["text"]]
             yield pd.DataFrame({"rep": b["doc_id"], "n": [len(s) for s in sets], "map": [make(s).tobytes() for s in sets]})
 
-    return docs.select("doc_id", "text").mapInPandas(run, "rep long, n long, map binary")
+    return _over_texts(docs.select("doc_id", "text"), run, "rep long, n long, map binary")
 
 
 def keep_one_each(docs: DataFrame, **options) -> DataFrame:

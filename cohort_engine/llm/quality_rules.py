@@ -95,7 +95,7 @@ def statistics(docs: DataFrame) -> DataFrame:
     def count(batches: Iterator) -> Iterator:
         import pyarrow as pa
 
-        for b in batches:
+        for b in (whole.slice(a, 1000) for whole in batches for a in range(0, whole.num_rows, 1000)):
             m = count_texts(b.column(1).to_pylist())
             yield pa.RecordBatch.from_arrays([b.column(0), *[pa.array(m[:, k]) for k in range(len(COUNTS))]], ["doc_id", *COUNTS])
 
