@@ -2,11 +2,15 @@
 
 from __future__ import annotations
 
+import ctypes
 import tempfile
 import uuid
+from collections.abc import Callable, Iterator
+from functools import wraps
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -61,6 +65,47 @@ def join_small(big: DataFrame, side: DataFrame, on, how: str, max_rows: int) ->
     return big.join(F.broadcast(side) if small(side, max_rows) else side, on, how)
 
 
+def give_back() -> None:
+    """Return this Python worker's freed memory to the system: workers outlive their tasks and share the executor's memory."""
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+    if trim is not None:
+        trim(0)
+
+
+def lean(f: Callable) -> Callable:
+    """``f`` on one group, then ``give_back``."""
+
+    @wraps(f)
+    def run(g: pd.DataFrame) -> pd.DataFrame:
+        out = f(g)
+        give_back()
+        return out
+
+    return run
+
+
+_KINDS = {"long": pa.int64(), "int": pa.int32(), "binary": pa.binary(), "array<int>": pa.list_(pa.int32())}
+
+
+def over_texts(docs: DataFrame, run: Callable[[Iterator[pd.DataFrame]], Iterator[pd.DataFrame]], schema: str, rows: int = 1000) -> DataFrame:
+    """``run`` over slices of few documents: the texts and results of one slice are in a worker's memory together."""
+    arrow = pa.schema([(name, _KINDS[kind]) for name, kind in (c.split() for c in schema.split(", "))])
+
+    def slices(batches: Iterator[pa.RecordBatch]) -> Iterator[pd.DataFrame]:
+        for b in batches:
+            for a in range(0, b.num_rows, rows):
+                yield b.slice(a, rows).to_pandas()
+            give_back()
+
+    def go(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for out in run(slices(batches)):
+            yield pa.RecordBatch.from_pandas(out, schema=arrow, preserve_index=False)
+        give_back()
+
+    return docs.mapInArrow(go, schema)
+
+
 def hash_longs(x: np.ndarray, salt=0) -> np.ndarray:
     """A 64-bit mix of int64 keys with a salt; the same in ``BitFilter.of`` and in Python scans."""
     h = (x.view(np.uint64) ^ (np.asarray(salt, np.uint64) * np.uint64(0x9E3779B97F4A7C15))) * np.uint64(0xC2B2AE3D27D4EB4F)
@@ -119,8 +164,6 @@ class BitFilter:
 
 
 def _mask(ok):
-    import pyarrow as pa
-
     return pa.array(ok)
 
 

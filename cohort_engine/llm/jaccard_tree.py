@@ -25,16 +25,15 @@ extra columns are ignored.
 
 from __future__ import annotations
 
-from collections.abc import Callable, Iterator
+from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
-import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import BitFilter, components, discard, join_small, materialise
+from .common import BitFilter, components, discard, join_small, lean, materialise, over_texts
 
 BITS = 2048
 _M1, _M2, _M3 = (np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9))
@@ -249,18 +248,6 @@ def _bounds(*columns: np.ndarray) -> np.ndarray:
     return np.flatnonzero(new)
 
 
-def _over_texts(docs: DataFrame, run: Callable[[Iterator[pd.DataFrame]], Iterator[pd.DataFrame]], schema: str, rows: int = 1000) -> DataFrame:
-    """``run`` over slices of few documents: the texts and sets of one slice are in a worker's memory together."""
-    kinds = {"long": pa.int64(), "int": pa.int32(), "binary": pa.binary()}
-    arrow = pa.schema([(name, kinds[kind]) for name, kind in (c.split() for c in schema.split(", "))])
-
-    def go(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for out in run(b.slice(a, rows).to_pandas() for b in batches for a in range(0, b.num_rows, rows)):
-            yield pa.RecordBatch.from_pandas(out, schema=arrow, preserve_index=False)
-
-    return docs.mapInArrow(go, schema)
-
-
 def scan(docs: DataFrame, percent: int = 90, words: int = 3) -> DataFrame:
     """Rows of documents (doc_id, n, fp) and, with fp null, of first tokens by hash (doc_id = token, n)."""
 
@@ -276,7 +263,7 @@ def scan(docs: DataFrame, percent: int = 90, words: int = 3) -> DataFrame:
             for a in range(0, len(tok), 500_000):
                 yield pd.DataFrame({"doc_id": tok[a : a + 500_000].view(np.int64), "n": n[a : a + 500_000], "fp": None})
 
-    return _over_texts(docs.select(F.col("doc_id").cast("long"), "text"), run, "doc_id long, n long, fp binary")
+    return over_texts(docs.select(F.col("doc_id").cast("long"), "text"), run, "doc_id long, n long, fp binary")
 
 
 def prefixes(docs: DataFrame, hot: np.ndarray, percent: int, words: int = 3) -> DataFrame:
@@ -296,7 +283,7 @@ def prefixes(docs: DataFrame, hot: np.ndarray, percent: int, words: int = 3) ->
                 e = a + 500_000
                 yield pd.DataFrame({"rep": rep[a:e], "n": n[a:e], "tok": tok[a:e].view(np.int64), "place": place[a:e]})
 
-    return _over_texts(docs.select("doc_id", "text"), run, "rep long, n long, tok long, place int")
+    return over_texts(docs.select("doc_id", "text"), run, "rep long, n long, tok long, place int")
 
 
 def shingle_sets(docs: DataFrame, words: int = 3) -> DataFrame:
@@ -307,7 +294,7 @@ def shingle_sets(docs: DataFrame, words: int = 3) -> DataFrame:
         for b in batches:
             yield pd.DataFrame({"rep": b["doc_id"], "s": [shingle(t).tobytes() for t in b["text"]]})
 
-    return _over_texts(docs.select("doc_id", "text"), run, "rep long, s binary", 500)
+    return over_texts(docs.select("doc_id", "text"), run, "rep long, s binary", 500)
 
 
 def _dealt(rows: DataFrame, key: str, each: int) -> DataFrame:
@@ -327,7 +314,7 @@ def _unite_buckets(sets: DataFrame, rows: DataFrame, percent: int) -> DataFrame:
             after[a:b] = unite([np.frombuffer(s, dtype=np.uint64) for s in g["s"].iloc[a:b]], comp[a:b], percent)
         return pd.DataFrame({"rep": g["rep"], "comp0": comp, "comp": after})
 
-    return sets.join(_dealt(rows, "key", 300), "rep").groupBy("task").applyInPandas(one, "rep long, comp0 long, comp long")
+    return sets.join(_dealt(rows, "key", 300), "rep").groupBy("task").applyInPandas(lean(one), "rep long, comp0 long, comp long")
 
 
 def _prune(maps: DataFrame, rows: DataFrame, percent: int, pairs: bool) -> DataFrame:
@@ -353,7 +340,7 @@ def _prune(maps: DataFrame, rows: DataFrame, percent: int, pairs: bool) -> DataF
         out.append(g.loc[keep, ["key", "part", "rep", "comp"]])
         return pd.concat(out).reindex(columns=["key", "part", "rep", "comp", "rep2", "comp2"]).astype({"key": "Int64", "part": "Int32", "rep2": "Int64", "comp2": "Int64"})
 
-    return _dealt(rows, "key", 20_000).join(maps, "rep").groupBy("task").applyInPandas(one, "key long, part int, rep long, comp long, rep2 long, comp2 long")
+    return _dealt(rows, "key", 20_000).join(maps, "rep").groupBy("task").applyInPandas(lean(one), "key long, part int, rep long, comp long, rep2 long, comp2 long")
 
 
 def _sized(rows: DataFrame, percent: int) -> DataFrame:
@@ -370,7 +357,7 @@ def _sized(rows: DataFrame, percent: int) -> DataFrame:
             keep[a] = keep[b] = True
         return g.loc[keep, ["key", "part", "rep", "comp"]]
 
-    return _dealt(rows, "key", 50_000).groupBy("task").applyInPandas(one, "key long, part int, rep long, comp long")
+    return _dealt(rows, "key", 50_000).groupBy("task").applyInPandas(lean(one), "key long, part int, rep long, comp long")
 
 
 def _refine(maps: DataFrame, rows: DataFrame, percent: int) -> DataFrame:
@@ -386,7 +373,7 @@ def _refine(maps: DataFrame, rows: DataFrame, percent: int) -> DataFrame:
             keep[a:b] = fine_survivors(m[a:b], n[a:b], comp[a:b], percent)
         return g.loc[keep, ["key", "part", "rep", "comp"]]
 
-    return _dealt(rows, "key", 2000).join(maps, "rep").groupBy("task").applyInPandas(one, "key long, part int, rep long, comp long")
+    return _dealt(rows, "key", 2000).join(maps, "rep").groupBy("task").applyInPandas(lean(one), "key long, part int, rep long, comp long")
 
 
 def _with_both(pairs: DataFrame, side: DataFrame) -> DataFrame:
@@ -503,7 +490,7 @@ def bitmaps(docs: DataFrame, words: int = 3, fine: bool = False) -> DataFrame:
             sets = [shingle(t) for t in b["text"]]
             yield pd.DataFrame({"rep": b["doc_id"], "n": [len(s) for s in sets], "map": [make(s).tobytes() for s in sets]})
 
-    return _over_texts(docs.select("doc_id", "text"), run, "rep long, n long, map binary")
+    return over_texts(docs.select("doc_id", "text"), run, "rep long, n long, map binary")
 
 
 def keep_one_each(docs: DataFrame, **options) -> DataFrame:

@@ -25,7 +25,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import materialise
+from .common import materialise, over_texts
 
 CAPACITY = 2048
 END_ID = 0
@@ -64,7 +64,7 @@ def tokenised_pieces(docs: DataFrame, capacity: int = CAPACITY, ranks_file: str
                     rows.append((doc_id, k, a, b - a, zlib.crc32(ids[a:b].tobytes()), *((ids[a:b].astype("int32"),) if with_ids else ())))
             yield pd.DataFrame(rows, columns=["doc_id", "piece", "start", "length", "ids_crc32", *(("ids",) if with_ids else ())])
 
-    return docs.select(F.col("doc_id").cast("long"), F.col("text")).mapInPandas(cut, schema)
+    return over_texts(docs.select(F.col("doc_id").cast("long"), F.col("text")), cut, schema)
 
 
 class _Bins:

@@ -22,7 +22,7 @@ import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import hex_order, join_small, materialise
+from .common import give_back, hex_order, join_small, materialise
 
 BLANKS = b" \t\n\x0b\x0c\r"
 SYMBOLS = b"#*$%&|<>"
@@ -98,6 +98,7 @@ def statistics(docs: DataFrame) -> DataFrame:
         for b in (whole.slice(a, 1000) for whole in batches for a in range(0, whole.num_rows, 1000)):
             m = count_texts(b.column(1).to_pylist())
             yield pa.RecordBatch.from_arrays([b.column(0), *[pa.array(m[:, k]) for k in range(len(COUNTS))]], ["doc_id", *COUNTS])
+        give_back()
 
     return docs.select(F.col("doc_id").cast("long"), F.col("text")).mapInArrow(count, "doc_id long, " + ", ".join(f"{c} long" for c in COUNTS))
 
