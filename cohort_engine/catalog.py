@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from .functions.randomness import gauss_sql, rank_sql, unit_sql
+from .functions.randomness import gamma2_sql, gauss_sql, rank_sql, unit_sql
 from .operators import blocks, campaigns, features, hashing, mode_split, neighbours, similarity
 from .operators.features import BASKETS_SQL, DOCS_SQL, EMBED_SQL
 from .plans import workloads
@@ -200,6 +200,14 @@ def one_permutation_signature(spark, sf):
     return _flat(hashing.one_permutation(features.baskets(spark, sf), 16, SEED))
 
 
+@query(f"""{_BV}, d as (select *, {rank_sql(SEED, "'0'", 'feature')} % 16 as bin, {gamma2_sql(SEED, "'0'", 'g', 'feature')} as g, {gamma2_sql(SEED, "'0'", 'c', 'feature')} as c, {unit_sql(SEED, "'0'", 'b', 'feature')} as b from v),
+    e as (select user_id, bin, feature as h from d qualify row_number() over (partition by user_id, bin order by ln(c) - g * (floor({P} * ln(weight) / g + b) + 1 - b), feature) = 1),
+    k as (select user_id, slot, e.h, (bin - slot + 16) % 16 as far, row_number() over (partition by user_id, slot order by (bin - slot + 16) % 16) as place from e cross join (select unnest(range(16)) as slot))
+    select user_id, string_agg(h || '+' || far, '|' order by slot) as sig from k where place = 1 group by 1""")
+def binwise_signature(spark, sf):
+    return _flat(hashing.binwise_weighted(features.baskets(spark, sf), 16, P, SEED))
+
+
 @query(_sig_sql(_BV, _DOT, "case when dot >= 0 then 1 else 0 end"))
 def sign_bits(spark, sf):
     return _flat(hashing.signature(hashing.sign_bits(features.baskets(spark, sf), _TEN, SEED), F.col("bit")))
@@ -403,6 +411,24 @@ def match_cohorts(spark, sf):
     return _matched(spark, sf)
 
 
+@query(_after(_MATCH + "select campaign_id, cohort_id, matched, members, matched > 0 as hit from mc"))
+def match_cohorts_any(spark, sf):
+    return _matched(spark, sf, "any")
+
+
+@query(_after(_MATCH + "select campaign_id, cohort_id, matched, members, matched = members as hit from mc"))
+def match_cohorts_all(spark, sf):
+    return _matched(spark, sf, "all")
+
+
+@query(_after(_MATCH + "select campaign_id, cohort_id, round(sum(weight) / max(members), 6) as score, max(members) as members, sum(weight) / max(members) >= 100 as hit from v join c using (feature) join a using (user_id) join z using (cohort_id) group by 1, 2"))
+def match_cohorts_score(spark, sf):
+    v = features.baskets(spark, sf)
+    identity = campaigns.cohort_identity(_split(spark, sf).assignments, v)
+    d = campaigns.match_cohorts_by_score(_camps(v).withColumn("weight", F.lit(1.0)), identity, 100.0)
+    return d.withColumn("score", F.round("score", 6))
+
+
 @query(_after(_COUNTS + "select campaign_id, tp, fp, fn, tp + fp as audience, round(tp / nullif(tp + fn, 0)::double, 9) as recall from cc"))
 def campaign_counts(spark, sf):
     return campaigns.campaign_counts(_matched(spark, sf)).withColumn("recall", F.round("recall", 9))

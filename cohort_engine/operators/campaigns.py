@@ -39,6 +39,14 @@ def match_cohorts(matches: DataFrame, assign: DataFrame, rule: str = "share", th
     return j.select("campaign_id", "cohort_id", "matched", "members", hit.alias("hit"))
 
 
+def match_cohorts_by_score(campaigns: DataFrame, identity: DataFrame, tau: float, max_broadcast: int = 1_000_000) -> DataFrame:
+    """campaign_id, cohort_id, score, members, hit: the inner product of ``campaigns`` (campaign_id, feature, weight) and each cohort's mean weights, at least ``tau``."""
+    c = campaigns.select("campaign_id", "feature", "weight")
+    c = F.broadcast(c) if c.limit(max_broadcast + 1).count() <= max_broadcast else c
+    s = identity.join(c, "feature").groupBy("campaign_id", "cohort_id").agg(F.sum(F.col("mean_weight") * F.col("weight")).alias("score"), F.max("members").alias("members"))
+    return s.select("campaign_id", "cohort_id", "score", "members", (F.col("score") >= tau).alias("hit"))
+
+
 def campaign_counts(cohorts: DataFrame) -> DataFrame:
     """tp, fp, fn, audience and recall of each campaign from ``match_cohorts``; no campaign x user product."""
     on = lambda x: F.sum(F.when(F.col("hit"), x).otherwise(0))

@@ -58,16 +58,29 @@ def circulant_minwise(v: DataFrame, shifts: list[int], seed: int = 7, universe:
     return d.groupBy("user_id", "round").agg(F.min(rank(seed, 1, moved)).alias("h"))
 
 
-def one_permutation(v: DataFrame, bins: int, seed: int = 7) -> DataFrame:
-    """One rank per feature; each of ``bins`` bins keeps its least; empty bins borrow the next filled one to the right (around), with its distance."""
-    r = rank(seed, 0, F.col("feature"))
-    d = v.select("user_id", (r % bins).cast("int").alias("bin"), F.expr("1").alias("one"), r.alias("h")).groupBy("user_id", "bin").agg(F.min("h").alias("h"))
+def _densified(d: DataFrame, bins: int) -> DataFrame:
+    """user_id, sig from the filled bins (user_id, bin, h): empty bins borrow the next filled one to the right (around), with its distance."""
     m = d.groupBy("user_id").agg(F.map_from_entries(F.collect_list(F.struct("bin", "h"))).alias("m"))
     look = lambda k: F.array_min(F.transform(F.map_keys("m"), lambda b: F.struct(((b - k + bins) % bins).alias("d"), b.alias("b"))))
     slots = F.transform(F.sequence(F.lit(0), F.lit(bins - 1)), lambda k: F.concat_ws("+", F.element_at("m", look(k)["b"]).cast("string"), look(k)["d"].cast("string")))
     return m.select("user_id", slots.alias("sig"))
 
 
+def one_permutation(v: DataFrame, bins: int, seed: int = 7) -> DataFrame:
+    """One rank per feature; each of ``bins`` bins keeps its least."""
+    r = rank(seed, 0, F.col("feature"))
+    return _densified(v.select("user_id", (r % bins).cast("int").alias("bin"), r.alias("h")).groupBy("user_id", "bin").agg(F.min("h").alias("h")), bins)
+
+
+def binwise_weighted(v: DataFrame, bins: int, p: float = 1.0, seed: int = 7, source: str = "portable") -> DataFrame:
+    """One weighted sample (its feature) in each bin of features: one round's draws serve ``bins`` slots."""
+    f = F.col("feature")
+    d = _draws(v, [0], {"g": gamma2(seed, 0, "g", f, source), "c": F.log(gamma2(seed, 0, "c", f, source)), "b": unit(seed, 0, "b", f, source), "bin": (rank(seed, 0, f) % bins).cast("int")})
+    d = d.withColumn("level", F.floor(p * F.log("weight") / F.col("g") + F.col("b")))
+    score = F.col("c") - F.col("g") * (F.col("level") + 1 - F.col("b"))
+    return _densified(d.groupBy("user_id", "bin").agg(F.min_by("feature", F.struct(score, f)).alias("h")), bins)
+
+
 def projections(v: DataFrame, rounds: list[int], seed: int = 7) -> DataFrame:
     """user_id, round, dot: inner products with shared Gaussian vectors."""
     d = _draws(v, rounds, {"g": gauss(seed, F.col("round"), F.col("feature"))})

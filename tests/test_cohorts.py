@@ -21,7 +21,7 @@ def users(spark, n):
     return spark.range(n).withColumnRenamed("id", "user_id")
 
 
-@pytest.mark.parametrize("name", ["vectors_baskets", "minmax_kernel_pairs", "weighted_sample", "sign_bits", "one_permutation_signature", "random_groups", "raw_buckets", "match_users"])
+@pytest.mark.parametrize("name", ["vectors_baskets", "minmax_kernel_pairs", "weighted_sample", "sign_bits", "one_permutation_signature", "binwise_signature", "match_cohorts_any", "match_cohorts_all", "match_cohorts_score", "random_groups", "raw_buckets", "match_users"])
 def test_queries_equal_duckdb(spark, name):
     con = duckdb.connect()
     for p in glob.glob(f"{SF}/*.parquet"):
