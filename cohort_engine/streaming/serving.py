@@ -8,6 +8,11 @@ from pyspark.sql import functions as F
 from ..operators.campaigns import retrieve
 
 
+def timed(events: DataFrame, watermark: str) -> DataFrame:
+    """Watermarks take timestamps with a zone only; the tables' have none and are read in the session's."""
+    return events.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", watermark)
+
+
 def stream_retrieve(impressions: DataFrame, assign: DataFrame, cohorts: DataFrame) -> DataFrame:
     """Stream-static: each impression's candidate campaigns."""
     return retrieve(impressions, assign, cohorts)
@@ -15,12 +20,12 @@ def stream_retrieve(impressions: DataFrame, assign: DataFrame, cohorts: DataFram
 
 def stream_vectors(events: DataFrame, watermark: str = "10 minutes") -> DataFrame:
     """Running user vectors (update mode) of events that are not repeated within the watermark."""
-    e = events.withWatermark("ts", watermark).dropDuplicatesWithinWatermark(["event_id"])
+    e = timed(events, watermark).dropDuplicatesWithinWatermark(["event_id"])
     return e.groupBy("user_id", F.col("event_type").alias("feature")).agg(F.sum(F.col("value").cast("decimal(18,4)")).cast("double").alias("weight"))
 
 
 def cohort_windows(events: DataFrame, assign: DataFrame, k: int, length: str = "1 hour", watermark: str = "10 minutes") -> DataFrame:
     """Tumbling counts by cohort, released only if about ``k`` distinct users are in the window."""
-    e = events.withWatermark("ts", watermark).join(assign, "user_id")
+    e = timed(events, watermark).join(assign, "user_id")
     n = e.groupBy(F.window("ts", length).alias("w"), "cohort_id").agg(F.count("*").alias("events"), F.approx_count_distinct("user_id", 0.02).alias("users"))
     return n.where(F.col("users") >= k).select(F.col("w.start").alias("start"), "cohort_id", "events", "users")
