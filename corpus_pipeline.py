@@ -41,7 +41,7 @@ def pack_sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
 
 STAGES = [("quality_rules", reject_low_quality), ("jaccard_join", one_of_each_group), ("secret_scan", redact_secrets), ("mixing", mix_sources), ("packing", pack_sequences)]
 
-#: Learned rules and packing cannot be said in SQL; tests hold the pipeline against a plain Python version.
+#: Learned rules and packing cannot be said in SQL; tests/llm/test_pipeline.py holds the filters against a plain Python version, and mixing and packing to their rules.
 ORACLE_SQL = None
 
 
