@@ -1,16 +1,21 @@
-"""Embedding near-duplicates by a robust-pruned flat graph over overlapping cluster shards.
+"""Embedding near-duplicates by a robust-pruned flat graph in cluster shards that lose no link at their borders.
 
 1. Vectors with equal direction data and label are one class (its smallest id stands for it).
-2. ``shards``: cells are split around sampled centres, each class going to its nearest centre and,
-   once, to the second nearest, until a cell has at most ``shard_rows`` classes.
-3. ``build``: every shard's task makes a robust-pruned neighbour graph of its members.
-4. Adjacency lists of all shards are united, so a class in two shards has both shards' edges.
-5. ``search``: in its nearest shard each class runs a greedy search from the shard's medoid; once
-   near, the search expands over everything within the range (less a slack). Links are the
-   classes found whose double-precision cosine is at least the threshold.
-6. The task audits itself: sampled queries are compared with brute force over the shard, and beam
-   and slack are doubled until the recall of the audit is reached. ``audit`` does the same over the
-   whole table, for a sample of queries in blocks.
+2. ``shards``: cells are split around sampled centres, each class going to its nearest centre, until
+   a cell has at most ``shard_rows`` classes of its own. At every level a class also visits each cell
+   that may hold a vector within the threshold of it (``visited``), so no link is lost at a border
+   and a dense group that no centres can part is compared in all pairs of its sub-blocks.
+3. ``parts``: a cell with many visitors becomes several tasks, each with all members of the cell.
+4. Every cell's task makes a robust-pruned neighbour graph of its members; in it each member runs a
+   greedy search from the medoid and, once near, expands over everything within the range (less a
+   slack). Links are the classes found whose double-precision cosine is at least the threshold.
+5. Visitors are compared with all members of the cell. The counts of all cells of a class add up.
+6. The task audits its graph search: sampled queries are compared with brute force over the cell,
+   and beam and slack are doubled until the recall of the audit is reached. ``audit`` does the same
+   over the whole table, for a sample of queries in blocks.
+
+Visits grow with what lies near borders: to a group's size squared over ``shard_rows`` in a dense
+group (as its links do), and towards the same for the table where a label's vectors have no clusters.
 
 Only counts and one edge per class towards its local component leave a task, never all pairs.
 
@@ -27,7 +32,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import components, join_small, materialise
+from .common import components, discard, join_small, materialise
 
 
 def robust_prune(v: np.ndarray, degree: int = 24, pool: int = 64, alpha: float = 1.2, block: int = 512) -> np.ndarray:
@@ -137,96 +142,116 @@ def classes(rows: DataFrame) -> tuple[DataFrame, DataFrame]:
     return member.unionByName(d.where("not ok").select("vec_id", F.lit(None).cast("long").alias("cls"))), reps
 
 
-def shards(reps: DataFrame, shard_rows: int = 2500, branch: int = 16, levels: int = 8, max_broadcast: int = 20_000) -> DataFrame:
-    """id, cell, v, w, home: members of each cell; ``home`` marks the nearest cell of a class."""
-    now = reps.select("id", "v", "w", F.concat_ws("/", "label", F.size("v").cast("string")).alias("cell"), F.lit(True).alias("home"), F.lit(0).alias("level"))
-    schema = "id long, v array<double>, w long, cell string, home boolean, level int"
+def visited(x: np.ndarray, centres: np.ndarray, threshold: float) -> np.ndarray:
+    """Rows x centres: whether the centre's cell may hold a unit vector at cosine ``threshold`` or more to the row.
+
+    Whatever is nearer to c than to d lies beyond the plane between them, and x is within the angle of
+    the threshold of it only if x . (d - c) / |d - c| is at most that angle's sine.
+    """
+    s = x @ centres.T
+    out = np.ones(s.shape, dtype=bool)
+    if threshold > 0:
+        sine = max(1 - threshold * threshold, 0.0) ** 0.5
+        for c in range(len(centres)):
+            apart = np.linalg.norm(centres - centres[c], axis=1)
+            out[:, c] = (s - s[:, c : c + 1] <= sine * apart + 1e-9).all(axis=1)
+    return out
+
+
+def shards(reps: DataFrame, shard_rows: int = 2500, branch: int = 16, levels: int = 8, max_broadcast: int = 20_000, threshold: float = 0.98) -> DataFrame:
+    """id, cell, v, w, home: each class in its home cell, and as a visitor in every cell that may hold a link of it."""
+    now = reps.select("id", "v", "w", F.concat_ws("/", "label", F.size("v").cast("string")).alias("cell"), F.lit(True).alias("home"))
+    schema = "id long, v array<double>, w long, cell string, home boolean"
 
     def assign(batches):
         for b in batches:
-            rows = []
             for _, g in b.groupby("cell"):
-                v, c = np.stack(g["v"].to_list()), np.stack([np.asarray(x, float) for x in g["centres"].iloc[0]])
-                order = np.argsort(-(v @ c.T), axis=1, kind="stable")
-                first = g.assign(cell=[f"{x}/{k}" for x, k in zip(g["cell"], order[:, 0])])
-                rows.append(first)
-                both = (g["home"] & (g["level"] == 0)).to_numpy()
-                if both.any() and order.shape[1] > 1:
-                    second = g[both]
-                    rows.append(second.assign(cell=[f"{x}/{k}" for x, k in zip(second["cell"], order[both, 1])], home=False))
-            yield pd.concat(rows).assign(level=lambda x: x["level"] + 1)[["id", "v", "w", "cell", "home", "level"]]
+                c = np.stack([np.asarray(x, float) for x in g["centres"].iloc[0]])
+                for a in range(0, len(g), 1000):
+                    part = g.iloc[a : a + 1000]
+                    v, own = np.stack(part["v"].to_list()), part["home"].to_numpy()
+                    near, goes = (v @ c.T).argmax(axis=1), visited(v, c, threshold)
+                    goes[np.flatnonzero(own), near[own]] = True
+                    i, k = np.nonzero(goes)
+                    rows = part.iloc[i]
+                    yield rows.assign(cell=[f"{x}/{y}" for x, y in zip(rows["cell"], k)], home=own[i] & (near[i] == k))[["id", "v", "w", "cell", "home"]]
 
     for _ in range(levels):
-        now = materialise(now, "embed_cells")
-        big = now.groupBy("cell").count().where(F.col("count") > shard_rows).withColumn("k", F.least(F.lit(branch), F.ceil(F.col("count") * 2 / shard_rows)))
+        before, now = now, materialise(now, "embed_cells")
+        discard(before)
+        homes = now.where("home")
+        big = homes.groupBy("cell").count().where(F.col("count") > shard_rows).withColumn("k", F.least(F.lit(branch), F.ceil(F.col("count") * 2 / shard_rows)))
         big = materialise(big, "embed_big")
         if not big.limit(1).count():
-            break
-        drawn = join_small(now, big, "cell", "inner", max_broadcast).withColumn("h", F.xxhash64("id", "cell") / F.lit(2.0**64) + 0.5)
+            return now
+        drawn = join_small(homes, big, "cell", "inner", max_broadcast).withColumn("h", F.xxhash64("id", "cell") / F.lit(2.0**64) + 0.5)
         drawn = drawn.where(F.col("h") < 6 * F.col("k") / F.col("count")).withColumn("r", F.row_number().over(Window.partitionBy("cell").orderBy("h", "id"))).where("r <= k")
         centres = materialise(drawn.groupBy("cell").agg(F.collect_list("v").alias("centres")), "embed_centres")
         split = join_small(now, centres, "cell", "inner", max_broadcast).mapInPandas(assign, schema)
         kept = now.join(F.broadcast(centres.select("cell")) if centres.limit(max_broadcast + 1).count() <= max_broadcast else centres.select("cell"), "cell", "left_anti")
-        now = kept.select("id", "v", "w", "cell", "home", "level").unionByName(split)
-    return materialise(now.drop("level"), "embed_shards")
+        split = kept.select("id", "v", "w", "cell", "home").unionByName(split)
+        split._cohort_path = now._cohort_path
+        now = split
+    return materialise(now, "embed_shards")
 
 
-def build(members: DataFrame, degree: int = 24, alpha: float = 1.2) -> DataFrame:
-    """src, dst of every shard's pruned graph (both directions)."""
+def parts(cells: DataFrame, visitors: int = 5000, max_broadcast: int = 20_000) -> DataFrame:
+    """``cells`` with ``part``: a cell's visitors are dealt over parts of about ``visitors``, and its own members come with each part."""
+    n = cells.groupBy("cell").agg(F.ceil(F.count(F.when(~F.col("home"), 1)) / visitors).cast("int").alias("n"))
+    n = materialise(n.withColumn("n", F.greatest("n", F.lit(1))), "embed_parts")
+    every = F.sequence(F.lit(0), F.col("n") - 1)
+    return join_small(cells, n, "cell", "inner", max_broadcast).withColumn("part", F.explode(F.when(F.col("home"), every).otherwise(F.array(F.pmod(F.xxhash64("id"), F.col("n")).cast("int"))))).drop("n")
 
-    def one(g: pd.DataFrame) -> pd.DataFrame:
-        g = g.sort_values("id")
-        ids, v = g["id"].to_numpy(), np.stack(g["v"].to_list())
-        adj = robust_prune(v, degree, alpha=alpha)
-        i, k = np.nonzero(adj >= 0)
-        a, b = ids[i], ids[adj[i, k]]
-        return pd.DataFrame({"src": np.concatenate([a, b]), "dst": np.concatenate([b, a])})
 
-    return members.select("cell", "id", "v").groupBy("cell").applyInPandas(one, "src long, dst long").distinct()
+def _merge(lab: np.ndarray, a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """Labels ``lab`` after the pairs (a, b) are joined."""
+    a, b = lab[a], lab[b]
+    apart = np.unique((np.minimum(a, b) * len(lab) + np.maximum(a, b))[a != b])
+    return _union(len(lab), apart // len(lab), apart % len(lab))[lab] if len(apart) else lab
 
 
 def links(rows: DataFrame, threshold: float = 0.98, shard_rows: int = 2500, degree: int = 24, audit_queries: int = 24, audit_recall: float = 0.99) -> DataFrame:
     """vec_id, n_links, component_id, kept."""
     member, reps = classes(rows)
-    cells = shards(reps, shard_rows)
-    edges = materialise(build(cells, degree), "embed_edges")
-    here, there = cells.select("cell", F.col("id").alias("src")), cells.select("cell", F.col("id").alias("dst"))
-    lists = edges.join(here, "src").join(there, ["cell", "dst"]).groupBy("cell", "src").agg(F.sort_array(F.collect_list("dst")).alias("to"))
-    nodes = cells.join(lists.withColumnRenamed("src", "id"), ["cell", "id"], "left")
+    nodes = parts(shards(reps, shard_rows, threshold=threshold))
 
     def search(g: pd.DataFrame) -> pd.DataFrame:
-        g = g.sort_values("id")
+        g = g.sort_values(["home", "id"], ascending=[False, True])
         ids, w, v = g["id"].to_numpy(), g["w"].to_numpy(), np.stack(g["v"].to_list())
-        at = {x: i for i, x in enumerate(ids)}
-        adj = _pad([np.array([at[x] for x in t], dtype=np.int32) if t is not None else np.zeros(0, np.int32) for t in g["to"]])
-        start = int((v @ v.mean(axis=0)).argmax())
-        home = np.flatnonzero(g["home"].to_numpy())
-        sample = home[np.linspace(0, len(home) - 1, min(audit_queries, len(home))).astype(int)] if len(home) else home
-        patience, slack = 12, 0.03
-        for _ in range(6):
-            found = sum(int((s >= threshold).sum()) for _, _, s in range_search(v, adj, sample, start, threshold, patience, slack))
-            there = sum(int((v[q] @ v.T >= threshold).sum()) for q in sample)
-            if found >= audit_recall * there:
-                break
-            patience, slack = patience * 2, slack * 2
-        out, pa, pb = [], [], []
-        for a, q, sim in range_search(v, adj, home, start, threshold, patience, slack):
-            sim[np.arange(len(q)), q] = -9.0
-            hit = sim >= threshold
+        n = int(g["home"].sum())
+        counts, lab = np.zeros(len(ids), dtype=np.int64), np.arange(len(ids))
+        if n and g["part"].iloc[0] == 0:
+            own = v[:n]
+            near = robust_prune(own, degree)
+            i, k = np.nonzero(near >= 0)
+            pairs = np.unique(np.concatenate([i * n + near[i, k], near[i, k] * np.int64(n) + i]))
+            adj = _pad(np.split((pairs % n).astype(np.int32), np.searchsorted(pairs // n, np.arange(1, n))))
+            start, home = int((own @ own.mean(axis=0)).argmax()), np.arange(n)
+            sample = home[np.linspace(0, n - 1, min(audit_queries, n)).astype(int)]
+            there = sum(int((own[q] @ own.T >= threshold).sum()) for q in sample)
+            patience, slack = 12, 0.03
+            for _ in range(6):
+                found = sum(int((s >= threshold).sum()) for _, _, s in range_search(own, adj, sample, start, threshold, patience, slack))
+                if found >= audit_recall * there:
+                    break
+                patience, slack = patience * 2, slack * 2
+            for _, q, sim in range_search(own, adj, home, start, threshold, patience, slack):
+                sim[np.arange(len(q)), q] = -9.0
+                hit = sim >= threshold
+                i, j = np.nonzero(hit)
+                counts[q] += hit @ w[:n] + w[q] - 1
+                lab = _merge(lab, q[i], j)
+        for a in range(n, len(ids) if n else 0, 256):
+            hit = v[a : a + 256] @ v[:n].T >= threshold
             i, j = np.nonzero(hit)
-            out.append((q, hit @ w + w[q] - 1))
-            pa.append(q[i])
-            pb.append(j)
-        if not out:
-            return pd.DataFrame({"id": [], "n_links": [], "root": []}).astype("int64")
-        lab = _union(len(ids), np.concatenate(pa), np.concatenate(pb))
-        counts = dict(zip(np.concatenate([x for x, _ in out]).tolist(), np.concatenate([c for _, c in out]).tolist()))
-        rows = [(ids[i], counts.get(i), ids[lab[i]]) for i in range(len(ids)) if i in counts or lab[i] != i]
-        return pd.DataFrame(rows, columns=["id", "n_links", "root"]).astype({"n_links": "Int64"})
-
-    found = materialise(nodes.groupBy("cell").applyInPandas(search, "id long, n_links long, root long"), "embed_found")
+            counts[a : a + 256] += hit @ w[:n]
+            lab = _merge(lab, a + i, j)
+        out = pd.DataFrame({"id": ids, "n_links": counts, "root": ids[lab]})
+        return out[(counts > 0) | (lab != np.arange(len(ids)))]
+
+    found = materialise(nodes.groupBy("cell", "part").applyInPandas(search, "id long, n_links long, root long"), "embed_found")
     comp = components(found.where("id != root").select(F.col("id").alias("a"), F.col("root").alias("b")))
-    per = found.where("n_links is not null").select(F.col("id").alias("cls"), "n_links")
+    per = found.groupBy(F.col("id").alias("cls")).agg(F.sum("n_links").alias("n_links"))
     per = per.join(comp.withColumnRenamed("id", "cls"), "cls", "left")
     out = member.join(per, "cls", "left")
     comp_id = F.coalesce("component", "cls", "vec_id")

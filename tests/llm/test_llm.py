@@ -95,6 +95,19 @@ def test_embedding_links_against_brute_force(spark):
     assert all(got[i]["n_links"] <= n for i, n in want.items()) and all(got[i]["n_links"] == 0 and got[i]["component_id"] == i for i in (900, 901, 902, 903))
 
 
+def test_links_of_a_dense_group_wider_than_a_shard(spark):
+    rng = np.random.default_rng(8)
+    base = rng.normal(size=16)
+    x = np.concatenate([base + rng.normal(size=(600, 16)) * 0.12, rng.normal(size=(200, 16))])
+    v = x / np.linalg.norm(x, axis=1, keepdims=True)
+    d = spark.createDataFrame([(i, e.tolist(), 1) for i, e in enumerate(x)], "vec_id long, embedding array<double>, label int")
+    result = embed_graph.links(d, shard_rows=60)
+    got = {r["vec_id"]: r["n_links"] for r in result.collect()}
+    want = (v @ v.T >= 0.98).sum(axis=1) - 1
+    assert want.max() > 3 * 60 and all(got[i] <= n for i, n in enumerate(want)) and sum(got.values()) >= 0.99 * want.sum()
+    assert embed_graph.audit(d, result, every=1) >= 0.99
+
+
 def brute_components(rows, words=3, percent=90):
     sets = {}
     for i, t in rows:
