@@ -13,7 +13,8 @@ joined and decoded. A group is one record's payload, so it is bounded by that re
 Edge cases: null or empty payloads give records of 0 bytes; invalid UTF-8 in a payload survives
 (bytes are never decoded); a missing segment, wrong total length or broken chunk framing gives
 ``ok = false`` with the payload left null; an empty table writes no record and reads as no rows;
-repeated keys are kept as separate records.
+repeated and null keys are kept as separate records: their ids get a suffix that is the record's own
+(partition and number), which reading takes off the key again. A revisit of such a row names its key.
 """
 
 from __future__ import annotations
@@ -24,6 +25,7 @@ import hashlib
 from collections.abc import Iterator
 
 import pandas as pd
+from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -71,10 +73,11 @@ def _clean(x: object) -> str:
     return "".join(c for c in str(x or "") if c > "\x1f")
 
 
-def records(key, uri, payload: bytes, digest: str, refers_to, segment_bytes: int) -> list[bytes]:
-    """The records of one row: a response (with its continuations) or a revisit."""
+def records(key, uri, payload: bytes, digest: str, refers_to, segment_bytes: int, suffix: str = "") -> list[bytes]:
+    """The records of one row: a response (with its continuations) or a revisit; ``suffix`` tells rows of one key apart."""
+    own = f"{'' if key is None else key}{suffix}"
     sha1 = "sha1:" + base64.b32encode(bytes.fromhex(digest)).decode()
-    head = [("WARC-Record-ID", f"<{URN}{key}>"), ("WARC-Target-URI", _clean(uri)), ("WARC-Date", "2024-01-01T00:00:00Z"), ("WARC-Payload-Digest", sha1), ("Content-Type", "application/http;msgtype=response")]
+    head = [("WARC-Record-ID", f"<{URN}{own}>"), ("WARC-Target-URI", _clean(uri)), ("WARC-Date", "2024-01-01T00:00:00Z"), ("WARC-Payload-Digest", sha1), ("Content-Type", "application/http;msgtype=response")]
     if refers_to is not None:
         block = f"HTTP/1.1 200 OK\r\nContent-Type: text/html; charset=utf-8\r\nContent-Length: {len(payload)}\r\n\r\n".encode()
         profile = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
@@ -89,7 +92,7 @@ def records(key, uri, payload: bytes, digest: str, refers_to, segment_bytes: int
         if n == 1:
             headers = [("WARC-Type", "response"), *head, ("WARC-Segment-Number", "1")]
         else:
-            headers = [("WARC-Type", "continuation"), ("WARC-Record-ID", f"<{URN}{key}/{n}>"), head[2], ("WARC-Segment-Origin-ID", f"<{URN}{key}>"), ("WARC-Segment-Number", str(n))]
+            headers = [("WARC-Type", "continuation"), ("WARC-Record-ID", f"<{URN}{own}/{n}>"), head[2], ("WARC-Segment-Origin-ID", f"<{URN}{own}>"), ("WARC-Segment-Number", str(n))]
             if n == len(cuts):
                 headers.append(("WARC-Segment-Total-Length", str(len(block))))
         out.append(_record(headers, part))
@@ -102,13 +105,20 @@ def write_archives(rows: DataFrame, path: str, segment_bytes: int = 16384, revis
     d = rows.select("key", "uri", payload.alias("payload")).withColumn("digest", F.sha1("payload")).withColumn("n", F.length("payload"))
     groups = d.where(F.col("n") >= revisit_bytes).groupBy("digest", "n").agg(F.max("key").alias("response"), F.count("*").alias("copies")).where("copies > 1").drop("copies")
     d = join_small(d, materialise(groups, "warc_groups"), ["digest", "n"], "left", max_broadcast)
-    d = d.select("key", "uri", "payload", "digest", F.when(F.col("response") != F.col("key"), F.col("response")).alias("refers_to"))
+    repeated = rows.where("key is not null").groupBy("key").count().where("count > 1").select("key", F.lit(True).alias("repeated"))
+    d = join_small(d, materialise(repeated, "warc_repeated"), "key", "left", max_broadcast)
+    shared = F.col("key").isNull() | F.coalesce("repeated", F.lit(False))
+    d = d.select("key", "uri", "payload", "digest", F.when(F.col("response") != F.col("key"), F.col("response")).alias("refers_to"), shared.alias("shared"))
 
     def write(batches: Iterator) -> Iterator:
         import pyarrow as pa
 
+        part, at = TaskContext.get().partitionId(), 0
         for b in batches:
-            out = [r for row in zip(*[b.column(i).to_pylist() for i in range(5)]) for r in records(*row, segment_bytes)]
+            out = []
+            for n, (*row, shared) in enumerate(zip(*[b.column(i).to_pylist() for i in range(6)]), at):
+                out += records(*row, segment_bytes, f"/{part}.{n}" if shared else "")
+            at += b.num_rows
             yield pa.RecordBatch.from_pydict({"record": pa.array(out, pa.binary())})
 
     made = d.mapInArrow(write, "record binary").select(F.col("record").cast("string").alias("value"))
@@ -189,7 +199,7 @@ def reassemble(segments: DataFrame, with_payload: bool = True) -> DataFrame:
 
     def row(key, kind, uri, parts, total, digest, refers):
         payload, n, sha, ok = _decode(kind, parts, total, digest)
-        return (key, kind, uri, n, sha, refers, ok, *((payload,) if with_payload else ()))
+        return (key.partition("/")[0] or None, kind, uri, n, sha, refers, ok, *((payload,) if with_payload else ()))
 
     def single(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for b in batches:

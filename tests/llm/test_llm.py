@@ -49,6 +49,17 @@ def test_warc_round_trip_segments_and_revisits(spark):
     assert warc.dechunked(warc.chunked(b"abc" * 5000)) == b"abc" * 5000 and warc.dechunked(b"5\r\nab") is None
 
 
+def test_warc_keeps_rows_of_repeated_and_null_keys(spark):
+    a, b = "é<p>" * 9000, "xyz " * 12000
+    rows = [(1, a), (1, a), (2, a), (2, b), (None, a), (None, b), (None, "s"), (7, "s"), (7, "s"), (0, b)]
+    pages = spark.createDataFrame([(k, "u", h) for k, h in rows], "page_id long, url string, html string")
+    got = [(r["key"] and int(r["key"]), r["record_type"], r["refers_to"] and int(r["refers_to"]), r["payload_bytes"], r["ok"]) for r in warc.round_trip(pages).collect()]
+    top = {a: 2, b: 2, "s": 7}
+    again = lambda k, h: k is not None and len(h) >= 1000 and k != top[h]
+    want = [(k, "revisit" if again(k, h) else "response", top[h] if again(k, h) else None, len(h.encode()), True) for k, h in rows]
+    assert sorted(got, key=str) == sorted(want, key=str)
+
+
 def test_merge_finds_repeated_intervals():
     random.seed(3)
     for _ in range(20):
