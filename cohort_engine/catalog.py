@@ -509,8 +509,7 @@ def kmeans_cohorts(spark, sf):
 @query()
 def density_cohorts(spark, sf):
     v = _embed(spark, sf)
-    pairs = similarity.minmax_kernel(v, _pairs(v, 1).union(_pairs(v, 2)).union(_pairs(v, 3)))
-    return blocks.density_cohorts(pairs, v.select("user_id").distinct(), 0.2, 2)
+    return blocks.density_cohorts(similarity.similarity_join(v, 0.2), v.select("user_id").distinct(), 0.2, 2)
 
 
 @query()

@@ -58,16 +58,20 @@ def kmeans_cohorts(v: DataFrame, k: int, dimensions: int = 256, iterations: int
     return fitted.transform(x).select("user_id", F.col("prediction").cast("string").alias("cohort_id"))
 
 
-def density_cohorts(pairs: DataFrame, users: DataFrame, threshold: float, min_points: int, max_rounds: int = 30) -> DataFrame:
-    """Density clusters from ``pairs`` (a, b, similarity): cores have ``min_points`` neighbours, clusters are their components, borders join the smallest."""
+def density_cohorts(pairs: DataFrame, users: DataFrame, threshold: float, min_points: int) -> DataFrame:
+    """Density clusters from ``pairs`` (a, b, similarity): cores have ``min_points`` neighbours, clusters are their components, borders join the smallest.
+
+    Labels only fall and also jump to the label of their label, so the loop ends, in few rounds on long chains.
+    """
     near = pairs.where(F.col("similarity") >= threshold).where("a <> b").select("a", "b")
     both = shared_write(near.union(near.select("b", "a")).distinct(), "near")
     core = both.groupBy("a").count().where(F.col("count") >= min_points - 1).select("a")
     inner = both.join(core, "a", "left_semi").join(core.withColumnRenamed("a", "b"), "b", "left_semi").select("a", "b")
     label = shared_write(core.select("a", F.col("a").alias("c")), "label")
-    for _ in range(max_rounds):
+    while True:
         least = inner.join(label.withColumnRenamed("a", "b"), "b").groupBy("a").agg(F.min("c").alias("m"))
-        new = shared_write(label.join(least, "a", "left").select("a", F.least("c", F.coalesce("m", "c")).alias("c")), "label")
+        low = label.join(least, "a", "left").select("a", F.least("c", F.coalesce("m", "c")).alias("c"))
+        new = shared_write(low.join(label.toDF("c", "up"), "c").select("a", F.least("c", "up").alias("c")), "label")
         if not new.join(label.withColumnRenamed("c", "old"), "a").where("c <> old").limit(1).count():
             break
         label = new

@@ -22,6 +22,25 @@ def minmax_kernel(v: DataFrame, pairs: DataFrame, p: float = 1.0) -> DataFrame:
     return j.select("a", "b", (m / (F.col("ta") + F.col("tb") - m)).alias("similarity"))
 
 
+def similarity_join(v: DataFrame, threshold: float, p: float = 1.0, max_users: int = 20_000) -> DataFrame:
+    """a < b, similarity of all pairs with a kernel of at least ``threshold`` (above 0, so they share a feature).
+
+    The kernel is at most the smaller sum over the larger one, which drops pairs before their minima are
+    summed. Users that share a feature meet, so more than ``max_users`` is refused.
+    """
+    if threshold <= 0:
+        raise ValueError("the threshold must be above 0")
+    if v.select("user_id").distinct().limit(max_users + 1).count() > max_users:
+        raise ValueError(f"the similarity join is refused above {max_users} users")
+    w = v.select("user_id", "feature", F.pow("weight", F.lit(p)).alias("w"))
+    w = w.join(w.groupBy("user_id").agg(F.sum("w").alias("t")), "user_id")
+    x, y = w.toDF("a", "feature", "x", "ta"), w.toDF("b", "feature", "y", "tb")
+    bound = F.least("ta", "tb") >= (threshold - 1e-9) * F.greatest("ta", "tb")
+    both = x.join(y, "feature").where((F.col("a") < F.col("b")) & bound)
+    both = both.groupBy("a", "b").agg(F.sum(F.least("x", "y")).alias("m"), F.first("ta").alias("ta"), F.first("tb").alias("tb"))
+    return both.select("a", "b", (F.col("m") / (F.col("ta") + F.col("tb") - F.col("m"))).alias("similarity")).where(F.col("similarity") >= threshold)
+
+
 def cosine(v: DataFrame, pairs: DataFrame) -> DataFrame:
     norm = v.groupBy("user_id").agg(F.sqrt(F.sum(F.col("weight") * F.col("weight"))).alias("t"))
     x = pairs.join(v.select(F.col("user_id").alias("a"), "feature", F.col("weight").alias("x")), "a")

@@ -86,3 +86,16 @@ def test_recall_by_hand(spark):
 def test_weights_are_cleaned(spark):
     v = features.clean(vectors(spark, [(1, "a", 0.5), (1, "b", None), (1, "c", float("nan")), (1, "d", -1.0), (1, "a", 0.5)]))
     assert [tuple(r) for r in v.collect()] == [(1, "a", 1.0)]
+
+
+def test_density_sees_all_pairs_and_long_chains(spark):
+    v = features.split_signs(spark.read.parquet(f"{SF}/embeddings.parquet").where("vec_id < 60"), "vec_id", "embedding")
+    u = v.select("user_id").distinct()
+    every = u.toDF("a").crossJoin(u.toDF("b")).where("a < b")
+    want = {(r["a"], r["b"]) for r in similarity.minmax_kernel(v, every).where("similarity >= 0.2").collect()}
+    assert {(r["a"], r["b"]) for r in similarity.similarity_join(v, 0.2).collect()} == want and any(b - a > 3 for a, b in want)
+    with pytest.raises(ValueError):
+        similarity.similarity_join(v, 0.2, max_users=10)
+    chain = spark.createDataFrame([(i, i + 1, 1.0) for i in range(80)], "a long, b long, similarity double")
+    got = blocks.density_cohorts(chain, users(spark, 82), 0.5, 2)
+    assert {r["cohort_id"]: r["count"] for r in got.groupBy("cohort_id").count().collect()} == {"0": 81, "noise": 1}
