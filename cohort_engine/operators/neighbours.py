@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from .mode_split import shared_write
 from .similarity import minmax_kernel
 
 
@@ -29,6 +30,14 @@ def exact_neighbours(v: DataFrame, queries: DataFrame, k: int, p: float = 1.0) -
     return minmax_kernel(v, pairs, p).withColumn("place", F.row_number().over(w)).where(F.col("place") <= k)
 
 
+def nearest(index: DataFrame, queries: DataFrame, v: DataFrame, k: int, p: float = 1.0) -> DataFrame:
+    """``bucket_query``, and ``exact_neighbours`` for the queries that share buckets with fewer than ``k``."""
+    found = shared_write(bucket_query(index, queries, v, k, p), "nearest")
+    short = queries.join(found.where(F.col("place") == k).select(F.col("a").alias("user_id")), "user_id", "left_anti")
+    rest = exact_neighbours(v, short, k, p)
+    return found.join(short.withColumnRenamed("user_id", "a"), "a", "left_anti").select(rest.columns).unionByName(rest)
+
+
 def neighbour_recall(approximate: DataFrame, exact: DataFrame) -> DataFrame:
     hit = exact.join(approximate.select("a", "b").withColumn("hit", F.lit(1)), ["a", "b"], "left")
     return hit.agg(F.avg(F.coalesce("hit", F.lit(0)).cast("double")).alias("recall"), F.count("*").alias("wanted"))

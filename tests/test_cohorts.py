@@ -8,7 +8,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from cohort_engine import catalog
-from cohort_engine.operators import blocks, campaigns, features, hashing, mode_split, similarity
+from cohort_engine.operators import blocks, campaigns, features, hashing, mode_split, neighbours, similarity
 
 SF = "/root/testdata/sf0.001"
 
@@ -99,3 +99,15 @@ def test_density_sees_all_pairs_and_long_chains(spark):
     chain = spark.createDataFrame([(i, i + 1, 1.0) for i in range(80)], "a long, b long, similarity double")
     got = blocks.density_cohorts(chain, users(spark, 82), 0.5, 2)
     assert {r["cohort_id"]: r["count"] for r in got.groupBy("cohort_id").count().collect()} == {"0": 81, "noise": 1}
+
+
+def test_bucket_query_finds_the_nearest(spark):
+    r = catalog.queries()["neighbour_recall"](spark, SF).collect()[0]
+    assert r["wanted"] == 100 and r["recall"] >= 0.9
+
+
+def test_short_bucket_queries_fall_back_to_all(spark):
+    v = vectors(spark, [(i, x, 1.0) for i in range(12) for x in ("all", *(f"{i}.{j}" for j in range(30)))])
+    q = users(spark, 1)
+    none = neighbours.bucket_index(users(spark, 12).select("user_id", F.array("user_id").alias("sig")), 1, 1)
+    assert neighbours.nearest(none, q, v, 5).exceptAll(neighbours.exact_neighbours(v, q, 5)).count() == 0 and neighbours.nearest(none, q, v, 5).count() == 5
