@@ -10,7 +10,8 @@ from .operators.features import BASKETS_SQL, DOCS_SQL, EMBED_SQL
 from .plans import workloads
 from .sources.tables import read_table
 
-SEED, P, K, ROUNDS = 7, 1.2, 20, 12
+SEED, P, K, ROUNDS = 7, 1.2, 20, 12  # the rounds that SQL repeats; experiments have ALL_ROUNDS
+ALL_ROUNDS, LENGTHS = 1000, (50, 75, 100)
 _Q, _SQL = {}, {}
 
 
@@ -469,9 +470,46 @@ def assign_new(spark, sf):
     return mode_split.assign_new(keys, _split(spark, sf).split_log)
 
 
+@query()
+def full_split_baskets(spark, sf):
+    """The whole split; the ``mode_split_*`` queries and those on ``_split`` with SQL are its first rounds."""
+    return _split(spark, sf, rounds=ALL_ROUNDS).assignments
+
+
+@query()
+def full_size_cdf(spark, sf):
+    return campaigns.size_cdf(full_split_baskets(spark, sf))
+
+
+@query()
+def full_size_percentiles(spark, sf):
+    return campaigns.size_percentiles(full_split_baskets(spark, sf), K)
+
+
+@query()
+def full_anonymity_audit(spark, sf):
+    return campaigns.anonymity_audit(full_split_baskets(spark, sf), _users(spark, sf), K)
+
+
+@query()
+def full_recall_of_split(spark, sf):
+    v = features.baskets(spark, sf)
+    return workloads.evaluate(full_split_baskets(spark, sf), campaigns.match_users(_camps(v), v))
+
+
+@query()
+def full_split_pair_key(spark, sf):
+    return _split(spark, sf, key="feature_level", rounds=ALL_ROUNDS).assignments
+
+
+@query()
+def full_split_strict(spark, sf):
+    return _split(spark, sf, strict=True, rounds=ALL_ROUNDS).assignments
+
+
 @query()
 def within_similarity(spark, sf):
-    return campaigns.within_similarity(_split(spark, sf).assignments, features.baskets(spark, sf), P)
+    return campaigns.within_similarity(_split(spark, sf, rounds=ALL_ROUNDS).assignments, features.baskets(spark, sf), P)
 
 
 def _nearest(spark, sf):
@@ -503,12 +541,12 @@ def similar_pairs(spark, sf):
 def recall_table(spark, sf):
     """All five methods on document vectors."""
     v = features.doc_terms(spark, sf)
-    return workloads.compare(v, workloads.word_campaigns(v, K), K, rounds=64, lengths=(50,))
+    return workloads.compare(v, workloads.word_campaigns(v, K), K, rounds=ALL_ROUNDS, lengths=LENGTHS)
 
 
 @query()
 def p_sweep(spark, sf):
-    return workloads.p_sweep(features.baskets(spark, sf), _users(spark, sf), workloads.basket_campaigns(spark), [x / 10 for x in range(5, 16)], K, rounds=ROUNDS)
+    return workloads.p_sweep(features.baskets(spark, sf), _users(spark, sf), workloads.basket_campaigns(spark), [x / 10 for x in range(5, 16)], K, rounds=ALL_ROUNDS)
 
 
 @query()

@@ -111,3 +111,13 @@ def test_short_bucket_queries_fall_back_to_all(spark):
     q = users(spark, 1)
     none = neighbours.bucket_index(users(spark, 12).select("user_id", F.array("user_id").alias("sig")), 1, 1)
     assert neighbours.nearest(none, q, v, 5).exceptAll(neighbours.exact_neighbours(v, q, 5)).count() == 0 and neighbours.nearest(none, q, v, 5).count() == 5
+
+
+def test_experiments_have_all_rounds_and_lengths(spark, monkeypatch):
+    seen = []
+    monkeypatch.setattr(catalog.workloads, "compare", lambda v, c, k, **o: seen.append((o["rounds"], o["lengths"])))
+    monkeypatch.setattr(catalog.workloads, "p_sweep", lambda v, u, c, grid, k, **o: seen.append((o["rounds"], grid)))
+    monkeypatch.setattr(catalog.mode_split, "mode_split", lambda v, u, **o: seen.append(o["rounds"]) or mode_split.Cohorts(u, u, 0))
+    for name in ("recall_table", "p_sweep", "full_split_baskets", "full_split_pair_key", "full_split_strict"):
+        catalog.queries()[name](spark, SF)
+    assert seen == [(1000, (50, 75, 100)), (1000, [x / 10 for x in range(5, 16)]), 1000, 1000, 1000]
