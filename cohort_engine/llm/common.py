@@ -23,9 +23,12 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that all executors share; a temporary one only where none is configured."""
+    """The folder that all executors share (spark.checkpoint.dir). Where none is set, a temporary one on a local master and an error on a cluster."""
     folder = spark.conf.get("spark.checkpoint.dir", None)
     if not folder:
+        master = spark.conf.get("spark.master", "")
+        if not master.startswith("local") or master.startswith("local-cluster"):
+            raise ValueError("spark.checkpoint.dir must name a folder that the driver and all executors share")
         folder = getattr(shared_dir, "own", None)
         if folder is None:
             folder = shared_dir.own = "file://" + tempfile.mkdtemp(prefix="cohort_engine_")
@@ -65,6 +68,24 @@ def join_small(big: DataFrame, side: DataFrame, on, how: str, max_rows: int) ->
     return big.join(F.broadcast(side) if small(side, max_rows) else side, on, how)
 
 
+def keyed(docs: DataFrame, name: str = "_key") -> DataFrame:
+    """``docs`` plus a long column ``name`` that is another for every row: the doc_id where it is not null and on one row only.
+
+    Other rows, if there are any (``.odd`` of the result), are written once and get numbers below all ids.
+    """
+    d = docs.withColumn(name, F.col("doc_id").cast("long"))
+    odd = materialise(d.groupBy(name).count().where(F.col(name).isNull() | (F.col("count") > 1)).select(F.col(name).alias("_odd")), "odd_ids")
+    d.odd = bool(odd.limit(1).count())
+    if not d.odd:
+        return d
+    low = F.lit(min(0, d.agg(F.min(name)).collect()[0][0] or 0))
+    same = F.col(name).eqNullSafe(F.col("_odd"))
+    own = materialise(d.join(odd, same, "left_semi").withColumn(name, low - 1 - F.monotonically_increasing_id()), "odd_rows")
+    out = d.join(odd, same, "left_anti").unionByName(own)
+    out.odd = True
+    return out
+
+
 def give_back() -> None:
     """Return this Python worker's freed memory to the system: workers outlive their tasks and share the executor's memory."""
     pa.default_memory_pool().release_unused()

@@ -33,7 +33,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import BitFilter, components, discard, join_small, lean, materialise, over_texts
+from .common import BitFilter, components, discard, join_small, keyed, lean, materialise, over_texts
 
 BITS = 2048
 _M1, _M2, _M3 = (np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9))
@@ -493,8 +493,16 @@ def bitmaps(docs: DataFrame, words: int = 3, fine: bool = False) -> DataFrame:
     return over_texts(docs.select("doc_id", "text"), run, "rep long, n long, map binary")
 
 
-def keep_one_each(docs: DataFrame, **options) -> DataFrame:
-    """``docs`` with one document (the smallest id) of each component; of repeated rows of it, one."""
-    kept = link_components(docs, **options).where("doc_id = component_id").select("doc_id").distinct()
-    names = docs.columns
-    return docs.join(kept, "doc_id", "left_semi").dropDuplicates(["doc_id"]).select(*names)
+def keep_one_each(docs: DataFrame, max_broadcast: int = 2_000_000, **options) -> DataFrame:
+    """``docs`` with one row of each component: that of the smallest id (null last), and of several with that id the one whose text is first by hash.
+
+    Rows are told apart by keys of their own, so rows that share an id but not a text are no copies.
+    """
+    rows = keyed(docs, "_row")
+    linked = link_components(rows.select(F.col("_row").alias("doc_id"), "text"), max_broadcast=max_broadcast, **options).select(F.col("doc_id").alias("_row"), "component_id")
+    if not rows.odd:
+        kept = linked.where("_row = component_id").select("_row")
+    else:
+        place = F.struct(F.col("doc_id").isNull().alias("n"), F.col("doc_id").cast("long").alias("d"), F.xxhash64("text").alias("t"), F.col("_row").alias("r"))
+        kept = rows.select("_row", place.alias("p")).join(linked, "_row").groupBy("component_id").agg(F.min("p").alias("p")).select(F.col("p.r").alias("_row"))
+    return join_small(rows, materialise(kept, "jaccard_kept"), "_row", "left_semi", max_broadcast).select(*docs.columns)

@@ -1,39 +1,42 @@
 """Language identification by bit-sliced Bloom filters of character n-grams.
 
-One table of 64-bit slots serves all languages: bit L of a slot belongs to language L, so the AND of
-an n-gram's slots is the bitmask of the languages that contain it. A text's hits are counted per
+One table of slots serves all languages: bit L of a slot belongs to language L, so the AND of an
+n-gram's slots is the bitmask of the languages that contain it. A slot has as many 64-bit words as
+the languages need. A text's hits are counted per
 language, corrected for that language's false-positive rate (its share of set bits to the power of
 the number of hashes), and the largest corrected count decides; the score is its share of the sum.
 
 Learning uses at most ``max_docs`` documents a language (seeded order) and keeps each language's
-``max_grams`` commonest n-grams. Up to 64 languages fit one table.
+``max_grams`` commonest n-grams. Letters are the characters of Unicode category L; combining marks
+stay with the letters they follow, and all else parts words.
 
-Edge cases: null texts and texts without a letter are ``und`` with score 0; ties go to the language
+Edge cases: null texts and texts without a letter (digits, numerals, signs) are ``und`` with score 0; ties go to the language
 first in order; without any training language all texts are ``und``; texts are read whole; repeated
 rows get equal rows; extra columns are ignored.
 """
 
 from __future__ import annotations
 
-import re
 from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
 import pandas as pd
+import regex
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import hex_order
+from .common import hex_order, join_small
 
-NOT_LETTERS = re.compile(r"[\W\d_]+")
+NOT_LETTERS = regex.compile(r"[^\p{L}\p{M}]+")
+LETTER = regex.compile(r"\p{L}")
 SIZES = (3, 4)
 
 
 def gram_codes(text: str) -> np.ndarray:
     """64-bit codes of the n-grams of a text: letters in lower case, words parted by one blank."""
     t = NOT_LETTERS.sub(" ", text.lower()).strip()
-    if not t:
+    if not LETTER.search(t):
         return np.zeros(0, np.uint64)
     c = np.frombuffer(f" {t} ".encode("utf-32-le"), dtype=np.uint32).astype(np.uint64)
     out = []
@@ -57,14 +60,12 @@ class BitSlicedFilter:
     @classmethod
     def build(cls, grams: dict[str, np.ndarray], log_slots: int = 19, hashes: int = 3) -> BitSlicedFilter:
         names = sorted(grams)
-        if len(names) > 64:
-            raise ValueError("a table holds at most 64 languages")
-        slots = np.zeros(1 << log_slots, dtype=np.uint64)
+        slots = np.zeros((1 << log_slots, max(1, -(-len(names) // 64))), dtype=np.uint64)
         self = cls(names, slots, hashes, np.zeros(len(names)))
         for b, name in enumerate(names):
             for at in self._places(grams[name]):
-                slots[at] |= np.uint64(1) << np.uint64(b)
-        fill = [float(((slots >> np.uint64(b)) & np.uint64(1)).mean()) for b in range(len(names))]
+                slots[at, b // 64] |= np.uint64(1) << np.uint64(b % 64)
+        fill = [float(((slots[:, b // 64] >> np.uint64(b % 64)) & np.uint64(1)).mean()) for b in range(len(names))]
         self.false_rate = np.array(fill) ** hashes
         return self
 
@@ -74,7 +75,7 @@ class BitSlicedFilter:
             yield ((codes + np.uint64(k) * (step | np.uint64(1))) & mask).astype(np.int64)
 
     def masks(self, codes: np.ndarray) -> np.ndarray:
-        """The bitmask of languages for each n-gram."""
+        """The bitmask of languages for each n-gram: n-grams x words of 64 languages."""
         out = None
         for at in self._places(codes):
             out = self.slots[at] if out is None else out & self.slots[at]
@@ -85,7 +86,7 @@ class BitSlicedFilter:
         if not len(codes) or not self.languages:
             return "und", 0.0
         m = self.masks(codes)
-        hits = np.array([np.count_nonzero(m & (np.uint64(1) << np.uint64(b))) for b in range(len(self.languages))], dtype=float)
+        hits = np.array([np.count_nonzero(m[:, b // 64] & (np.uint64(1) << np.uint64(b % 64))) for b in range(len(self.languages))], dtype=float)
         fixed = np.maximum(hits - len(codes) * self.false_rate, 0) / (1 - np.minimum(self.false_rate, 0.999))
         best = int(fixed.argmax())
         return self.languages[best], float(fixed[best] / fixed.sum()) if fixed.sum() > 0 else 1.0 / len(self.languages)
@@ -95,16 +96,9 @@ def learn(docs: DataFrame, max_docs: int = 400, max_grams: int = 30_000, near_sh
     """``docs`` (doc_id, text, lang) to a filter; rows without text or lang teach nothing."""
     d = docs.where("lang is not null and text is not null and doc_id is not null").select("doc_id", "text", "lang")
     per = d.groupBy("lang").count()
-    langs = per.orderBy("lang").limit(65).collect()
-    if not langs:
-        return BitSlicedFilter.build({}, **options)
-    if len(langs) > 64:
-        raise ValueError("a table holds at most 64 languages")
-    share = F.lit(0.0)
-    for r in langs:
-        share = F.when(F.col("lang") == r["lang"], F.lit(min(1.0, 2 * max_docs / r["count"]))).otherwise(share)
-    order = hex_order(seed, "doc_id")
-    near = d.select("doc_id", "lang", order.alias("o")).where(F.conv(F.substring("o", 1, 8), 16, 10).cast("double") < share * 2**32)
+    per = per.select("lang", F.least(F.lit(1.0), 2 * max_docs / F.col("count")).alias("share"))  # a row a language
+    order, share = hex_order(seed, "doc_id"), F.col("share")
+    near = join_small(d, per, "lang", "inner", 100_000).select("doc_id", "lang", order.alias("o"), "share").where(F.conv(F.substring("o", 1, 8), 16, 10).cast("double") < share * 2**32)
     pick = near.withColumn("r", F.row_number().over(Window.partitionBy("lang").orderBy("o"))).where(F.col("r") <= max_docs).select("doc_id", "lang")
     taught = d.join(F.broadcast(pick.distinct()), ["doc_id", "lang"], "left_semi")
 

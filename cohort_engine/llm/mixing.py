@@ -3,7 +3,7 @@
 ``targets`` shares a token budget by weight under per-source caps (water-filling over the ordered
 cap ratios, one pass). ``apportion`` hands out integer block quotas by highest quotients: the
 divisors V/(N - m/2) and V/(N + m/2) bracket every seat count, so only about 2m quotients around
-the cut are compared instead of all N. ``mix`` applies it twice, to sources and then to each
+the cut are compared instead of all N. ``mix`` applies it to sources and then down a tree of each
 source's shards, and takes blocks in a seeded order inside every (source, shard).
 
 Edge cases: null or empty text has size 0 and takes 0; a null source is one ordinary source, last
@@ -16,7 +16,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import WORD, hex_order, join_small, materialise
+from .common import WORD, hex_order, join_small, keyed, materialise
 
 
 def sizes(docs: DataFrame) -> DataFrame:
@@ -70,11 +70,33 @@ def apportion(votes: DataFrame, seats, group: list[str], key: str, vote: str, ou
     return joined.select("v.*", (F.col("_low") + F.coalesce("_won", F.lit(0))).alias(out)).drop("_v", "_n", "_all", "_m", "_low", "_high", "_rest")
 
 
-def mix(docs: DataFrame, weights=(1, 2, 3), max_repeat: int = 3, block: int = 16, shard_rows: int = 4096, seed: int = 7) -> DataFrame:
+def shard_quotas(shards: DataFrame, fanout: int) -> DataFrame:
+    """source_rank, shard, shard_size, quota of ``shards``, whose quota is their source's.
+
+    Quotas go down a tree: at each level a group's seats are apportioned to at most ``fanout`` parts,
+    so that no task holds all shards of a large source.
+    """
+    levels = [materialise(shards.withColumn("node", F.col("shard")), "mix_shards")]
+    while (levels[-1].agg(F.max("node")).collect()[0][0] or 0) >= fanout:
+        up = levels[-1].groupBy("source_rank", F.floor(F.col("node") / fanout).alias("node"))
+        levels.append(materialise(up.agg(F.sum("shard_size").alias("shard_size"), F.max("quota").alias("quota")), "mix_nodes"))
+    out = None
+    for level in reversed(levels):
+        if out is None:  # the top: one group a source
+            own = level.withColumnRenamed("quota", "seats").withColumn("group", F.lit(0).cast("long"))
+        else:
+            seats = out.select("source_rank", F.col("node").alias("group"), F.col("quota").alias("seats"))
+            own = level.drop("quota").withColumn("group", F.floor(F.col("node") / fanout)).join(seats, ["source_rank", "group"])
+        out = materialise(apportion(own, F.col("seats"), ["source_rank", "group"], "node", "shard_size", "quota").drop("seats", "group"), "mix_quota")
+    return out.drop("node")
+
+
+def mix(docs: DataFrame, weights=(1, 2, 3), max_repeat: int = 3, block: int = 16, shard_rows: int = 4096, fanout: int = 4096, seed: int = 7) -> DataFrame:
     """doc_id, size, source_size, target, taken, source, source_rank, shard.
 
     ``block``: words in a block; ``shard_rows``: documents aimed at in a shard, so that a source
-    holding a third of all rows is spread over as many shards as its rows need.
+    holding a third of all rows is spread over as many shards as its rows need; ``fanout``: shards
+    (or groups of them) that share out quotas in one task. Windows over the sources hold one row a source.
     """
     spark = docs.sparkSession
     size = materialise(sizes(docs), "mix_sizes")
@@ -87,8 +109,7 @@ def mix(docs: DataFrame, weights=(1, 2, 3), max_repeat: int = 3, block: int = 16
     s = size.alias("s").join(t.alias("t"), F.col("s.source").eqNullSafe(F.col("t.source"))).select("s.*", "source_size", "target", "source_rank", "source_quota", "_shards")
     s = s.withColumn("_order", hex_order(seed, "doc_id"))
     s = s.withColumn("shard", F.conv(F.substring("_order", 1, 8), 16, 10).cast("long") % F.col("_shards"))
-    per_shard = s.groupBy("source_rank", "shard").agg(F.sum("size").alias("shard_size"), F.max("source_quota").alias("source_quota"))
-    quota = materialise(apportion(per_shard, F.col("source_quota"), ["source_rank"], "shard", "shard_size", "quota").drop("source_quota"), "mix_quota")
+    quota = shard_quotas(s.groupBy("source_rank", "shard").agg(F.sum("size").alias("shard_size"), F.max("source_quota").alias("quota")), fanout)
     s = s.join(F.broadcast(quota) if quota.limit(100_001).count() <= 100_000 else quota, ["source_rank", "shard"])
     words = F.least(F.col("quota") * block, F.col("shard_size") * max_repeat)
     s = s.withColumn("_words", words).withColumn("_passes", F.when(F.col("shard_size") > 0, F.expr("_words div shard_size")).otherwise(F.lit(0)))
@@ -102,8 +123,10 @@ def mixed_documents(docs: DataFrame, max_broadcast: int = 2_000_000, **options)
     """The documents the mix takes, whole, one row per repetition, with the columns of ``docs``.
 
     At most one document of a (source, shard) is taken in part; it is rounded to the nearer whole.
+    Every row counts for itself, whatever its id.
     """
-    m = mix(docs, **options).where("taken > 0").select("doc_id", F.expr("cast(round(taken / size) as int)").alias("_copies")).where("_copies > 0")
-    m = materialise(m.groupBy("doc_id").agg(F.max("_copies").alias("_copies")), "mix_copies")
-    out = join_small(docs, m, "doc_id", "inner", max_broadcast).withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("_copies"))))
+    rows = keyed(docs, "_row")
+    m = mix(rows.select(F.col("_row").alias("doc_id"), "source", "text"), **options).where("taken > 0")
+    m = m.select(F.col("doc_id").alias("_row"), F.expr("cast(round(taken / size) as int)").alias("_copies")).where("_copies > 0")
+    out = join_small(rows, materialise(m, "mix_copies"), "_row", "inner", max_broadcast).withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("_copies"))))
     return out.select(*docs.columns)

@@ -3,10 +3,13 @@
 Lengths are integers in 1..capacity, so the instance is a histogram of at most ``capacity`` counts
 however many documents there are: only that histogram reaches the driver. ``reduce_dominated``
 fixes bins of up to three lengths that provably dominate every other bin holding the same largest
-length (all equal lengths at once), and ``plan`` best-fits the rest in decreasing order with
+length (all equal bins at once), and ``plan`` best-fits the rest in decreasing order with
 multiplicities. The plan is a list of runs (length, first rank, number, per bin, first bin, offset);
-pieces get their rank within a length by two-level counting (no length is ranked in one task) and
-look their place up in the runs.
+its size follows the different lengths, not the documents. Pieces get their rank within a length by
+two-level counting in buckets whose number follows that length's count (no length is ranked in one
+task), and look their place up in the runs.
+
+Special tokens in a text become their ids, as the ``tokenizers`` library gives them by default.
 
 Edge cases: null text is empty (one end token); longer documents are cut into capacity-token pieces
 of which the first may be shorter; an empty table packs to nothing; equal documents and repeated
@@ -25,10 +28,12 @@ import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import materialise, over_texts
+from .common import join_small, materialise, over_texts
 
 CAPACITY = 2048
 END_ID = 0
+#: Fixed values of the vocabulary, which the rank file lacks.
+SPECIAL_TOKENS = {"<|endoftext|>": 50256}
 
 
 @lru_cache(maxsize=2)
@@ -39,7 +44,12 @@ def encoder(ranks_file: str):
 
     with open(ranks_file, "rb") as f:
         ranks = {base64.b64decode(a): int(b) for a, b in map(bytes.split, f)}
-    return tiktoken.Encoding("pieces", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={})
+    return tiktoken.Encoding("pieces", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens=SPECIAL_TOKENS)
+
+
+def token_ids(enc, text: str | None) -> list[int]:
+    """What ``Tokenizer.encode(text, add_special_tokens=False).ids`` is: special tokens in the text are single ids."""
+    return enc.encode(text or "", allowed_special="all")
 
 
 def default_ranks() -> str:
@@ -57,7 +67,7 @@ def tokenised_pieces(docs: DataFrame, capacity: int = CAPACITY, ranks_file: str
         for batch in batches:
             rows = []
             for doc_id, text in zip(batch["doc_id"], batch["text"]):
-                ids = np.array([*enc.encode_ordinary(text or ""), END_ID], dtype="<u4")
+                ids = np.array([*token_ids(enc, text), END_ID], dtype="<u4")
                 first = len(ids) % capacity or capacity
                 cuts = [0, *range(first, len(ids) + 1, capacity)]
                 for k, (a, b) in enumerate(zip(cuts, cuts[1:])):
@@ -94,6 +104,9 @@ class _Bins:
         self.bins += bins
 
 
+_FEW = 4
+
+
 def _dominating(left: np.ndarray, j: int, capacity: int) -> list[int] | None:
     """A set with j that dominates every feasible set with j, or None; ``left`` counts the others too."""
     room = capacity - j
@@ -125,14 +138,17 @@ def _dominating(left: np.ndarray, j: int, capacity: int) -> list[int] | None:
 
 
 def reduce_dominated(state: _Bins) -> None:
-    """Fix dominating sets, largest length first, as many equal bins at once as there are copies."""
+    """Fix dominating sets, largest length first, as many equal bins at once as there are copies.
+
+    Whether three lengths dominate depends on counts only up to ``_FEW``: while more of each are left, the same three do.
+    """
     for j in range(state.capacity, 0, -1):
         while state.left[j] > 0:
             found = _dominating(state.left, j, state.capacity)
             if found is None:
                 break
-            need = {x: found.count(x) for x in found}
-            state.close(found, max(1, min(int(state.left[x]) // n for x, n in need.items())) if len(found) < 3 else 1)
+            spare = _FEW if len(found) == 3 else 0
+            state.close(found, max(1, min((int(state.left[x]) - spare) // found.count(x) for x in found)))
 
 
 def best_fit(state: _Bins) -> None:
@@ -177,26 +193,35 @@ def plan(counts: dict[int, int], capacity: int = CAPACITY) -> tuple[np.ndarray,
     return runs, state.bins
 
 
-def pack(pieces: DataFrame, capacity: int = CAPACITY, rank_buckets: int = 64, max_runs: int = 1_000_000) -> DataFrame:
+def ranked_pieces(pieces: DataFrame, per: dict[int, int], bucket_rows: int) -> DataFrame:
+    """``pieces`` plus _rank, from 0 within each length of ``per`` (length: pieces): buckets of about ``bucket_rows`` are ranked apart and shifted by the counts before them."""
+    buckets = F.array(*[F.lit(max(1, -(-per.get(length, 0) // bucket_rows))) for length in range(max(per, default=0) + 1)])
+    keyed = pieces.withColumn("_bucket", F.pmod(F.xxhash64("doc_id", "piece", "start"), F.get(buckets, F.col("length").cast("int"))).cast("int"))
+    counts = materialise(keyed.groupBy("length", "_bucket").count(), "pack_counts")
+    before = Window.partitionBy("length").orderBy("_bucket").rowsBetween(Window.unboundedPreceding, -1)
+    starts = counts.withColumn("_start", F.coalesce(F.sum("count").over(before), F.lit(0))).drop("count")
+    within = Window.partitionBy("length", "_bucket").orderBy("doc_id", "piece", "ids_crc32")
+    ranked = keyed.withColumn("_row", F.row_number().over(within) - 1)
+    return join_small(ranked, starts, ["length", "_bucket"], "inner", 200_000).withColumn("_rank", F.col("_row") + F.col("_start")).drop("_bucket", "_row", "_start")
+
+
+def pack(pieces: DataFrame, capacity: int = CAPACITY, bucket_rows: int = 200_000, max_runs: int = 200_000) -> DataFrame:
     """``pieces`` (doc_id, piece, start, length, ids_crc32, ...) plus sequence_id and offset.
 
-    The driver gets at most ``capacity`` counts. The runs that go to the executors depend on the
-    number of different lengths, not on documents; more than ``max_runs`` raises.
+    The driver gets at most ``capacity`` counts. At most ``max_runs`` runs (48 bytes each) are
+    broadcast; a longer plan is joined by length and rank.
     """
     spark = pieces.sparkSession
-    keyed = pieces.withColumn("_bucket", F.pmod(F.xxhash64("doc_id", "piece"), F.lit(rank_buckets)).cast("int"))
-    per = materialise(keyed.groupBy("length", "_bucket").count(), "pack_counts")
-    counts = {r["length"]: r["n"] for r in per.groupBy("length").agg(F.sum("count").alias("n")).collect()}
-    runs, _ = plan(counts, capacity)
+    per = {int(r["length"]): r["n"] for r in pieces.groupBy("length").agg(F.count("*").alias("n")).collect()}
+    runs, _ = plan(per, capacity)
+    ranked = ranked_pieces(pieces, per, bucket_rows)
+    names = pieces.columns
     if len(runs) > max_runs:
-        raise ValueError(f"{len(runs)} runs; at most {max_runs} are sent to the executors")
-    before = Window.partitionBy("length").orderBy("_bucket").rowsBetween(Window.unboundedPreceding, -1)
-    starts = per.withColumn("_start", F.coalesce(F.sum("count").over(before), F.lit(0))).drop("count")
-    within = Window.partitionBy("length", "_bucket").orderBy("doc_id", "piece")
-    ranked = keyed.withColumn("_row", F.row_number().over(within) - 1).join(F.broadcast(starts), ["length", "_bucket"])
-    ranked = ranked.withColumn("_rank", F.col("_row") + F.col("_start"))
+        side = spark.createDataFrame(pd.DataFrame(runs, columns=["_length", "_first", "_number", "_per", "_bin", "_offset"]))
+        k = F.col("_rank") - F.col("_first")
+        j = ranked.join(side, (F.col("length") == F.col("_length")) & (k >= 0) & (k < F.col("_number")))
+        return j.select(*names, (F.col("_bin") + F.floor(k / F.col("_per"))).alias("sequence_id"), (F.col("_offset") + k % F.col("_per") * F.col("length")).alias("offset"))
     shared = spark.sparkContext.broadcast(runs)
-    names = pieces.columns
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in pieces.schema) + ", sequence_id long, offset long"
 
     def place(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:

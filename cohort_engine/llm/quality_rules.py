@@ -22,7 +22,7 @@ import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import give_back, hex_order, join_small, materialise
+from .common import give_back, hex_order, join_small, keyed, materialise
 
 BLANKS = b" \t\n\x0b\x0c\r"
 SYMBOLS = b"#*$%&|<>"
@@ -230,9 +230,12 @@ def judge(docs: DataFrame, labels: DataFrame, **options) -> DataFrame:
 
 
 def keep_documents(docs: DataFrame, labels: DataFrame, max_broadcast: int = 2_000_000, **options) -> DataFrame:
-    """``docs`` without those that are rejected; a repeated doc_id goes only if all its texts do."""
-    kept = judge(docs, labels, **options).where("kept").select("doc_id").distinct()
-    return join_small(docs, kept, "doc_id", "left_semi", max_broadcast).select(*docs.columns)
+    """``docs`` without the rows that are rejected; every row is judged by its own text, whatever its id."""
+    rows = keyed(docs, "_row")
+    stats = materialise(statistics(rows.select(F.col("_row").alias("doc_id"), "text")), "quality_statistics")
+    rules = fit(stats, labels, **options)
+    kept = stats.where(~base_failed() & rules.expression()).select(F.col("doc_id").alias("_row"))
+    return join_small(rows, kept, "_row", "left_semi", max_broadcast).select(*docs.columns)
 
 
 __all__ = ["COUNTS", "DecisionList", "count_texts", "fit", "judge", "keep_documents", "learn", "statistics"]

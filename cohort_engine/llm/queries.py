@@ -54,7 +54,7 @@ def op10_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     d = secrets.scan(docs, secrets.train(docs))
     n = lambda k: F.size(F.filter("base", lambda x: x["k"] == k)).cast("long")
     counts = [n(k).alias(f"n_{kind}") for k, kind in enumerate(secrets.KINDS[:3])]
-    return d.select("doc_id", *counts, F.sha2(secrets.joined(F.col("base")), 256).alias("base_sha256"), secrets.joined(F.col("all")).alias("spans"))
+    return d.select("doc.doc_id", *counts, F.sha2(secrets.joined(F.col("base")), 256).alias("base_sha256"), secrets.joined(F.col("all")).alias("spans"))
 
 
 def queries():

@@ -2,15 +2,16 @@
 
 Two first-order character models are trained from labelled samples: ``random`` (the strings that the
 fixed patterns catch, and seeded digests in hex and base 64) and ``ordinary`` (words, and words
-joined as identifiers). A long token outside the fixed spans is a secret if the log-likelihood
-ratio of the two models, per transition and in total, passes its thresholds. The models are a table
-of log ratios over a fixed alphabet, so what the driver handles does not depend on the data's size.
+joined as identifiers). Every long token is a secret if the log-likelihood ratio of the two models,
+per transition and in total, passes its thresholds, and it is a span of its own unless a fixed span
+holds all of it. The models are a table of log ratios over a fixed alphabet, so what the driver
+handles does not depend on the data's size.
 
 Positions come from splitting each text at the matches and adding lengths, in code points.
 
 Edge cases: a null or empty text has no spans; very long texts are scanned whole; ties at one start
 are ordered as kinds are listed; an empty table, or one without words, trains on the seeded samples
-alone; repeated rows get equal rows; extra columns are ignored.
+alone; repeated rows get equal rows; extra columns of any name are kept by ``redact``.
 """
 
 from __future__ import annotations
@@ -31,18 +32,21 @@ ALPHABET = "abcdefghijklmnopqrstuvwxyzABCDEFGHIJKLMNOPQRSTUVWXYZ0123456789+/_=-"
 CANDIDATE = r"[A-Za-z0-9+/_=-]{16,}+"
 
 
-def matches(text: Column, pattern: str, kind: int, group: int = 0, least: int = 0) -> Column:
-    """array<struct<s, e, k>>: leftmost non-overlapping matches whose group is long enough."""
+SPAN = "array<struct<s:int,e:int,k:int,t:string>>"
+
+
+def matches(text: Column, pattern: str, kind: int, group: int = 0, least: int = 0, keep: bool = False) -> Column:
+    """array<struct<s, e, k, t>>: leftmost non-overlapping matches whose group is long enough; t is the match if ``keep``."""
     hits = F.regexp_extract_all(text, F.lit(f"({pattern})"), F.lit(1))
     parts = F.regexp_extract_all(text, F.lit(f"({pattern})"), F.lit(group + 1)) if group else hits
     gaps = F.split(text, pattern, -1)
-    rows = F.zip_with(F.zip_with(gaps, hits, lambda g, h: F.struct(F.length(g).alias("g"), F.length(h).alias("h"))), parts, lambda x, p: F.struct(x["g"].alias("g"), x["h"].alias("h"), F.length(p).alias("p")))
-    start = F.struct(F.lit(0).alias("at"), F.array().cast("array<struct<s:int,e:int,k:int>>").alias("out"))
+    rows = F.zip_with(F.zip_with(gaps, hits, lambda g, h: F.struct(F.length(g).alias("g"), h.alias("h"))), parts, lambda x, p: F.struct(x["g"].alias("g"), x["h"].alias("h"), F.length(p).alias("p")))
+    start = F.struct(F.lit(0).alias("at"), F.array().cast(SPAN).alias("out"))
 
     def step(acc, x):
         s = acc["at"] + x["g"]
-        e = s + F.coalesce(x["h"], F.lit(0))
-        new = F.struct(s.cast("int").alias("s"), e.cast("int").alias("e"), F.lit(kind).alias("k"))
+        e = s + F.coalesce(F.length(x["h"]), F.lit(0))
+        new = F.struct(s.cast("int").alias("s"), e.cast("int").alias("e"), F.lit(kind).alias("k"), (x["h"] if keep else F.lit(None).cast("string")).alias("t"))
         ok = x["h"].isNotNull() & (x["p"] >= least)
         return F.struct(e.cast("int").alias("at"), F.when(ok, F.concat(acc["out"], F.array(new))).otherwise(acc["out"]).alias("out"))
 
@@ -50,7 +54,7 @@ def matches(text: Column, pattern: str, kind: int, group: int = 0, least: int =
 
 
 def _none() -> Column:
-    return F.array().cast("array<struct<s:int,e:int,k:int>>")
+    return F.array().cast(SPAN)
 
 
 def fixed_spans(text: Column) -> dict[str, Column]:
@@ -98,9 +102,10 @@ def training_tokens(docs: DataFrame, max_documents: int = 400, n_digests: int =
     words = text.select(F.explode(F.regexp_extract_all("text", F.lit(r"(?<![A-Za-z0-9+/_.=-])([A-Za-z]{2,})(?![A-Za-z0-9+/_.=-])"), F.lit(1))).alias("w"))
     camel = F.concat("w", F.initcap("w"))
     ordinary = words.select(F.explode(F.array(F.col("w"), F.lower("w"), camel, F.concat_ws("_", "w", F.lower("w"), F.lit("id")), F.concat_ws("-", F.lower("w"), "w"), F.concat_ws("/", "w", "w"), F.concat_ws("=", "w", "w"))).alias("token"))
-    common = ["user_id", "max_value", "index_01", "page_2024", "getElementById", "README", "CONTENT_TYPE", "base64_encode", "http_request_2", "2024-01-01", "----------------", "================", "________________"]
+    common = ["user_id", "max_value", "index_01", "page_2024", "getElementById", "README", "CONTENT_TYPE", "base64_encode", "http_request_2", "2024-01-01", "abcdefghijklmnopqrstuvwxyz", *[c * 16 for c in ALPHABET]]
     ordinary = ordinary.union(spark.range(1000).select(F.explode(F.array(*[F.lit(x) for x in common])).alias("token")))
-    return digests.union(caught).where(F.length("token") >= 2), ordinary.where(F.length("token") >= 2)
+    numbers = made.select(F.conv(F.substring(F.md5("x"), 1, 15), 16, 10).alias("token"))  # long decimal numbers are ordinary
+    return digests.union(caught).where(F.length("token") >= 2), ordinary.union(numbers).where(F.length("token") >= 2)
 
 
 def train(docs: DataFrame, smoothing: float = 0.5, **options) -> MarkovModel:
@@ -115,30 +120,36 @@ def train(docs: DataFrame, smoothing: float = 0.5, **options) -> MarkovModel:
     return MarkovModel(ratio)
 
 
-def _overlaps(a: Column, b: Column) -> Column:
-    return (a["s"] < b["e"]) & (b["s"] < a["e"])
+def _in_order(base: Column, more: Column) -> Column:
+    """``base`` and those of ``more`` that no span of ``base`` holds whole, by start, then kind.
+
+    One walk: a span lies in a base span if the farthest end of the base spans before it reaches its own.
+    """
+    key = lambda x: F.struct(x["s"].alias("s"), x["k"].alias("k"), x["e"].alias("e"))
+    start = F.struct(F.lit(0).alias("reach"), F.array().cast("array<struct<s:int,e:int,k:int>>").alias("out"))
+
+    def step(acc, x):
+        fixed = x["k"] < len(FIXED)
+        span = F.array(F.struct(x["s"].alias("s"), x["e"].alias("e"), x["k"].alias("k")))
+        out = F.when(fixed | (x["e"] > acc["reach"]), F.concat(acc["out"], span)).otherwise(acc["out"])
+        return F.struct(F.when(fixed, F.greatest(acc["reach"], x["e"])).otherwise(acc["reach"]).alias("reach"), out.alias("out"))
+
+    return F.aggregate(F.array_sort(F.transform(F.concat(base, more), key)), start, step, lambda acc: acc["out"])
 
 
 def scan(docs: DataFrame, model: MarkovModel) -> DataFrame:
-    """``docs`` plus base (array of spans of the fixed patterns) and all (those and the models' spans), by start, then kind.
+    """doc (a struct of all columns of ``docs``), base (array of spans of the fixed patterns) and all (those and the models' spans).
 
-    Spans are (s, e, k): code points, end exclusive, k an index into KINDS.
+    Spans are (s, e, k): code points, end exclusive, k an index into KINDS, by start, then kind. A long
+    token is the models' span unless a fixed span holds all of it.
     """
-    text = F.coalesce(F.col("text"), F.lit(""))
-    d = docs.withColumn("_text", text)
-    per = fixed_spans(F.col("_text"))
-    d = d.withColumns({f"_{k}": v for k, v in per.items()})
-    key = lambda x: F.struct(x["s"], x["k"], x["e"])
-    order = lambda xs: F.transform(F.array_sort(F.transform(xs, key)), lambda y: F.struct(y["s"].alias("s"), y["e"].alias("e"), y["k"].alias("k")))
-    d = d.withColumn("base", order(F.concat("_assign", "_access", "_hex")))
-    token = lambda x: F.substr(F.col("_text"), x["s"] + 1, x["e"] - x["s"])
-    mixed = lambda t: t.rlike("[0-9]") & t.rlike("[A-Za-z]")
-    cheap = F.col("_text").rlike(r"[A-Za-z0-9+/_=-]{16}")
-    found = F.filter(matches(F.col("_text"), CANDIDATE, 3), lambda x: mixed(token(x)) & ~F.exists(F.col("base"), lambda b: _overlaps(x, b)))
-    d = d.withColumn("_long", F.when(cheap, found).otherwise(_none()))
-    markov = F.when(F.size("_long") > 0, F.filter(F.col("_long"), lambda x: model.is_secret(token(x)))).otherwise(_none())
-    d = d.withColumn("_markov", markov)
-    return d.withColumn("all", order(F.concat("base", "_markov"))).drop("_text", "_assign", "_access", "_hex", "_long", "_markov")
+    d = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("doc")).withColumn("text", F.coalesce(F.col("doc.text"), F.lit("")))
+    d = d.withColumns(fixed_spans(F.col("text")))
+    cheap = F.col("text").rlike(r"[A-Za-z0-9+/_=-]{16}")
+    found = F.filter(matches(F.col("text"), CANDIDATE, KINDS.index("markov"), keep=True), lambda x: model.is_secret(x["t"]))
+    d = d.withColumn("markov", F.when(cheap, found).otherwise(_none()))
+    fixed = F.concat(*[F.col(k) for k, *_ in FIXED])
+    return d.select("doc", _in_order(fixed, _none()).alias("base"), _in_order(fixed, F.col("markov")).alias("all"))
 
 
 def joined(spans: Column) -> Column:
@@ -149,17 +160,16 @@ def joined(spans: Column) -> Column:
 
 def redact(docs: DataFrame, model: MarkovModel, mark: str = "[SECRET]") -> DataFrame:
     """``docs`` with every span (overlapping ones merged) replaced by ``mark``; n_chars follows the text."""
-    d = scan(docs, model)
+    text, found = F.col("doc.text"), F.size("all") > 0
     start = F.struct(F.lit(0).alias("at"), F.lit("").alias("out"))
 
     def step(acc, x):
-        gap = F.substr(F.col("text"), acc["at"] + 1, F.greatest(F.lit(0), x["s"] - acc["at"]))
+        gap = F.substr(text, acc["at"] + 1, F.greatest(F.lit(0), x["s"] - acc["at"]))
         new = F.when(x["s"] >= acc["at"], F.concat(acc["out"], gap, F.lit(mark))).otherwise(acc["out"])
         return F.struct(F.greatest(acc["at"], x["e"]).alias("at"), new.alias("out"))
 
-    rest = lambda a: F.concat(a["out"], F.substr(F.col("text"), a["at"] + 1, F.length("text")))
-    d = d.withColumn("text", F.when(F.size("all") > 0, F.aggregate("all", start, step, rest)).otherwise(F.col("text")))
-    if "n_chars" in docs.columns:
-        kind = dict(docs.dtypes)["n_chars"]
-        d = d.withColumn("n_chars", F.when(F.size("all") > 0, F.length("text").cast(kind)).otherwise(F.col("n_chars")))
-    return d.select(*docs.columns)
+    rest = lambda a: F.concat(a["out"], F.substr(text, a["at"] + 1, F.length(text)))
+    d = scan(docs, model).withColumn("clean", F.when(found, F.aggregate("all", start, step, rest)).otherwise(text))
+    kind = dict(docs.dtypes)
+    new = {"text": F.col("clean"), "n_chars": F.when(found, F.length("clean").cast(kind.get("n_chars", "long"))).otherwise(F.col("doc.n_chars")) if "n_chars" in kind else None}
+    return d.select(*[(new[c] if c in new else F.col(f"doc.`{c}`")).alias(c) for c in docs.columns])

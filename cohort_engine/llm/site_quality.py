@@ -4,11 +4,12 @@ A logistic model on the presence of words and word beginnings and a few text rat
 each document's own evidence. All documents' evidence (labels where there are any) is summed by path
 and host; beta-binomial posteriors shrink a path towards its host and a host towards the global
 rate, with strengths from the method of moments over all sites. A document's posterior log-odds are
-its own evidence against the global rate plus its path's posterior log-odds.
+its own evidence against the global rate plus the log-odds of its path's posterior without the
+document itself, so that neither its label nor its evidence counts for itself through its site.
 
 Edge cases: a null text has no words (its evidence is the ratios'); null hosts and paths are ordinary
-sites; sites with one document stay near the global rate; without labels of both classes all
-evidence is the prior and everything is kept; ties at the threshold are kept; texts are read whole;
+sites; a site's only document gets the posterior of the level above, without itself there too;
+without labels of both classes there is no model, all posteriors are 0 and everything is kept; ties at the threshold are kept; texts are read whole;
 repeated rows get equal rows; extra columns are ignored.
 """
 
@@ -52,6 +53,7 @@ class DocumentModel:
     weights: np.ndarray = field(default_factory=lambda: np.zeros(len(RATIOS)))
     bias: float = 0.0
     rate: float = 0.0
+    fitted: bool = False
 
     def features(self, texts: list) -> np.ndarray:
         at = {w: i for i, w in enumerate(self.words)}
@@ -117,6 +119,7 @@ def fit(docs: DataFrame, flags: DataFrame, max_train: int = 6000, max_words: int
     x = np.stack([np.frombuffer(r, dtype=np.float32) for r in rows["x"]])
     order = np.lexsort((*x.T[:3], rows["bad"].to_numpy()))
     model.weights, model.bias = _logistic(x[order], rows["bad"].to_numpy(float)[order])
+    model.fitted = True
     return model
 
 
@@ -143,18 +146,29 @@ def _strength(groups: DataFrame, rate, least: float = 1.0, most: float = 10_000.
     return min(most, max(least, p * (1 - p) / between - 1)), p
 
 
+def _shrunk(s, n, strength, towards):
+    return (s + strength * towards) / (n + strength)
+
+
 def posteriors(scores: DataFrame, max_broadcast: int = 1_000_000) -> DataFrame:
-    """Path posteriors: host, path, n_path, host_posterior, path_posterior, global_rate. Grouped sums only."""
+    """One row a path: host, path, n_path, host_posterior, path_posterior, global_rate, and what ``without`` needs. Grouped sums only."""
     paths = materialise(scores.groupBy("host", "path").agg(F.count("*").alias("n"), F.sum("soft").alias("s")), "site_paths")
     hosts = paths.groupBy("host").agg(F.sum("n").alias("n"), F.sum("s").alias("s"))
     total = paths.agg(F.sum("s").alias("s"), F.sum("n").alias("n")).collect()[0]
     rate = total["s"] / total["n"] if total["n"] else 0.0
     k_host, _ = _strength(hosts, F.lit(rate))
-    hosts = materialise(hosts.select("host", ((F.col("s") + k_host * rate) / (F.col("n") + k_host)).alias("host_posterior")), "site_hosts")
+    hosts = materialise(hosts.select("host", F.col("n").alias("n_host"), F.col("s").alias("s_host"), _shrunk(F.col("s"), F.col("n"), k_host, rate).alias("host_posterior")), "site_hosts")
     side = F.broadcast(hosts) if hosts.limit(max_broadcast + 1).count() <= max_broadcast else hosts
-    j = paths.alias("p").join(side.alias("h"), F.col("p.host").eqNullSafe(F.col("h.host"))).select("p.*", "host_posterior")
+    j = paths.alias("p").join(side.alias("h"), F.col("p.host").eqNullSafe(F.col("h.host"))).select("p.*", "n_host", "s_host", "host_posterior")
     k_path, _ = _strength(j, F.col("host_posterior"))
-    return j.select("host", "path", F.col("n").alias("n_path"), "host_posterior", ((F.col("s") + k_path * F.col("host_posterior")) / (F.col("n") + k_path)).alias("path_posterior"), F.lit(float(rate)).alias("global_rate"))
+    path = _shrunk(F.col("s"), F.col("n"), k_path, F.col("host_posterior"))
+    return j.select("host", "path", F.col("n").alias("n_path"), F.col("s").alias("s_path"), "n_host", "s_host", "host_posterior", path.alias("path_posterior"), F.lit(float(rate)).alias("global_rate"), F.lit(float(k_host)).alias("k_host"), F.lit(float(k_path)).alias("k_path"))
+
+
+def without(own):
+    """The path posterior of a row of ``posteriors`` without one document that adds ``own`` to its sums."""
+    host = _shrunk(F.col("s_host") - own, F.col("n_host") - 1, F.col("k_host"), F.col("global_rate"))
+    return _shrunk(F.col("s_path") - own, F.col("n_path") - 1, F.col("k_path"), host)
 
 
 def _logit(p):
@@ -174,7 +188,7 @@ def classify(docs: DataFrame, flags: DataFrame, threshold: float = 0.5, max_broa
     soft = join_small(s, flags, "doc_id", "left", max_broadcast).withColumn("soft", F.coalesce(F.col("bad").cast("double"), F.col("evidence")))
     post = materialise(posteriors(soft, max_broadcast), "site_posteriors")
     side = F.broadcast(post) if post.limit(max_broadcast + 1).count() <= max_broadcast else post
-    j = s.alias("s").join(side.alias("p"), F.col("s.host").eqNullSafe(F.col("p.host")) & F.col("s.path").eqNullSafe(F.col("p.path")), "left").select("s.*", "host_posterior", "path_posterior", "global_rate")
-    odds = _logit(F.col("evidence")) - _logit(F.lit(float(model.rate or 0.5))) + _logit(F.col("path_posterior"))
-    j = j.withColumn("posterior", 1 / (1 + F.exp(-odds)) if len(model.words) else F.col("evidence") * 0.0)
+    j = soft.alias("s").join(side.alias("p"), F.col("s.host").eqNullSafe(F.col("p.host")) & F.col("s.path").eqNullSafe(F.col("p.path")), "left").select("s.doc_id", "s.host", "s.path", "s.evidence", "s.soft", *[c for c in post.columns if c not in ("host", "path")])
+    odds = _logit(F.col("evidence")) - _logit(F.lit(float(model.rate))) + _logit(without(F.col("soft")))
+    j = j.withColumn("posterior", 1 / (1 + F.exp(-odds)) if model.fitted else F.lit(0.0))
     return j.select("doc_id", "host", "path", "evidence", "host_posterior", "path_posterior", "posterior", (F.col("posterior") <= threshold).alias("kept"))
