@@ -1,4 +1,4 @@
-"""Embedding near-duplicates by a robust-pruned flat graph in cluster shards that lose no link at their borders.
+"""Embedding near-duplicates by robust-pruned flat graphs on overlapping cluster shards; no link is lost at a border.
 
 1. Vectors with equal direction data and label are one class (its smallest id stands for it).
 2. ``shards``: cells are split around sampled centres, each class going to its nearest centre, until
@@ -6,13 +6,17 @@
    that may hold a vector within the threshold of it (``visited``), so no link is lost at a border
    and a dense group that no centres can part is compared in all pairs of its sub-blocks.
 3. ``parts``: a cell with many visitors becomes several tasks, each with all members of the cell.
-4. Every cell's task makes a robust-pruned neighbour graph of its members; in it each member runs a
-   greedy search from the medoid and, once near, expands over everything within the range (less a
-   slack). Links are the classes found whose double-precision cosine is at least the threshold.
-5. Visitors are compared with all members of the cell. The counts of all cells of a class add up.
-6. The task audits its graph search: sampled queries are compared with brute force over the cell,
-   and beam and slack are doubled until the recall of the audit is reached. ``audit`` does the same
-   over the whole table, for a sample of queries in blocks.
+4. ``flat_graph``: a cell's members are dealt to overlapping cluster shards (each member to its two
+   nearest centres), each shard gives robust-pruned adjacency lists, and the union of the lists in
+   both directions is the cell's flat graph.
+5. ``range_search``: every member and every visitor searches the united graph greedily from the
+   shards' medoids and, once near, expands over everything within the range (less a slack). Links
+   are the classes found whose double-precision cosine is at least the threshold. The counts of all
+   cells of a class add up.
+6. The task audits its search: sampled queries are compared with brute force over the cell, and beam
+   and slack are doubled until the recall of the audit is reached; a cell where it never is compares
+   everything. ``audit`` does the same over the whole table, for
+   a sample of queries in blocks.
 
 Visits grow with what lies near borders: to a group's size squared over ``shard_rows`` in a dense
 group (as its links do), and towards the same for the table where a label's vectors have no clusters.
@@ -32,52 +36,101 @@ import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import components, discard, join_small, materialise
+from .common import components, discard, join_small, lean, materialise
 
 
-def robust_prune(v: np.ndarray, degree: int = 24, pool: int = 64, alpha: float = 1.2, block: int = 512) -> np.ndarray:
-    """n x degree neighbours (-1 pads): nearest first, dropping those that a kept one is ``alpha`` times nearer to."""
+def robust_prune(v: np.ndarray, degree: int = 24, pool: int = 48, far: int = 32, alpha: float = 1.2, block: int = 512) -> np.ndarray:
+    """n x degree neighbours (-1 pads) of the ``pool`` nearest and ``far`` drawn ones, which join clusters: nearest first, dropping those that a kept one is ``alpha`` times nearer to."""
     n = len(v)
     pool = min(pool, n - 1)
+    drawn = np.random.default_rng(n).integers(0, max(n, 1), (n, far if n > pool + 1 else 0))
     out = np.full((n, degree), -1, dtype=np.int32)
     if pool <= 0:
         return out
     for a in range(0, n, block):
         s = v[a : a + block] @ v.T
         s[np.arange(len(s)), np.arange(a, a + len(s))] = -9
-        near = np.argpartition(-s, pool - 1, axis=1)[:, :pool]
+        near = np.concatenate([np.argpartition(-s, pool - 1, axis=1)[:, :pool], drawn[a : a + block]], axis=1)
         near = np.take_along_axis(near, np.argsort(-np.take_along_axis(s, near, 1), axis=1, kind="stable"), 1)
         dist = 1 - np.take_along_axis(s, near, 1)
         cand = v[near]
         between = 1 - np.matmul(cand, cand.transpose(0, 2, 1))
-        alive = np.ones(dist.shape, dtype=bool)
+        alive = dist < 9  # a vector is no neighbour of itself
         rows, filled = np.arange(len(s)), np.zeros(len(s), dtype=int)
-        for k in range(pool):
+        for k in range(near.shape[1]):
             take = alive[:, k] & (filled < degree)
             out[a + rows[take], filled[take]] = near[take, k]
             filled[take] += 1
-            alive[take] &= ~(alpha * between[take, k] <= dist[take])
+            alive[take] &= ~(alpha * between[take, k] <= dist[take]) & (near[take] != near[take, k][:, None])
     return out
 
 
-def _pad(lists: list[np.ndarray]) -> np.ndarray:
-    width = max([1, *map(len, lists)])
-    out = np.full((len(lists), width), -1, dtype=np.int32)
-    for i, x in enumerate(lists):
-        out[i, : len(x)] = x
+def _cluster_shards(v: np.ndarray, rows: int, overlap: int = 2) -> list[np.ndarray]:
+    """Overlapping shards of about ``rows`` vectors: each vector goes to its ``overlap`` nearest centres; what stays too large is cut along one more direction, halves overlapping."""
+    n = len(v)
+    k = -(-n // rows)
+    if k < 2:
+        return [np.arange(n)]
+    rng = np.random.default_rng(n)
+    centres = v[np.sort(rng.permutation(n)[: 2 * k])]
+    near = np.argpartition(-(v @ centres.T), min(overlap, len(centres) - 1) - 1, axis=1)[:, :overlap]
+    out = []
+    for c in range(len(centres)):
+        own = np.flatnonzero((near == c).any(axis=1))
+        if len(own) > 2 * rows:
+            own = own[np.argsort(v[own] @ rng.normal(size=v.shape[1]), kind="stable")]
+            out += [own[a : a + rows] for a in range(0, len(own) - rows // 2, rows // 2)]
+        elif len(own):
+            out.append(own)
     return out
 
 
-def range_search(v: np.ndarray, adj: np.ndarray, queries: np.ndarray, start: int, radius: float, patience: int = 12, slack: float = 0.03):
-    """Yields (query position block, cosine matrix block with -9 for what was not reached)."""
+def _medoids(v: np.ndarray, shards: list[np.ndarray], near: float = 0.9, each: int = 16) -> np.ndarray:
+    """The shards' medoids, and farthest-first vectors until each vector is ``near`` one or one in ``each`` is taken."""
+    out = [int(own[(v[own] @ v[own].mean(axis=0)).argmax()]) for own in shards]
+    best = (v @ v[out].T).max(axis=1)
+    while len(out) < len(v) // each and best.min() < near:
+        out.append(int(best.argmin()))
+        best = np.maximum(best, v @ v[out[-1]])
+    return np.unique(out)
+
+
+def flat_graph(v: np.ndarray, degree: int = 24, graph_rows: int = 640) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(starts of the lists, neighbours, medoids): the union, in both directions, of the shards' robust-pruned lists."""
+    n = len(v)
+    pairs, shards = [np.zeros(0, np.int64)], _cluster_shards(v, graph_rows)
+    for own in shards:
+        near = robust_prune(v[own], degree)
+        i, k = np.nonzero(near >= 0)
+        a, b = own[i].astype(np.int64), own[near[i, k]].astype(np.int64)
+        pairs += [a * n + b, b * n + a]
+    pairs = np.unique(np.concatenate(pairs))
+    return np.searchsorted(pairs // n, np.arange(n + 1)), pairs % n, _medoids(v, shards)
+
+
+def _lists(ptr: np.ndarray, nodes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(which of ``nodes``, place in the neighbour array) of all their neighbours."""
+    count = ptr[nodes + 1] - ptr[nodes]
+    which = np.repeat(np.arange(len(nodes)), count)
+    return which, np.arange(len(which)) - np.repeat(np.cumsum(count) - count, count) + ptr[nodes][which]
+
+
+def range_search(v: np.ndarray, graph: tuple[np.ndarray, np.ndarray, np.ndarray], queries: np.ndarray, radius: float, patience: int = 12, slack: float = 0.03, members: int = 0):
+    """Yields (first query of a block, cosines of its queries x ``v`` with -9 for what was not reached).
+
+    The first ``members`` queries are the first rows of ``v`` and start at themselves too.
+    """
+    ptr, adj, medoids = graph
     n = len(v)
     size = max(1, min(256, 8_000_000 // max(n, 1)))
     for a in range(0, len(queries), size):
         q = queries[a : a + size]
         sim = np.full((len(q), n), -9.0)
         open_ = np.full((len(q), n), -9.0)  # reached, not yet expanded
-        sim[:, start] = open_[:, start] = v[q] @ v[start]
-        best, since = sim[:, start].copy(), np.zeros(len(q), dtype=int)
+        sim[:, medoids] = open_[:, medoids] = q @ v[medoids].T
+        own = np.arange(max(0, min(members - a, len(q))))
+        sim[own, a + own] = open_[own, a + own] = np.einsum("ij,ij->i", q[own], v[a + own])
+        best, since = sim.max(axis=1), np.zeros(len(q), dtype=int)
         live = np.arange(len(q))
         while len(live):
             head = open_[live].argmax(axis=1)
@@ -91,20 +144,17 @@ def range_search(v: np.ndarray, adj: np.ndarray, queries: np.ndarray, start: int
             greedy = ~within.any(axis=1)
             qi, ni = np.concatenate([live[i], live[greedy]]), np.concatenate([node, head[greedy]])
             open_[qi, ni] = -9.0
-            for c in range(0, len(qi), 100_000):
-                to = adj[ni[c : c + 100_000]]
-                pq, pn = np.repeat(qi[c : c + 100_000], to.shape[1]), to.ravel()
-                ok = pn >= 0
-                pq, pn = pq[ok], pn[ok]
+            for c in range(0, len(qi), 20_000):
+                which, at = _lists(ptr, ni[c : c + 20_000])
+                pq, pn = qi[c : c + 20_000][which], adj[at]
                 ok = sim[pq, pn] == -9.0
                 flat = np.unique(pq[ok].astype(np.int64) * n + pn[ok])
                 pq, pn = flat // n, flat % n
-                got = np.einsum("ij,ij->i", v[q[pq]], v[pn])
-                sim[pq, pn] = open_[pq, pn] = got
+                sim[pq, pn] = open_[pq, pn] = np.einsum("ij,ij->i", q[pq], v[pn])
             now = sim[live].max(axis=1)
             since[live] = np.where(now > best[live] + 1e-12, 0, since[live] + 1)
             best[live] = now
-        yield a, q, sim
+        yield a, sim
 
 
 def _union(n: int, a: np.ndarray, b: np.ndarray) -> np.ndarray:
@@ -210,46 +260,57 @@ def _merge(lab: np.ndarray, a: np.ndarray, b: np.ndarray) -> np.ndarray:
     return _union(len(lab), apart // len(lab), apart % len(lab))[lab] if len(apart) else lab
 
 
-def links(rows: DataFrame, threshold: float = 0.98, shard_rows: int = 2500, degree: int = 24, audit_queries: int = 24, audit_recall: float = 0.99) -> DataFrame:
+def cell_links(v: np.ndarray, w: np.ndarray, n: int, first: int, threshold: float, degree: int = 24, audit_queries: int = 128, audit_recall: float = 1.0) -> tuple[np.ndarray, np.ndarray, bool]:
+    """(links of each row of ``v`` from ``first`` on with the ``n`` members, labels of linked rows, whether the graph's audit was reached).
+
+    The members come first in ``v``; each row stands for ``w`` vectors.
+    """
+    own, q = v[:n], v[first:]
+    counts, lab = np.zeros(len(v), dtype=np.int64), np.arange(len(v))
+    if not n or not len(q):
+        return counts, lab, True
+    graph = flat_graph(own, degree)
+    sample = q[np.unique(np.linspace(0, len(q) - 1, min(audit_queries, len(q))).astype(int))]
+    there = int((sample @ own.T >= threshold).sum())
+    patience, slack, reached = 12, 0.03, False
+    for _ in range(6):
+        found = sum(int((s >= threshold).sum()) for _, s in range_search(own, graph, sample, threshold, patience, slack))
+        reached = found >= audit_recall * there
+        if reached:
+            break
+        patience, slack = patience * 2, slack * 2
+    blocks = range_search(own, graph, q, threshold, patience, slack, n - first) if reached else ((a, q[a : a + 256] @ own.T) for a in range(0, len(q), 256))
+    inner = [np.zeros(0, np.int64)]
+    for a, sim in blocks:
+        i, j = np.nonzero(sim >= threshold)
+        i = i + a + first
+        i, j = i[i != j], j[i != j]
+        inner.append(i[i < n] * n + j[i < n])
+        i, j = i[i >= n], j[i >= n]
+        counts += np.bincount(i, weights=w[j], minlength=len(v)).astype(np.int64)
+        lab = _merge(lab, i, j)
+    found = np.concatenate(inner)  # a link found from either end is one
+    found = np.unique(np.concatenate([found, found % n * n + found // n]))
+    counts += np.bincount(found // n, weights=w[found % n], minlength=len(v)).astype(np.int64)
+    lab = _merge(lab, found // n, found % n)
+    counts[first:n] += w[first:n] - 1
+    return counts, lab, reached
+
+
+def links(rows: DataFrame, threshold: float = 0.98, shard_rows: int = 2500, degree: int = 24, audit_queries: int = 128, audit_recall: float = 1.0) -> DataFrame:
     """vec_id, n_links, component_id, kept."""
     member, reps = classes(rows)
     nodes = parts(shards(reps, shard_rows, threshold=threshold))
 
     def search(g: pd.DataFrame) -> pd.DataFrame:
         g = g.sort_values(["home", "id"], ascending=[False, True])
-        ids, w, v = g["id"].to_numpy(), g["w"].to_numpy(), np.stack(g["v"].to_list())
-        n = int(g["home"].sum())
-        counts, lab = np.zeros(len(ids), dtype=np.int64), np.arange(len(ids))
-        if n and g["part"].iloc[0] == 0:
-            own = v[:n]
-            near = robust_prune(own, degree)
-            i, k = np.nonzero(near >= 0)
-            pairs = np.unique(np.concatenate([i * n + near[i, k], near[i, k] * np.int64(n) + i]))
-            adj = _pad(np.split((pairs % n).astype(np.int32), np.searchsorted(pairs // n, np.arange(1, n))))
-            start, home = int((own @ own.mean(axis=0)).argmax()), np.arange(n)
-            sample = home[np.linspace(0, n - 1, min(audit_queries, n)).astype(int)]
-            there = sum(int((own[q] @ own.T >= threshold).sum()) for q in sample)
-            patience, slack = 12, 0.03
-            for _ in range(6):
-                found = sum(int((s >= threshold).sum()) for _, _, s in range_search(own, adj, sample, start, threshold, patience, slack))
-                if found >= audit_recall * there:
-                    break
-                patience, slack = patience * 2, slack * 2
-            for _, q, sim in range_search(own, adj, home, start, threshold, patience, slack):
-                sim[np.arange(len(q)), q] = -9.0
-                hit = sim >= threshold
-                i, j = np.nonzero(hit)
-                counts[q] += hit @ w[:n] + w[q] - 1
-                lab = _merge(lab, q[i], j)
-        for a in range(n, len(ids) if n else 0, 256):
-            hit = v[a : a + 256] @ v[:n].T >= threshold
-            i, j = np.nonzero(hit)
-            counts[a : a + 256] += hit @ w[:n]
-            lab = _merge(lab, a + i, j)
+        ids, n = g["id"].to_numpy(), int(g["home"].sum())
+        first = 0 if g["part"].iloc[0] == 0 else n  # the members' own links belong to part 0
+        counts, lab, _ = cell_links(np.stack(g["v"].to_list()), g["w"].to_numpy(), n, first, threshold, degree, audit_queries, audit_recall)
         out = pd.DataFrame({"id": ids, "n_links": counts, "root": ids[lab]})
         return out[(counts > 0) | (lab != np.arange(len(ids)))]
 
-    found = materialise(nodes.groupBy("cell", "part").applyInPandas(search, "id long, n_links long, root long"), "embed_found")
+    found = materialise(nodes.groupBy("cell", "part").applyInPandas(lean(search), "id long, n_links long, root long"), "embed_found")
     comp = components(found.where("id != root").select(F.col("id").alias("a"), F.col("root").alias("b")))
     per = found.groupBy(F.col("id").alias("cls")).agg(F.sum("n_links").alias("n_links"))
     per = per.join(comp.withColumnRenamed("id", "cls"), "cls", "left")
