@@ -219,8 +219,7 @@ def removed_spans(docs: DataFrame, max_classes: int = 20_000, task_bytes: int =
     runs = materialise(runs_in(text, grams), "repeat_runs")
     first = F.min(F.struct("doc_id", "s", "windows")).alias("f")
     classes = materialise(runs.groupBy("gram", "code").agg(first, F.count("*").alias("n")).select("gram", "code", "f.doc_id", "f.s", "f.windows", "n"), "repeat_classes")
-    many = classes.where("n > 1").select("gram", "code", F.col("doc_id").alias("d0"), F.col("s").alias("s0"))
-    later = runs.join(many, ["gram", "code"]).where("doc_id != d0 or s != s0")
+    later = runs.join(classes.select("doc_id", "s"), ["doc_id", "s"], "left_anti")  # all but the first of each class; no class meets in one task
     copies = later.select("doc_id", "s", (F.col("s") + F.col("windows") - 1 + WINDOW).alias("e"))
     per = materialise(classes.groupBy("gram").agg(F.count("*").alias("k"), F.sum(F.col("windows") + WINDOW).alias("bytes")).where("k > 1"), "repeat_per_gram")
     buckets = int((per.where(F.col("k") <= max_classes).agg(F.sum("bytes")).collect()[0][0] or 0) // task_bytes) + 1
@@ -249,8 +248,9 @@ def removed_spans(docs: DataFrame, max_classes: int = 20_000, task_bytes: int =
                 yield pd.DataFrame(rows, columns=["doc_id", "s", "w"])
 
     wide = join_small(bodies, wide_grams, "gram", "left_semi", max_broadcast).mapInPandas(windows, "doc_id long, s long, w binary")
-    lead = wide.groupBy("w").agg(F.min(F.struct("doc_id", "s")).alias("f"), F.count("*").alias("n")).where("n > 1").select("w", F.col("f.doc_id").alias("d0"), F.col("f.s").alias("s0"))
-    hot = wide.join(lead, "w").where("doc_id != d0 or s != s0").select("doc_id", "s", (F.col("s") + WINDOW).alias("e"))
+    wide = materialise(wide, "repeat_windows")
+    lead = wide.groupBy("w").agg(F.min(F.struct("doc_id", "s")).alias("f")).select("f.*")
+    hot = wide.join(lead, ["doc_id", "s"], "left_anti").select("doc_id", "s", (F.col("s") + WINDOW).alias("e"))
     return copies.unionByName(merged).unionByName(hot)
 
 
