@@ -6,16 +6,16 @@ tokens known to be frequent last, so a passage in many documents is no meeting p
 document is little else. The order affects speed only.
 
 Round 1: each class goes, with its set, to the bucket of its first token that another class has.
-A bucket is a signature tree: its nodes hold the OR of their members' bitmaps, size ranges and
-collision excess; a dual traversal drops node pairs whose maximum possible overlap is too small,
-leaf pairs are verified exactly unless already united. A bucket of
-one leaf is compared at once, many buckets together. Buckets above ``max_bucket`` are dealt to
-parts, and the parts' representatives meet again in the next rounds.
-Round 2: only tokens whose classes lie in different components still matter. Their buckets are
-traversed with bitmaps alone to find the classes with a surviving partner (of a one-leaf bucket,
-as pairs, each pair once). The same bounds on bitmaps that widen with the set drop nearly all that
-do not link, and the rest meet with their sets. Buckets above ``max_bucket`` are traversed in pairs
-of blocks. So at most LEAF - 1 pairs a row leave a task.
+Every bucket is a signature tree, and a task's buckets are a forest: nodes hold the OR of their
+members' bitmaps, size ranges, collision excess and component ranges; one dual traversal drops node
+pairs whose maximum possible overlap is too small, leaf pairs are verified exactly unless already
+united. Buckets above ``max_bucket`` are dealt to parts, and the parts' representatives meet again
+in the next rounds.
+Round 2: only tokens whose classes lie in different components still matter. Their trees are
+traversed with size ranges, then with bitmaps, to find the classes with a surviving partner (of a
+small bucket, as pairs, each pair once). The same bounds on bitmaps that widen with the set drop
+nearly all that do not link, and the rest meet with their sets. Buckets above ``max_bucket`` are
+traversed in pairs of blocks. So at most PAIR_ROWS - 1 pairs a row leave a task.
 
 Edge cases: null and blank texts have no set and link with nothing; texts of fewer words than a
 shingle are one shingle; copies and repeated rows share a component; ids are expected to be keys
@@ -126,22 +126,53 @@ def may_link(x: np.ndarray, y: np.ndarray, n: int, m: int, percent: int) -> bool
     return min(n - only_x, m - only_y) >= needed(n + m, percent)
 
 
-class SignatureTree:
-    """Levels of nodes over items sorted by (size, smallest token): OR bitmaps, sizes, excess."""
+def _starts(*columns: np.ndarray) -> np.ndarray:
+    """Whether each row differs from the one before it."""
+    new = np.ones(len(columns[0]), dtype=bool)
+    new[1:] = np.any([c[1:] != c[:-1] for c in columns], axis=0)
+    return new
 
-    def __init__(self, maps: np.ndarray, sizes: np.ndarray, fanout: int = 8):
-        self.fanout = fanout
-        excess = sizes - np.bitwise_count(maps).sum(axis=1)
-        self.levels = [(maps, sizes, sizes, excess)]
-        while len(self.levels[-1][0]) > 1:
-            m, lo, hi, ex = self.levels[-1]
-            at = np.arange(0, len(m), fanout)
-            self.levels.append((np.bitwise_or.reduceat(m, at), np.minimum.reduceat(lo, at), np.maximum.reduceat(hi, at), np.maximum.reduceat(ex, at)))
+
+class SignatureForest:
+    """A signature tree for every group of items, all traversed together.
+
+    Items are sorted by (group, size, first word of the bitmap); ``fanout`` neighbours are a node, and
+    so on up to one root a group. A node holds the OR of its members' bitmaps, their size range, the
+    largest excess of size over set bits, and the range of their components. ``tested`` and ``dropped``
+    count node pairs by level (0: items).
+    """
+
+    def __init__(self, maps: np.ndarray, sizes: np.ndarray, group: np.ndarray | None = None, comp: np.ndarray | None = None, fanout: int = 8):
+        n = len(sizes)
+        group = np.zeros(n, np.int64) if group is None else group
+        comp = np.arange(n) if comp is None else comp
+        self.order = np.lexsort((maps[:, 0], sizes, group))
+        maps, sizes, group, comp = maps[self.order], sizes[self.order], group[self.order], comp[self.order]
+        self.fanout, self.roots = fanout, []
+        self.levels = [(maps, sizes, sizes, sizes - np.bitwise_count(maps).sum(axis=1).astype(np.int64), comp, comp)]
+        self.children = [(np.zeros(0, np.int64), np.zeros(0, np.int64))]
+        while len(group):
+            first = np.flatnonzero(_starts(group))
+            count = np.diff(np.append(first, len(group)))
+            self.roots.append(first[count == 1])
+            wide, place = np.repeat(count > 1, count), np.arange(len(group)) - np.repeat(first, count)
+            at = np.flatnonzero(wide & (place % fanout == 0))
+            if not len(at):
+                break
+            stop = np.minimum(at + fanout, np.repeat(first + count, count)[at])
+            cut = np.stack([at, stop], axis=1).ravel()
+            cut = cut[:-1] if cut[-1] == len(group) else cut
+            over = [f.reduceat(x, cut)[::2] for f, x in zip((np.bitwise_or, np.minimum, np.maximum, np.maximum, np.minimum, np.maximum), self.levels[-1])]
+            self.levels.append(tuple(over))
+            self.children.append((at, stop - at))
+            group = group[at]
+        self.tested, self.dropped = np.zeros(len(self.levels), np.int64), np.zeros(len(self.levels), np.int64)
 
     def possible(self, level: int, i: np.ndarray, j: np.ndarray, percent: int) -> np.ndarray:
-        """Whether some members of nodes i and j can overlap enough."""
-        m, lo, hi, ex = self.levels[level]
+        """Whether some members of nodes i and j, of different components, can overlap enough."""
+        m, lo, hi, ex, c0, c1 = self.levels[level]
         ok = (100 * hi[i] >= percent * lo[j]) & (100 * hi[j] >= percent * lo[i])
+        ok &= (c0[i] != c1[j]) | (c1[i] != c0[j])  # else all are of one component
         at = np.flatnonzero(ok)
         a, b = i[at], j[at]
         least = needed(lo[a] + lo[b], percent)
@@ -152,12 +183,13 @@ class SignatureTree:
             only = lambda k: lo[k] - ex[k] - both
             most = np.minimum(lo[a] - only(a), lo[b] - only(b))
         ok[at] = most >= least
+        self.tested[level] += len(i)
+        self.dropped[level] += len(i) - int(ok.sum())
         return ok
 
     def pairs(self, percent: int, chunk: int = 8192) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-        """Item pairs i < j that the bounds cannot drop, by dual traversal from the root."""
-        top = len(self.levels) - 1
-        stack = [(top, np.zeros(1, np.int64), np.zeros(1, np.int64))]
+        """Pairs of items of one group, each once, that the bounds cannot drop, by dual traversal from the roots."""
+        stack = [(level, r, r) for level, r in enumerate(self.roots) if level and len(r)]
         while stack:
             level, i, j = stack.pop()
             if len(i) > chunk:
@@ -166,47 +198,46 @@ class SignatureTree:
             ok = self.possible(level, i, j, percent)
             i, j = i[ok], j[ok]
             if not level:
-                ok = i < j
-                if ok.any():
-                    yield i[ok], j[ok]
+                yield self.order[i], self.order[j]
                 continue
-            f, n = self.fanout, len(self.levels[level - 1][0])
-            k = np.arange(f)
-            ci = (i[:, None, None] * f + k[None, :, None] + 0 * k[None, None, :]).ravel()
-            cj = (j[:, None, None] * f + k[None, None, :] + 0 * k[None, :, None]).ravel()
-            ok = (ci < n) & (cj < n) & (ci <= cj)
+            first, n = self.children[level]
+            c = np.arange(int(max(n[i].max(initial=1), n[j].max(initial=1))))
+            ci, cj = np.broadcast_arrays(first[i][:, None, None] + c[:, None], first[j][:, None, None] + c)
+            ok = (c[:, None] < n[i][:, None, None]) & (c < n[j][:, None, None])
+            ok &= (ci < cj) if level == 1 else (ci <= cj)
             if ok.any():
                 stack.append((level - 1, ci[ok], cj[ok]))
 
 
-def unite(sets: list[np.ndarray], lab: np.ndarray, percent: int) -> np.ndarray:
-    """Labels after uniting all linked sets; ``lab`` holds the labels so far (any integers)."""
+def unite(sets: list[np.ndarray], lab: np.ndarray, percent: int, group: np.ndarray | None = None) -> np.ndarray:
+    """Labels after uniting all linked sets of each group (its rows lie together); ``lab`` holds the labels so far (any integers)."""
+    group = np.zeros(len(sets), np.int64) if group is None else group
     sizes = np.array([len(s) for s in sets], dtype=np.int64)
-    order = np.lexsort(([s[0] if len(s) else 0 for s in sets], sizes))
-    tree = SignatureTree(np.stack([bitmap_of(sets[k]) for k in order]), sizes[order])
+    forest = SignatureForest(np.stack([bitmap_of(s) for s in sets]), sizes, group, lab)
+    first = np.flatnonzero(_starts(group))
+    count = np.diff(np.append(first, len(group)))
+    begin, end = np.repeat(first, count), np.repeat(first + count, count)
     lab = lab.copy()
-    for i, j in tree.pairs(percent):
-        a, b = order[i], order[j]
+    for a, b in forest.pairs(percent):
         differ = lab[a] != lab[b]
         for x, y in zip(a[differ].tolist(), b[differ].tolist()):
             if lab[x] != lab[y]:
                 both = len(sets[x]) + len(sets[y]) - len(np.union1d(sets[x], sets[y]))
                 if both >= needed(len(sets[x]) + len(sets[y]), percent):
                     lo, hi = sorted((lab[x], lab[y]))
-                    lab[lab == hi] = lo
+                    mine = lab[begin[x] : end[x]]
+                    mine[mine == hi] = lo
     return lab
 
 
-def survivors(maps: np.ndarray, sizes: np.ndarray, comp: np.ndarray, percent: int, own: np.ndarray | None = None) -> np.ndarray:
-    """Items of one bucket with a partner in another component that the bounds cannot drop; of each pair, one must be in ``own``."""
-    order = np.lexsort((maps[:, 0], sizes))
+def survivors(maps: np.ndarray, sizes: np.ndarray, comp: np.ndarray, percent: int, own: np.ndarray | None = None, group: np.ndarray | None = None) -> np.ndarray:
+    """Items with a partner of their group in another component that the bounds cannot drop; of each pair, one must be in ``own``."""
     keep = np.zeros(len(sizes), dtype=bool)
-    for i, j in SignatureTree(maps[order], sizes[order]).pairs(percent, chunk=max(64, 8192 * BITS // 64 // maps.shape[1])):
-        a, b = order[i], order[j]
-        differ = comp[a] != comp[b]
+    for a, b in SignatureForest(maps, sizes, group, comp).pairs(percent, chunk=max(64, 8192 * BITS // 64 // maps.shape[1])):
         if own is not None:
-            differ &= own[a] | own[b]
-        keep[a[differ]] = keep[b[differ]] = True
+            ok = own[a] | own[b]
+            a, b = a[ok], b[ok]
+        keep[a] = keep[b] = True
     return keep
 
 
@@ -222,30 +253,8 @@ def fine_survivors(maps: list[np.ndarray], sizes: np.ndarray, comp: np.ndarray,
     return keep
 
 
-LEAF = 48
-
-
-def leaf_pairs(starts: np.ndarray, sizes: np.ndarray, maps: np.ndarray, counts: np.ndarray, comp: np.ndarray, percent: int, chunk: int = 32_000) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-    """Pairs inside many buckets of one leaf each (``counts`` rows from ``starts``) that the bounds cannot drop."""
-    for k in np.unique(counts):
-        i, j = np.triu_indices(int(k), 1)
-        for part in np.array_split(starts[counts == k], max(1, int((counts == k).sum() * len(i) // chunk))):
-            a, b = (part[:, None] + i[None, :]).ravel(), (part[:, None] + j[None, :]).ravel()
-            ok = (comp[a] != comp[b]) & (100 * sizes[a] >= percent * sizes[b]) & (100 * sizes[b] >= percent * sizes[a])
-            a, b = a[ok], b[ok]
-            both = np.bitwise_count(maps[a] & maps[b]).sum(axis=1).astype(np.int64)
-            bits = [np.bitwise_count(maps[x]).sum(axis=1).astype(np.int64) for x in (a, b)]
-            most = np.minimum(sizes[a] - bits[0] + both, sizes[b] - bits[1] + both)
-            ok = most >= needed(sizes[a] + sizes[b], percent)
-            yield a[ok], b[ok]
-
-
-def _bounds(*columns: np.ndarray) -> np.ndarray:
-    """Starts of the groups of equal rows, and the end."""
-    n = len(columns[0])
-    new = np.ones(n + 1, dtype=bool)
-    new[1:-1] = np.any([c[1:] != c[:-1] for c in columns], axis=0)
-    return np.flatnonzero(new)
+#: Surviving pairs leave a task as pairs in buckets of at most so many rows, else as rows: what leaves it stays in proportion to its rows.
+PAIR_ROWS = 48
 
 
 def scan(docs: DataFrame, percent: int = 90, words: int = 3) -> DataFrame:
@@ -297,6 +306,11 @@ def shingle_sets(docs: DataFrame, words: int = 3) -> DataFrame:
     return over_texts(docs.select("doc_id", "text"), run, "rep long, s binary", 500)
 
 
+def _groups(g: pd.DataFrame) -> np.ndarray:
+    """0, 1, ... for the sorted rows of each (key, part)."""
+    return np.cumsum(_starts(g["key"].to_numpy(), g["part"].to_numpy())) - 1 if len(g) else np.zeros(0, np.int64)
+
+
 def _dealt(rows: DataFrame, key: str, each: int) -> DataFrame:
     """``rows`` with a task number: all rows of a key in one, about ``each`` rows in a task."""
     return rows.withColumn("task", F.pmod(F.xxhash64(key, "part"), F.lit(max(1, rows.count() // each))).cast("int"))
@@ -307,36 +321,31 @@ def _unite_buckets(sets: DataFrame, rows: DataFrame, percent: int) -> DataFrame:
 
     def one(g: pd.DataFrame) -> pd.DataFrame:
         g = g.sort_values(["key", "part", "rep"])
-        cut = _bounds(g["key"].to_numpy(), g["part"].to_numpy())
         comp = g["comp"].to_numpy(np.int64)
-        after = comp.copy()
-        for a, b in zip(cut, cut[1:]):
-            after[a:b] = unite([np.frombuffer(s, dtype=np.uint64) for s in g["s"].iloc[a:b]], comp[a:b], percent)
+        after = unite([np.frombuffer(s, dtype=np.uint64) for s in g["s"]], comp, percent, _groups(g)) if len(g) else comp
         return pd.DataFrame({"rep": g["rep"], "comp0": comp, "comp": after})
 
     return sets.join(_dealt(rows, "key", 300), "rep").groupBy("task").applyInPandas(lean(one), "rep long, comp0 long, comp long")
 
 
 def _prune(maps: DataFrame, rows: DataFrame, percent: int, pairs: bool) -> DataFrame:
-    """What the bounds leave of ``rows`` (key, part, rep, comp): rows for ``_unite_buckets``, or, of buckets of one leaf, pairs."""
+    """What the trees leave of ``rows`` (key, part, rep, comp): rows for ``_unite_buckets``, or, of small buckets, pairs."""
 
     def one(g: pd.DataFrame) -> pd.DataFrame:
         g = g.sort_values(["key", "part", "rep"]).reset_index(drop=True)
         m = np.stack([np.frombuffer(x, dtype=np.uint64) for x in g["map"]])
         n, comp, rep = (g[c].to_numpy(np.int64) for c in ("n", "comp", "rep"))
-        cut = _bounds(g["key"].to_numpy(), g["part"].to_numpy())
-        size = np.diff(cut)
+        group = _groups(g)
+        few = np.bincount(group)[group] <= PAIR_ROWS
         out = []
         keep = np.zeros(len(g), dtype=bool)
-        small = size <= LEAF
-        for a, b in leaf_pairs(cut[:-1][small & (size > 1)], n, m, size[small & (size > 1)], comp, percent):
+        for a, b in SignatureForest(m, n, group, comp).pairs(percent):
             if pairs:
-                lo, hi = np.where(rep[a] < rep[b], a, b), np.where(rep[a] < rep[b], b, a)
+                x, y = a[few[a]], b[few[a]]
+                lo, hi = np.where(rep[x] < rep[y], x, y), np.where(rep[x] < rep[y], y, x)
                 out.append(pd.DataFrame({"rep": rep[lo], "comp": comp[lo], "rep2": rep[hi], "comp2": comp[hi]}).drop_duplicates())
-            else:
-                keep[a] = keep[b] = True
-        for a, b in zip(cut[:-1][~small], cut[1:][~small]):
-            keep[a:b] = survivors(m[a:b], n[a:b], comp[a:b], percent)
+                a, b = a[~few[a]], b[~few[a]]
+            keep[a] = keep[b] = True
         out.append(g.loc[keep, ["key", "part", "rep", "comp"]])
         return pd.concat(out).reindex(columns=["key", "part", "rep", "comp", "rep2", "comp2"]).astype({"key": "Int64", "part": "Int32", "rep2": "Int64", "comp2": "Int64"})
 
@@ -344,17 +353,12 @@ def _prune(maps: DataFrame, rows: DataFrame, percent: int, pairs: bool) -> DataF
 
 
 def _sized(rows: DataFrame, percent: int) -> DataFrame:
-    """``rows`` (key, part, rep, comp, n) without those that have no partner of a fitting size in their one-leaf bucket."""
+    """``rows`` (key, part, rep, comp, n) without those that have no partner of a fitting size and another component in their bucket."""
 
     def one(g: pd.DataFrame) -> pd.DataFrame:
         g = g.sort_values(["key", "part", "rep"]).reset_index(drop=True)
-        cut = _bounds(g["key"].to_numpy(), g["part"].to_numpy())
-        size = np.diff(cut)
-        keep = np.repeat(size > LEAF, size)
-        some = (size > 1) & (size <= LEAF)
         none = np.zeros((len(g), 1), dtype=np.uint64)
-        for a, b in leaf_pairs(cut[:-1][some], g["n"].to_numpy(np.int64), none, size[some], g["comp"].to_numpy(np.int64), percent):
-            keep[a] = keep[b] = True
+        keep = survivors(none, g["n"].to_numpy(np.int64), g["comp"].to_numpy(np.int64), percent, group=_groups(g))
         return g.loc[keep, ["key", "part", "rep", "comp"]]
 
     return _dealt(rows, "key", 50_000).groupBy("task").applyInPandas(lean(one), "key long, part int, rep long, comp long")
@@ -367,7 +371,7 @@ def _refine(maps: DataFrame, rows: DataFrame, percent: int) -> DataFrame:
         g = g.sort_values(["key", "part", "rep"]).reset_index(drop=True)
         m = [np.frombuffer(x, dtype=np.uint64) for x in g["map"]]
         n, comp = g["n"].to_numpy(np.int64), g["comp"].to_numpy(np.int64)
-        cut = _bounds(g["key"].to_numpy(), g["part"].to_numpy())
+        cut = np.append(np.flatnonzero(_starts(g["key"].to_numpy(), g["part"].to_numpy())), len(g))
         keep = np.zeros(len(g), dtype=bool)
         for a, b in zip(cut, cut[1:]):
             keep[a:b] = fine_survivors(m[a:b], n[a:b], comp[a:b], percent)
