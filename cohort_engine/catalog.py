@@ -4,14 +4,17 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from .functions.randomness import gamma2_sql, gauss_sql, rank_sql, unit_sql
+from .functions.randomness import NULL_KEY, code, code_sql, gamma2_sql, multipliers_sql, rank_sql, rounds_sql, unit_sql
 from .operators import blocks, campaigns, features, hashing, mode_split, neighbours, similarity
 from .operators.features import BASKETS_SQL, DOCS_SQL, EMBED_SQL
+from .operators.storage import shared_write
 from .plans import workloads
 from .sources.tables import read_table
 
-SEED, P, K, ROUNDS = 7, 1.2, 20, 12  # the rounds that SQL repeats; experiments have ALL_ROUNDS
+SEED, P, K, ROUNDS = 7, 1.2, 20, 12  # the rounds of the round-by-round checks; experiments have ALL_ROUNDS
 ALL_ROUNDS, LENGTHS = 1000, (50, 75, 100)
+#: Rounds that SQL unrolls for a whole split: at sf0.01 no basket cohort of 2K is left long before (tests/test_cohorts.py), so more change nothing.
+SQL_ROUNDS = 48
 _Q, _SQL = {}, {}
 
 
@@ -150,7 +153,7 @@ def cosine_pairs(spark, sf):
 _TEN = list(range(1, 11))
 
 
-@query(f"{_BV} " + hashing.weighted_sql("v", _TEN, P, SEED))
+@query(f"{_BV} select user_id, round, feature, level from ({hashing.weighted_sql('v', _TEN, P, SEED)})")
 def weighted_sample(spark, sf):
     return hashing.weighted_samples(features.baskets(spark, sf), _TEN, P, SEED)
 
@@ -163,94 +166,174 @@ def _flat(df):
     return df.select("user_id", F.array_join(F.transform("sig", lambda x: x.cast("string")), "|").alias("sig"))
 
 
-_MIN = f"select user_id, round, min({rank_sql(SEED, 'round', 'feature')}) as h from v cross join (select unnest({_TEN}) as round) group by 1, 2"
-_DOT = f"select user_id, round, sum(weight * {gauss_sql(SEED, 'round', 'feature')}) as dot from v cross join (select unnest({_TEN}) as round) group by 1, 2"
+def _sig(spark, sf, family: str, length: int = 10, **options):
+    return hashing.signatures(features.baskets(spark, sf), family, length, P, SEED, **options)
 
 
-@query(_sig_sql(_BV, hashing.weighted_sql("v", _TEN, P, SEED), "feature || ':' || level"))
+_PAIR_KEY = "(code + (level + 2147483648) * 1000003) % 1152921504606846976"
+_MIN = hashing.minwise_sql("v", _TEN, SEED)
+_DOT = hashing.dot_sql("v", _TEN, SEED)
+_NAMES = f"n as (select feature, {code_sql('feature')} as code from (select distinct feature from v))"
+
+
+def _fixed(rnd: int, *tags: str) -> str:
+    """The multipliers of one round, as one row."""
+    return f"({multipliers_sql(SEED, rounds_sql([rnd]), list(tags))})"
+
+
+@query(_sig_sql(_BV, hashing.weighted_sql("v", _TEN, P, SEED), _PAIR_KEY))
 def weighted_signature(spark, sf):
-    s = hashing.weighted_samples(features.baskets(spark, sf), _TEN, P, SEED)
-    return _flat(hashing.signature(s, F.concat_ws(":", "feature", F.col("level").cast("string"))))
+    return _flat(_sig(spark, sf, "weighted_pair"))
 
 
-@query(_sig_sql(_BV, hashing.weighted_sql("v", _TEN, P, SEED), "feature"))
+@query(_sig_sql(_BV, hashing.weighted_sql("v", _TEN, P, SEED), "code"))
 def zero_bit_signature(spark, sf):
-    return _flat(hashing.signature(hashing.weighted_samples(features.baskets(spark, sf), _TEN, P, SEED), F.col("feature")))
+    return _flat(_sig(spark, sf, "weighted"))
+
+
+@query(_sig_sql(_BV, hashing.weighted_sql("v", _TEN, P, SEED), "code & 15"))
+def bbit_weighted_signature(spark, sf):
+    return _flat(hashing.bbit(_sig(spark, sf, "weighted"), 4))
 
 
 @query(_sig_sql(_BV, _MIN, "h"))
 def minwise_signature(spark, sf):
-    return _flat(hashing.signature(hashing.minwise(features.baskets(spark, sf), _TEN, SEED), F.col("h")))
+    return _flat(_sig(spark, sf, "minwise"))
 
 
 @query(_sig_sql(_BV, _MIN, "h & 3"))
 def bbit_signature(spark, sf):
-    return _flat(hashing.signature(hashing.minwise(features.baskets(spark, sf), _TEN, SEED), F.col("h").bitwiseAND(3)))
+    return _flat(hashing.bbit(_sig(spark, sf, "minwise"), 2))
 
 
-@query(f"""{_BV}, d as (select user_id, {rank_sql(SEED, "'0'", 'feature')} as st from v), e as (select user_id, round, ((st + round * 104729) % 281474976710656)::varchar as moved from d cross join (select unnest({_TEN}) as round)),
-    s as (select user_id, round, min({rank_sql(SEED, "'1'", 'moved')}) as h from e group by 1, 2) select user_id, string_agg(h::varchar, '|' order by round) as sig from s group by 1""")
+@query(f"""{_BV}, {_NAMES}, f as (select feature, {rank_sql()} >> 2 as start from n cross join {_fixed(0, 'perm1', 'perm2')}),
+    e as (select feature, slot, (start + slot * 104729) % 1152921504606846976 as code from f cross join (select unnest({_TEN}) as slot)),
+    h as (select feature, slot, {rank_sql()} as h from e cross join {_fixed(1, 'perm1', 'perm2')}),
+    s as (select user_id, slot, min(h) as h from v join h using (feature) group by 1, 2) select user_id, string_agg(h::varchar, '|' order by slot) as sig from s group by 1""")
 def circulant_signature(spark, sf):
-    return _flat(hashing.signature(hashing.circulant_minwise(features.baskets(spark, sf), _TEN, SEED), F.col("h")))
+    return _flat(hashing.circulant_minwise(features.baskets(spark, sf), _TEN, SEED))
+
 
+_BORROW = "select user_id, slot, e.h, (bin - slot + 16) % 16 as far, row_number() over (partition by user_id, slot order by (bin - slot + 16) % 16) as place from e cross join (select unnest(range(16)) as slot)"
 
-@query(f"""{_BV}, r as (select user_id, {rank_sql(SEED, "'0'", 'feature')} as h from v), d as (select user_id, h % 16 as bin, min(h) as h from r group by 1, 2),
-    k as (select user_id, slot, d.h, (bin - slot + 16) % 16 as far, row_number() over (partition by user_id, slot order by (bin - slot + 16) % 16) as place from d cross join (select unnest(range(16)) as slot))
-    select user_id, string_agg(h || '+' || far, '|' order by slot) as sig from k where place = 1 group by 1""")
+
+@query(f"""{_BV}, {_NAMES}, r as (select user_id, {rank_sql()} as h from v join n using (feature) cross join {_fixed(0, 'perm1', 'perm2')}), e as (select user_id, h % 16 as bin, min(h) as h from r group by 1, 2),
+    k as ({_BORROW}) select user_id, string_agg(h || '+' || far, '|' order by slot) as sig from k where place = 1 group by 1""")
 def one_permutation_signature(spark, sf):
     return _flat(hashing.one_permutation(features.baskets(spark, sf), 16, SEED))
 
 
-@query(f"""{_BV}, d as (select *, {rank_sql(SEED, "'0'", 'feature')} % 16 as bin, {gamma2_sql(SEED, "'0'", 'g', 'feature')} as g, {gamma2_sql(SEED, "'0'", 'c', 'feature')} as c, {unit_sql(SEED, "'0'", 'b', 'feature')} as b from v),
-    e as (select user_id, bin, feature as h from d qualify row_number() over (partition by user_id, bin order by ln(c) - g * (floor({P} * ln(weight) / g + b) + 1 - b), feature) = 1),
-    k as (select user_id, slot, e.h, (bin - slot + 16) % 16 as far, row_number() over (partition by user_id, slot order by (bin - slot + 16) % 16) as place from e cross join (select unnest(range(16)) as slot))
-    select user_id, string_agg(h || '+' || far, '|' order by slot) as sig from k where place = 1 group by 1""")
+@query(f"""{_BV}, {_NAMES}, d as (select v.*, code, {rank_sql()} % 16 as bin, {gamma2_sql('g')} as g, {gamma2_sql('c')} as c, {unit_sql('b')} as b from v join n using (feature) cross join {_fixed(0, 'g1', 'g2', 'c1', 'c2', 'b', 'perm1', 'perm2')}),
+    e as (select user_id, bin, feature as h from d qualify row_number() over (partition by user_id, bin order by ln(c) - g * (floor({P} * ln(weight) / g + b) + 1 - b), code) = 1),
+    k as ({_BORROW}) select user_id, string_agg(h || '+' || far, '|' order by slot) as sig from k where place = 1 group by 1""")
 def binwise_signature(spark, sf):
     return _flat(hashing.binwise_weighted(features.baskets(spark, sf), 16, P, SEED))
 
 
 @query(_sig_sql(_BV, _DOT, "case when dot >= 0 then 1 else 0 end"))
 def sign_bits(spark, sf):
-    return _flat(hashing.signature(hashing.sign_bits(features.baskets(spark, sf), _TEN, SEED), F.col("bit")))
+    return _flat(_sig(spark, sf, "sign"))
+
+
+@query(f"{_BV}, s as ({_DOT}) select user_id, string_agg((case when dot >= 0 then 1 else 0 end)::varchar, '' order by round) as bits from s group by 1")
+def packed_bits(spark, sf):
+    return hashing.pack_bits(_sig(spark, sf, "sign"))
 
 
-_W = "'w'"
+_CELLS = f"select user_id, round, floor((dot + 50.0 * o) / 50.0)::bigint as cell from ({_DOT}) join (select round, {unit_sql('offset', code_sql(chr(39) + 'w' + chr(39)))} as o from ({multipliers_sql(SEED, rounds_sql(_TEN), ['offset'])})) using (round)"
 
 
-@query(_sig_sql(_BV, _DOT, f"floor((dot + 50.0 * {unit_sql(SEED, 'round', 'offset', _W)}) / 50.0)::bigint"))
+@query(_sig_sql(_BV, _CELLS, "cell"))
 def quantised_projection(spark, sf):
-    return _flat(hashing.signature(hashing.quantised(features.baskets(spark, sf), _TEN, 50.0, SEED), F.col("cell")))
+    return _flat(_sig(spark, sf, "quantised", width=50.0))
 
 
-@query(f"""{_BV}, s as ({hashing.weighted_sql('v', list(range(1, 51)), P, SEED)}), p as {_PAIRS}
-    select p.a, p.b, round(avg(case when x.feature = y.feature then 1.0 else 0.0 end), 6) as estimate
-    from p join s x on x.user_id = p.a join s y on y.user_id = p.b and y.round = x.round group by 1, 2""")
+def _estimate_sql(rounds: int, same: str) -> str:
+    return f"""select p.a, p.b, avg(case when {same} then 1.0 else 0.0 end) as estimate
+        from p join s x on x.user_id = p.a join s y on y.user_id = p.b and y.round = x.round group by 1, 2"""
+
+
+@query(f"""{_BV}, s as ({hashing.weighted_sql('v', list(range(1, 51)), P, SEED)}), p as {_PAIRS} select a, b, round(estimate, 6) as estimate from ({_estimate_sql(50, 'x.code = y.code')})""")
 def estimate_similarity(spark, sf):
     v = features.baskets(spark, sf)
-    h = workloads.signatures(v, "weighted", 50, P, SEED)
-    return _rounded(similarity.estimate(h, _pairs(v)), "estimate")
+    return _rounded(similarity.estimate(_sig(spark, sf, "weighted", 50), _pairs(v)), "estimate")
 
 
-@query()
+_KERNEL = f"""f as (select p.a, p.b, x.feature, pow(x.weight, {P}) as x, 0.0 as y from p join v x on x.user_id = p.a
+        union all select p.a, p.b, y.feature, 0.0, pow(y.weight, {P}) from p join v y on y.user_id = p.b),
+    j as (select a, b, sum(least(x, y)) / sum(greatest(x, y)) as similarity from (select a, b, feature, max(x) as x, max(y) as y from f group by 1, 2, 3) group by 1, 2)"""
+_HUNDRED = hashing.weighted_sql("v", list(range(1, 101)), P, SEED)
+
+
+def _error_sql(same: str, name: str = "") -> str:
+    return f"select {name} count(*) as pairs, round(avg(estimate - similarity), 6) as bias, round(sqrt(avg((estimate - similarity) ** 2)), 6) as rmse from ({_estimate_sql(100, same)}) join j using (a, b)"
+
+
+def _errors(d):
+    return d.withColumns({c: F.round(c, 6) for c in ("bias", "rmse")})
+
+
+@query(f"{_BV}, s as ({_HUNDRED}), p as {_PAIRS}, {_KERNEL} {_error_sql('x.code = y.code and x.level = y.level')}")
 def estimator_error(spark, sf):
     """Collision estimates of 100 full samples against the exact kernel."""
     v = features.baskets(spark, sf)
-    s = hashing.weighted_samples(v, list(range(1, 101)), P, SEED)
-    h = hashing.signature(s, F.concat_ws("|", "feature", F.col("level").cast("string")))
-    return similarity.estimation_error(similarity.estimate(h, _pairs(v)), similarity.minmax_kernel(v, _pairs(v), P))
+    return _errors(similarity.estimation_error(similarity.estimate(_sig(spark, sf, "weighted_pair", 100), _pairs(v)), similarity.minmax_kernel(v, _pairs(v), P)))
+
+
+_FULL, _FEATURE = "'feature_level' as key,", "'feature' as key,"
+
+
+@query(f"{_BV}, s as ({_HUNDRED}), p as {_PAIRS}, {_KERNEL} {_error_sql('x.code = y.code and x.level = y.level', _FULL)} union all {_error_sql('x.code = y.code', _FEATURE)}")
+def collision_report(spark, sf):
+    """The full key and the feature alone against the kernel."""
+    v = features.baskets(spark, sf)
+    return _errors(similarity.collision_report(_sig(spark, sf, "weighted_pair", 100), _sig(spark, sf, "weighted", 100), v, _pairs(v), P))
+
+
+@query(f"{_BV}, s as ({hashing.dot_sql('v', list(range(1, 65)), SEED)}), p as {_PAIRS} select a, b, round(cos(pi() * (1 - estimate)), 6) as estimate from ({_estimate_sql(64, '(x.dot >= 0) = (y.dot >= 0)')})")
+def estimate_cosine(spark, sf):
+    v = features.baskets(spark, sf)
+    return _rounded(similarity.estimate(_sig(spark, sf, "sign", 64), _pairs(v), angle=True), "estimate")
+
+
+@query(f"{_BV}, s as ({hashing.minwise_sql('v', list(range(1, 65)), SEED)}), p as {_PAIRS} select a, b, round((estimate - 0.25) / 0.75, 6) as estimate from ({_estimate_sql(64, '(x.h & 3) = (y.h & 3)')})")
+def estimate_bbit(spark, sf):
+    v = features.baskets(spark, sf)
+    return _rounded(similarity.estimate(hashing.bbit(_sig(spark, sf, "minwise", 64), 2), _pairs(v), bits=2), "estimate")
+
+
+@query(f"{_EV}, w as (select * from v where user_id < 100), p as (select a.user_id as a, b.user_id as b from (select distinct user_id from w) a cross join (select distinct user_id from w) b), {_KERNEL.replace('join v', 'join w')} select a, b, round(similarity, 6) as similarity from j where similarity > 0")
+def kernel_matrix(spark, sf):
+    v = _embed(spark, sf).where("user_id < 100")
+    return _rounded(similarity.kernel_matrix(v, P))
 
 
-def split_sql(vectors: str = BASKETS_SQL, users: str = "select c_custkey as user_id from customer", first: str = "'0'", k: int = K, rounds: int = ROUNDS, p: float = P, seed: int = SEED, key: str = "feature", strict: bool = False, final: str = "select user_id, cohort_id from l{n}") -> str:
+@query(f"{_DV} select feature, row_number() over (order by feature) - 1 as feature_id from (select distinct feature from v)")
+def feature_ids(spark, sf):
+    return features.feature_ids(features.doc_terms(spark, sf))
+
+
+def split_sql(vectors: str = BASKETS_SQL, users: str = "select c_custkey as user_id from customer", first: str = "0::bigint", k: int = K, rounds: int = ROUNDS, p: float = P, seed: int = SEED, key: str = "feature", strict: bool = False, fanout: str = "mode", scope: bool = False, final: str = "select user_id, cohort_id from l{n}") -> str:
     """Consecutive splitting unrolled as chained CTEs, modal keys by row_number."""
     least = k + 1 if strict else k
-    parts = [f"v as ({vectors})", f"h as materialized ({hashing.weighted_sql('v', list(range(1, rounds + 1)), p, seed)})", f"l0 as (select user_id, {first} as cohort_id from ({users}))"]
-    value = "h.feature" if key == "feature" else "h.feature || '|' || h.level"
+    value = "h.code" if key == "feature" else "(h.code + (h.level + 2147483648) * 1000003) % 1152921504606846976"
+    parts = [f"v as ({vectors})", f"l0 as (select user_id, {first} as cohort_id from ({users}))"]
+    if not scope:
+        parts.insert(1, f"h as materialized ({hashing.weighted_sql('v', list(range(1, rounds + 1)), p, seed)})")
     for r in range(1, rounds + 1):
+        h, on = "h", f"h.user_id = l.user_id and h.round = {r}"
+        if scope:  # every cohort has draws of its own
+            own = multipliers_sql(seed, f"select distinct {r} as round, cohort_id from l{r - 1}", ["g1", "g2", "c1", "c2", "b"], "':' || cohort_id", ", cohort_id")
+            drawn = f"select cohort_id, feature, {code_sql('feature')} as code, {gamma2_sql('g', code_sql('feature'))} as g, {gamma2_sql('c', code_sql('feature'))} as c, {unit_sql('b', code_sql('feature'))} as b from (select distinct feature from v) cross join ({own})"
+            scored = f"select user_id, code, level, ln(c) - g * (level + 1 - b) as score from (select l.user_id, d.*, floor({p!r} * ln(weight) / g + b)::bigint as level from v join l{r - 1} l using (user_id) join ({drawn}) d using (cohort_id, feature))"
+            h, on = f"(select user_id, arg_min(code, struct_pack(s := score, c := code)) as code from ({scored}) group by 1)", "h.user_id = l.user_id"
+        way = "place = 1 and n >= {0} and total - n >= {0}" if fanout == "mode" else "place <= last"
+        last = f", max(case when n >= {least} and (total - so_far >= {least} or (total = so_far and place > 1)) then place end) over (partition by cohort_id) as last" if fanout == "all" else ""
         parts += [
-            f"k{r} as (select l.user_id, l.cohort_id, {value} as key from l{r - 1} l left join h on h.user_id = l.user_id and h.round = {r})",
-            f"c{r} as (select cohort_id, key, count(*) as n, sum(count(*)) over (partition by cohort_id) as total, row_number() over (partition by cohort_id order by count(*) desc, key nulls last) as place from k{r} group by 1, 2)",
-            f"d{r} as (select cohort_id, key, n, total - n as rest from c{r} where place = 1 and n >= {least} and total - n >= {least})",
-            f"l{r} as materialized (select k.user_id, case when d.cohort_id is null then k.cohort_id when k.key is not distinct from d.key then k.cohort_id || '/{r}m' else k.cohort_id || '/{r}r' end as cohort_id from k{r} k left join d{r} d using (cohort_id))",
+            f"k{r} as (select l.user_id, l.cohort_id, coalesce({value}, 9223372036854775807) as key from l{r - 1} l left join {h} h on {on})",
+            f"c{r} as (select *{last} from (select cohort_id, key, count(*) as n, sum(count(*)) over (partition by cohort_id)::bigint as total, row_number() over (partition by cohort_id order by count(*) desc, key) as place, sum(count(*)) over (partition by cohort_id order by count(*) desc, key rows unbounded preceding)::bigint as so_far from k{r} group by 1, 2))",
+            f"d{r} as materialized (select cohort_id, key, n, total - max(so_far) over (partition by cohort_id) as rest, {code_sql(f"cohort_id || '/{r}/' || key")} as child, {code_sql(f"cohort_id || '/{r}'")} as rest_child from c{r} where {way.format(least)})",
+            f"l{r} as materialized (select k.user_id, coalesce(d.child, e.rest_child, k.cohort_id) as cohort_id from k{r} k left join d{r} d on d.cohort_id = k.cohort_id and d.key = k.key left join (select distinct cohort_id, rest_child from d{r}) e on e.cohort_id = k.cohort_id)",
         ]
     return "with " + ", ".join(parts) + " " + final.replace("{n}", str(rounds))
 
@@ -267,7 +350,25 @@ def mode_split_baskets(spark, sf):
 @query(split_sql())
 def mode_split_global(spark, sf):
     """Every round as cluster-wide aggregates: the same tree."""
-    return _split(spark, sf, local_limit=0, block=12).assignments
+    return _split(spark, sf, local_cells=0, block=12).assignments
+
+
+@query(split_sql(fanout="all"))
+def mode_split_multiway(spark, sf):
+    return _split(spark, sf, fanout="all").assignments
+
+
+@query(split_sql(scope=True, rounds=6))
+def mode_split_own_seeds(spark, sf):
+    """Every cohort draws for itself."""
+    return _split(spark, sf, seed_scope="cohort", rounds=6).assignments
+
+
+@query(split_sql())
+def mode_split_resumed(spark, sf):
+    """Six rounds, then the rest from their cohorts: the same tree."""
+    half = _split(spark, sf, rounds=6)
+    return _split(spark, sf, initial=half.assignments, first_round=7).assignments
 
 
 @query(split_sql(key="level"))
@@ -283,7 +384,7 @@ def mode_split_strict(spark, sf):
 _REGION = "select c_custkey as user_id, 'r' || n_regionkey as first_id from customer join nation on c_nationkey = n_nationkey"
 
 
-@query(split_sql(users=_REGION, first="first_id"))
+@query(split_sql(users=_REGION, first=code_sql("first_id")))
 def mode_split_initial(spark, sf):
     c = read_table(spark, sf, "customer").join(read_table(spark, sf, "nation"), F.col("c_nationkey") == F.col("n_nationkey"))
     return _split(spark, sf, initial=c.select(F.col("c_custkey").alias("user_id"), F.concat(F.lit("r"), F.col("n_regionkey").cast("string")).alias("cohort_id"))).assignments
@@ -294,17 +395,37 @@ def mode_split_importance(spark, sf):
     return mode_split.mode_split(reweight(spark, sf), _users(spark, sf), K, ROUNDS, P, SEED).assignments
 
 
-@query(split_sql(final="select * from (" + " union all ".join(f"select {r}::int as round, cohort_id as parent, key, n as n_matched, rest::bigint as n_rest from d{r}" for r in range(1, ROUNDS + 1)) + ")"))
+_FLAGS = f"select c_custkey as user_id, (case when c_mktsegment = 'BUILDING' then '1' else '0' end) || (case when c_nationkey = 3 then '1' else '0' end) as flags, count(*) over (partition by (c_mktsegment = 'BUILDING')::int * 2 + (c_nationkey = 3)::int) as n from customer"
+
+
+@query(split_sql(users=f"select user_id, case when n < {K} then 'merged' when n = (select min(n) from ({_FLAGS}) where n >= {K}) and (select count(*) from ({_FLAGS}) where n < {K}) between 1 and {K} - 1 then 'merged' else flags end as first_id from ({_FLAGS})", first=code_sql("first_id")))
+def mode_split_by_features(spark, sf):
+    """First cohorts by two important features; those below K are united, with the smallest other one if need be."""
+    v, u = features.baskets(spark, sf), _users(spark, sf)
+    first = mode_split.initial_by_features(v, u, ["s:BUILDING", "n:3"], K)
+    return mode_split.mode_split(v, u, K, ROUNDS, P, SEED, initial=first).assignments
+
+
+@query(split_sql(final=", f as (select distinct feature, " + code_sql("feature") + " as key from v) select g.round, g.parent, f.feature, g.child, g.rest_child, g.n_matched, g.n_rest from (" + " union all ".join(f"select {r}::int as round, cohort_id as parent, key, child, rest_child, n as n_matched, rest::bigint as n_rest from d{r}" for r in range(1, ROUNDS + 1)) + ") g left join f using (key)"))
 def split_log(spark, sf):
-    return _split(spark, sf).split_log
+    """The log, its keys as names."""
+    names = features.baskets(spark, sf).select("feature").distinct().select(F.col("feature"), code(F.col("feature")).alias("key"))
+    return _split(spark, sf).split_log.join(names, "key", "left").select("round", "parent", "feature", "child", "rest_child", "n_matched", "n_rest")
+
+
+@query(split_sql(rounds=SQL_ROUNDS, final=", g as (" + " union all ".join(f"select {r} as round, cohort_id from d{r}" for r in range(1, SQL_ROUNDS + 1)) + f"), o as (select count(*) as n from l{{n}} group by cohort_id having count(*) >= {2 * K}) select max(round)::int as last_split, count(distinct round) as split_rounds, count(distinct cohort_id) as splits, (select count(*) from o) as open_cohorts, (select coalesce(sum(n), 0)::bigint from o) as open_users from g"))
+def round_stats(spark, sf):
+    c = _split(spark, sf, rounds=ALL_ROUNDS)
+    return mode_split.round_stats(c.split_log, c.assignments, K)
 
 
 @query(split_sql(rounds=1))
 def split_round(spark, sf):
-    u = _users(spark, sf).withColumn("cohort_id", F.lit("0"))
-    s = hashing.weighted_samples(features.baskets(spark, sf), [1], P, SEED).select("user_id", F.col("feature").alias("key"))
-    at = mode_split.shared_write(u.join(s, "user_id", "left"), "round")
-    return mode_split.relabel(at, mode_split.decisions(at, K), 1).select("user_id", "cohort_id")
+    u = _users(spark, sf).withColumn("cohort_id", F.lit(mode_split.ROOT).cast("long"))
+    s = _sig(spark, sf, "weighted", 1).select("user_id", F.get("sig", F.lit(0)).alias("key"))
+    at = shared_write(u.join(s, "user_id", "left").withColumn("key", F.coalesce("key", F.lit(NULL_KEY))), "round")
+    counts = at.groupBy("cohort_id", "key").agg(F.count("*").alias("n"))
+    return mode_split.relabel(at, mode_split.decisions(counts, K), 1)
 
 
 @query(split_sql(final="select cohort_id, sha256(string_agg(user_id::varchar, ',' order by user_id)) as content_id from l{n} group by 1"))
@@ -319,22 +440,36 @@ def _blocks_sql(sig: str, k: int = K) -> str:
 
 @query(_blocks_sql(f"select user_id, round, case when dot >= 0 then 1 else 0 end as x from ({_DOT})"))
 def sorted_blocks_sign(spark, sf):
-    return blocks.sorted_blocks(workloads.signatures(features.baskets(spark, sf), "sign", 10, seed=SEED), K)
+    return blocks.sorted_blocks(_sig(spark, sf, "sign"), K)
 
 
 @query(_blocks_sql(f"select user_id, round, h as x from ({_MIN})"))
 def sorted_blocks_minwise(spark, sf):
-    return blocks.sorted_blocks(workloads.signatures(features.baskets(spark, sf), "minwise", 10, seed=SEED), K)
+    return blocks.sorted_blocks(_sig(spark, sf, "minwise"), K)
 
 
-@query(_blocks_sql(f"select user_id, round, feature as x from ({hashing.weighted_sql('v', _TEN, P, SEED)})"))
+@query(_blocks_sql(f"select user_id, round, code as x from ({hashing.weighted_sql('v', _TEN, P, SEED)})"))
 def sorted_blocks_weighted(spark, sf):
-    return blocks.sorted_blocks(workloads.signatures(features.baskets(spark, sf), "weighted", 10, P, SEED), K)
+    return blocks.sorted_blocks(_sig(spark, sf, "weighted"), K)
+
+
+@query(_blocks_sql(f"select user_id, round, cell as x from ({_CELLS})"))
+def sorted_blocks_quantised(spark, sf):
+    return blocks.sorted_blocks(_sig(spark, sf, "quantised", width=50.0), K)
+
 
+@query(_blocks_sql(f"select user_id, round, code as x from ({hashing.weighted_sql('v', list(range(1, 101)), P, SEED)})"))
+def sorted_blocks_hundred(spark, sf):
+    """Sorted blocks at the longest length of the search."""
+    return blocks.sorted_blocks(_sig(spark, sf, "weighted", 100), K)
 
-@query(f"{_BV}, s as ({hashing.weighted_sql('v', [1], P, SEED)}) select user_id, feature as cohort_id from s")
+
+_BUCKETS = f"{_BV}, s as ({hashing.weighted_sql('v', [1], P, SEED)})"
+
+
+@query(f"{_BUCKETS} select user_id, code::varchar as cohort_id from s")
 def raw_buckets(spark, sf):
-    return blocks.raw_buckets(workloads.signatures(features.baskets(spark, sf), "weighted", 1, P, SEED))
+    return blocks.raw_buckets(_sig(spark, sf, "weighted", 1))
 
 
 @query("select c_custkey as user_id, (('0x' || substr(md5('7:' || c_custkey), 1, 12))::BIGINT % 64)::varchar as cohort_id from customer")
@@ -374,6 +509,18 @@ def anonymity_audit(spark, sf):
     return d.withColumns({c: F.round(c, 9) for c in ("risk_mean", "risk_most")})
 
 
+@query(f"{_BUCKETS}, z as (select code, count(*) as members from s group by 1) " + _AUDIT)
+def raw_buckets_audit(spark, sf):
+    """Raw buckets break K."""
+    d = campaigns.anonymity_audit(raw_buckets(spark, sf), _users(spark, sf), K)
+    return d.withColumns({c: F.round(c, 9) for c in ("risk_mean", "risk_most")})
+
+
+@query("with o as (select c_custkey as user_id, row_number() over (order by md5('7:' || c_custkey), c_custkey) - 1 as r, count(*) over () as n from customer) select user_id, least(r // 20, greatest(n // 20, 1) - 1)::varchar as cohort_id from o")
+def balanced_groups(spark, sf):
+    return blocks.balanced_groups(_users(spark, sf), K, SEED)
+
+
 @query("with z as (select ('0x' || substr(md5('7:' || c_custkey), 1, 12))::BIGINT % 64 as c, count(*) as members from customer group by 1) " + _AUDIT)
 def random_groups_audit(spark, sf):
     d = campaigns.anonymity_audit(random_groups(spark, sf), _users(spark, sf), K)
@@ -464,65 +611,104 @@ def cohort_conversions(spark, sf):
 @query(split_sql())
 def assign_new(spark, sf):
     """Replaying the log over the same users gives the same cohorts."""
-    v = features.baskets(spark, sf)
-    s = hashing.weighted_samples(v, list(range(1, ROUNDS + 1)), P, SEED)
-    keys = _users(spark, sf).join(hashing.signature(s, F.col("feature")).withColumnRenamed("sig", "keys"), "user_id", "left")
-    return mode_split.assign_new(keys, _split(spark, sf).split_log)
+    return mode_split.assign_new(features.baskets(spark, sf), _users(spark, sf), _split(spark, sf).split_log, P, SEED)
 
 
-@query()
+@query(split_sql())
+def assign_new_global(spark, sf):
+    """The same from a log of cluster-wide rounds."""
+    return mode_split.assign_new(features.baskets(spark, sf), _users(spark, sf), _split(spark, sf, local_cells=4000, block=4).split_log, P, SEED)
+
+
+def _whole(final: str) -> str:
+    return split_sql(rounds=SQL_ROUNDS, final=final).replace(")  ,", "),").replace(") ,", "),")
+
+
+@query(split_sql(rounds=SQL_ROUNDS))
 def full_split_baskets(spark, sf):
-    """The whole split; the ``mode_split_*`` queries and those on ``_split`` with SQL are its first rounds."""
+    """The whole split; the ``mode_split_*`` queries and those on ``_split`` are its first rounds."""
     return _split(spark, sf, rounds=ALL_ROUNDS).assignments
 
 
-@query()
+_SIZES = "select members, count(*) as cohorts, round(sum(count(*)) over (order by members)::double / sum(count(*)) over (), 9) as cdf from z group by 1"
+
+
+@query(_whole(_TAIL + _SIZES))
 def full_size_cdf(spark, sf):
-    return campaigns.size_cdf(full_split_baskets(spark, sf))
+    return campaigns.size_cdf(full_split_baskets(spark, sf)).withColumn("cdf", F.round("cdf", 9))
 
 
-@query()
+_PERCENTILES = f"select min(members) as least, quantile_cont(members, 0.5) as p50, round(quantile_cont(members, 0.95), 9) as p95, round(quantile_cont(members, 0.99), 9) as p99, max(members) as most, round(avg(case when members between {K} and {2 * K} then 1.0 else 0.0 end), 9) as in_band from z"
+
+
+@query(_whole(_TAIL + _PERCENTILES))
 def full_size_percentiles(spark, sf):
-    return campaigns.size_percentiles(full_split_baskets(spark, sf), K)
+    d = campaigns.size_percentiles(full_split_baskets(spark, sf), K)
+    return d.withColumns({c: F.round(c, 9) for c in ("p95", "p99", "in_band")})
 
 
-@query()
+@query(_whole(_TAIL + _AUDIT))
 def full_anonymity_audit(spark, sf):
-    return campaigns.anonymity_audit(full_split_baskets(spark, sf), _users(spark, sf), K)
+    d = campaigns.anonymity_audit(full_split_baskets(spark, sf), _users(spark, sf), K)
+    return d.withColumns({c: F.round(c, 9) for c in ("risk_mean", "risk_most")})
 
 
-@query()
+_RECALLS = "select round(avg(tp / nullif(tp + fn, 0)::double), 9) as micro_recall, round(sum(tp) / sum(tp + fn)::double, 9) as macro_recall, round(sum(tp) / nullif(sum(tp + fp), 0)::double, 9) as \"precision\", count(*) as campaigns from cc"
+
+
+@query(_whole(_COUNTS + _RECALLS))
 def full_recall_of_split(spark, sf):
     v = features.baskets(spark, sf)
-    return workloads.evaluate(full_split_baskets(spark, sf), campaigns.match_users(_camps(v), v))
+    d = workloads.evaluate(full_split_baskets(spark, sf), campaigns.match_users(_camps(v), v))
+    return d.withColumns({c: F.round(c, 9) for c in ("micro_recall", "macro_recall", "precision")})
 
 
-@query()
+@query(split_sql(rounds=SQL_ROUNDS, key="level"))
 def full_split_pair_key(spark, sf):
     return _split(spark, sf, key="feature_level", rounds=ALL_ROUNDS).assignments
 
 
-@query()
+@query(split_sql(rounds=SQL_ROUNDS, strict=True))
 def full_split_strict(spark, sf):
     return _split(spark, sf, strict=True, rounds=ALL_ROUNDS).assignments
 
 
-@query()
+_NEXT = "select 'within' as pairs, user_id as a, lead(user_id) over (partition by cohort_id order by md5('7:' || user_id)) as b from l{n} union all select 'any', user_id, lead(user_id) over (partition by substr(md5('7:' || user_id), 1, 2) order by md5('7:' || user_id)) from l{n}"
+
+
+@query(_whole(f", q as (select * from ({_NEXT}) where b is not null), p as (select distinct a, b from q), {_KERNEL} select pairs, round(avg(similarity), 6) as similarity from q join j using (a, b) group by 1"))
 def within_similarity(spark, sf):
-    return campaigns.within_similarity(_split(spark, sf, rounds=ALL_ROUNDS).assignments, features.baskets(spark, sf), P)
+    return _rounded(campaigns.within_similarity(_split(spark, sf, rounds=ALL_ROUNDS).assignments, features.baskets(spark, sf), P))
+
+
+@query("with " + ", ".join(f"r{k} as (select {k} as k, * from ({split_sql(k=k, rounds=SQL_ROUNDS, final=_TAIL + _AUDIT.replace(f'members < {K}', f'members < {k}')).replace(')  ,', '),').replace(') ,', '),')}))" for k in (10, 20, 50)) + " select * from r10 union all select * from r20 union all select * from r50")
+def k_sweep(spark, sf):
+    """The anonymity audit at several K."""
+    d = workloads.k_sweep(features.baskets(spark, sf), _users(spark, sf), (10, 20, 50), ALL_ROUNDS, P, SEED)
+    return d.withColumns({c: F.round(c, 9) for c in ("risk_mean", "risk_most")})
 
 
 def _nearest(spark, sf):
-    v = mode_split.shared_write(features.binarise(features.doc_terms(spark, sf)), "vectors")
-    index = mode_split.shared_write(neighbours.bucket_index(workloads.signatures(v, "minwise", 50), 50, 1), "index")
+    v = shared_write(features.binarise(features.doc_terms(spark, sf)), "vectors")
+    index = shared_write(neighbours.bucket_index(hashing.signatures(v, "minwise", 50), 50, 1), "index")
     q = v.where("user_id % 20 = 0").select("user_id").distinct()
     return neighbours.nearest(index, q, v, 10), neighbours.exact_neighbours(v, q, 10)
 
 
-@query()
+_SETS = f"with v as (select user_id, feature from ({DOCS_SQL})), t as (select user_id, count(*) as t from v group by 1)"
+_JACCARD = "select a, b, m / (x.t + y.t - m)::double as similarity from (select a, b, count(*) as m from c join v x on x.user_id = a join v y on y.user_id = b and y.feature = x.feature group by 1, 2) join t x on x.user_id = a join t y on y.user_id = b"
+
+
+@query(f"""{_SETS}, s as ({hashing.minwise_sql('v', list(range(1, 51)), SEED)}),
+    c as (select distinct x.user_id as a, y.user_id as b from s x join s y on x.round = y.round and x.h = y.h and x.user_id <> y.user_id where x.user_id % 20 = 0),
+    n as (select *, row_number() over (partition by a order by similarity desc, b) as place from ({_JACCARD})),
+    short as (select user_id from t where user_id % 20 = 0 and user_id not in (select a from n where place = 10)),
+    e as (select x.user_id as a, y.user_id as b, count(*) as m from v x join v y on y.feature = x.feature and y.user_id <> x.user_id where x.user_id in (select user_id from short) group by 1, 2),
+    o as (select *, row_number() over (partition by a order by similarity desc, b) as place from (select a, b, m / (x.t + y.t - m)::double as similarity from e join t x on x.user_id = a join t y on y.user_id = b))
+    select a, b, round(similarity, 6) as similarity, place::int as place from n where place <= 10 and a not in (select user_id from short) union all select a, b, round(similarity, 6), place::int from o where place <= 10""")
 def bucket_query(spark, sf):
     """Ten nearest of every twentieth document from 50 bands of one min-wise slot (a pair at 0.1 is missed once in 194)."""
-    return _nearest(spark, sf)[0]
+    return _rounded(_nearest(spark, sf)[0])
 
 
 @query()
@@ -531,22 +717,46 @@ def neighbour_recall(spark, sf):
     return neighbours.neighbour_recall(*_nearest(spark, sf))
 
 
-@query()
+@query(f"""{_SETS}, s as ({hashing.minwise_sql('v', list(range(1, 49)), SEED)}), g as (select user_id, md5(string_agg(feature, ' ' order by feature)) as fp from v group by 1), head as (select min(user_id) as user_id from g group by fp),
+    k as (select user_id, (round - 1) // 4 as band, string_agg(h::varchar, ',' order by round) as bucket from s join head using (user_id) group by 1, 2),
+    c as (select distinct x.user_id as a, y.user_id as b from k x join k y on x.band = y.band and x.bucket = y.bucket and x.user_id < y.user_id)
+    select a, b, round(similarity, 6) as similarity from ({_JACCARD}) where similarity >= 0.8""")
 def similar_pairs(spark, sf):
-    v = features.binarise(features.doc_terms(spark, sf))
-    return neighbours.similar_pairs(neighbours.bucket_index(workloads.signatures(v, "minwise", 48), 12, 4), v, 0.8)
+    """Near-duplicate pairs of class heads."""
+    v = shared_write(features.binarise(features.doc_terms(spark, sf)), "vectors")
+    return _rounded(neighbours.similar_pairs(hashing.signatures(v, "minwise", 48), v, 0.8, 12, 4))
 
 
 @query()
 def recall_table(spark, sf):
     """All five methods on document vectors."""
     v = features.doc_terms(spark, sf)
-    return workloads.compare(v, workloads.word_campaigns(v, K), K, rounds=ALL_ROUNDS, lengths=LENGTHS)
+    return workloads.compare(v, workloads.word_campaigns(v, K), K, ALL_ROUNDS, LENGTHS, P, SEED)
+
+
+@query()
+def recall_table_baskets(spark, sf):
+    """All five methods on baskets."""
+    return workloads.compare(features.baskets(spark, sf), workloads.basket_campaigns(spark), K, ALL_ROUNDS, LENGTHS, P, SEED)
+
+
+@query()
+def best_lengths(spark, sf):
+    """The better length of each sorted method, on baskets."""
+    return blocks.best_length(recall_table_baskets(spark, sf))
 
 
 @query()
 def p_sweep(spark, sf):
-    return workloads.p_sweep(features.baskets(spark, sf), _users(spark, sf), workloads.basket_campaigns(spark), [x / 10 for x in range(5, 16)], K, rounds=ALL_ROUNDS)
+    return workloads.p_sweep(features.baskets(spark, sf), _users(spark, sf), workloads.basket_campaigns(spark), [x / 10 for x in range(5, 16)], K, ALL_ROUNDS, SEED)
+
+
+@query()
+def cost_scaling(spark, sf):
+    """The exponent of seconds in users, and in rounds."""
+    runs = shared_write(workloads.cost_runs(features.baskets(spark, sf), _users(spark, sf)), "cost")
+    by = lambda c: workloads.scaling_fit(runs, c).select(F.lit(c).alias("by"), "*")
+    return by("users").unionByName(by("rounds"))
 
 
 @query()

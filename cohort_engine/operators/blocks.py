@@ -6,7 +6,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .mode_split import shared_write
+from .storage import shared_write
 
 
 def sorted_blocks(h: DataFrame, k: int = 20, tail: str = "merge") -> DataFrame:
@@ -43,6 +43,18 @@ def random_groups(users: DataFrame, groups: int, seed: int = 7) -> DataFrame:
     return users.select("user_id", (x % groups).cast("string").alias("cohort_id"))
 
 
+def balanced_groups(users: DataFrame, k: int, seed: int = 7) -> DataFrame:
+    """Random groups of ``k`` (the last takes the rest): users cut in a seeded order, so K is kept."""
+    order = F.md5(F.concat_ws(":", F.lit(str(seed)), F.col("user_id").cast("string")))
+    return sorted_blocks(users.select("user_id", F.array(order).alias("sig")), k)
+
+
+def best_length(table: DataFrame, measure: str = "macro_recall") -> DataFrame:
+    """The row of the best length of each method of a comparison (ties to the shorter)."""
+    best = table.groupBy("method").agg(F.max_by(F.struct(*table.columns), F.struct(measure, -F.col("length"))).alias("b"))
+    return best.select("b.*")
+
+
 def kmeans_cohorts(v: DataFrame, k: int, dimensions: int = 256, iterations: int = 10, seed: int = 7, max_users: int = 200_000) -> DataFrame:
     """Lloyd's algorithm on hashed features; no size floor. Its cost grows with users x centres, so more than ``max_users`` is refused."""
     from pyspark.ml.clustering import KMeans

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 
@@ -45,9 +45,27 @@ def reweight(v: DataFrame, importance: DataFrame, default: float = 1.0, max_broa
 
 
 def top_features(v: DataFrame, k: int) -> DataFrame:
-    """Each user's k heaviest features; ties to the smaller feature. A bounded aggregate, not a window over a user."""
-    best = v.groupBy("user_id").agg(F.slice(F.sort_array(F.collect_list(F.struct((-F.col("weight")).alias("m"), "feature"))), 1, k).alias("x"))
-    return best.select("user_id", F.inline("x")).select("user_id", "feature", (-F.col("m")).alias("weight"))
+    """Each user's k heaviest features; ties to the smaller feature. Only k rows a user are kept before the shuffle and after it."""
+    w = Window.partitionBy("user_id").orderBy(F.desc("weight"), "feature")
+    return v.withColumn("place", F.row_number().over(w)).where(F.col("place") <= k).select("user_id", "feature", "weight")
+
+
+def feature_ids(v: DataFrame) -> DataFrame:
+    """feature, feature_id: numbers 0, 1, ... in order of the names.
+
+    Names are range-partitioned and sorted, the partitions' counts shift the numbers inside: no window over all names.
+    """
+    from .storage import shared_write
+
+    names = v.select("feature").distinct().repartitionByRange("feature").sortWithinPartitions("feature").withColumn("part", F.spark_partition_id())
+    names = shared_write(names, "names")
+    total, starts = 0, []
+    for r in names.groupBy("part").count().orderBy("part").collect():  # a row a partition
+        starts.append((r["part"], total))
+        total += r["count"]
+    side = v.sparkSession.createDataFrame(starts, "part int, start long")
+    place = F.row_number().over(Window.partitionBy("part").orderBy("feature")) - 1
+    return names.withColumn("place", place).join(F.broadcast(side), "part").select("feature", (F.col("place") + F.col("start")).alias("feature_id"))
 
 
 def shingles(df: DataFrame, key: str, text: str, n: int) -> DataFrame:

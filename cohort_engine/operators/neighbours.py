@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .mode_split import shared_write
+from .storage import shared_write
 from .similarity import minmax_kernel
 
 
@@ -43,7 +43,22 @@ def neighbour_recall(approximate: DataFrame, exact: DataFrame) -> DataFrame:
     return hit.agg(F.avg(F.coalesce("hit", F.lit(0)).cast("double")).alias("recall"), F.count("*").alias("wanted"))
 
 
-def similar_pairs(index: DataFrame, v: DataFrame, threshold: float, p: float = 1.0) -> DataFrame:
-    """a < b with similarity at least ``threshold`` among those that share a bucket."""
+def similar_pairs(h: DataFrame, v: DataFrame, threshold: float, bands: int, rows: int, p: float = 1.0) -> DataFrame:
+    """a < b, similarity: pairs of at least ``threshold`` among those that share a bucket, equal vectors as one.
+
+    Users with equal vectors are a class, and only the class's smallest user enters the tables, so a
+    large group of copies is one entry and not all its pairs. ``duplicates`` gives the members.
+    """
+    kept = duplicates(v)
+    heads = kept.where("user_id = head").select("user_id")
+    index = bucket_index(h.join(heads, "user_id", "left_semi"), bands, rows)
     pairs = index.withColumnRenamed("user_id", "a").join(index.withColumnRenamed("user_id", "b"), ["band", "bucket"]).where("a < b").select("a", "b").distinct()
     return minmax_kernel(v, pairs, p).where(F.col("similarity") >= threshold)
+
+
+def duplicates(v: DataFrame) -> DataFrame:
+    """user_id, head: the smallest user with the same vector."""
+    cell = F.struct("feature", "weight")
+    same = v.groupBy("user_id").agg(F.sha2(F.to_json(F.sort_array(F.collect_list(cell))), 256).alias("fp"))
+    same = shared_write(same, "fingerprints")
+    return same.join(same.groupBy("fp").agg(F.min("user_id").alias("head")), "fp").select("user_id", "head")

@@ -41,6 +41,35 @@ def similarity_join(v: DataFrame, threshold: float, p: float = 1.0, max_users: i
     return both.select("a", "b", (F.col("m") / (F.col("ta") + F.col("tb") - F.col("m"))).alias("similarity")).where(F.col("similarity") >= threshold)
 
 
+def kernel_matrix(v: DataFrame, p: float = 1.0, max_users: int = 5_000) -> DataFrame:
+    """a, b, similarity of all pairs that share a feature, both ways, and of each user with itself; more than ``max_users`` are refused."""
+    if v.select("user_id").distinct().limit(max_users + 1).count() > max_users:
+        raise ValueError(f"the kernel matrix is refused above {max_users} users")
+    w = v.select("user_id", "feature", F.pow("weight", F.lit(p)).alias("w"))
+    t = w.groupBy("user_id").agg(F.sum("w").alias("t"))
+    both = w.toDF("a", "feature", "x").join(w.toDF("b", "feature", "y"), "feature").groupBy("a", "b").agg(F.sum(F.least("x", "y")).alias("m"))
+    j = both.join(t.toDF("a", "ta"), "a").join(t.toDF("b", "tb"), "b")
+    return j.select("a", "b", (F.col("m") / (F.col("ta") + F.col("tb") - F.col("m"))).alias("similarity"))
+
+
+def least_eigenvalue(matrix: DataFrame) -> float:
+    """Of a small kernel matrix (the rows of ``kernel_matrix``): not below 0 for a positive definite kernel."""
+    import numpy as np
+
+    t = matrix.toPandas()
+    ids = {u: i for i, u in enumerate(sorted(set(t["a"])))}
+    m = np.zeros((len(ids), len(ids)))
+    m[t["a"].map(ids), t["b"].map(ids)] = t["similarity"]
+    return float(np.linalg.eigvalsh(m)[0])
+
+
+def collision_report(h_full: DataFrame, h_feature: DataFrame, v: DataFrame, pairs: DataFrame, p: float) -> DataFrame:
+    """key, pairs, bias, rmse: collision rates of the full key and of the feature alone against the kernel."""
+    exact = minmax_kernel(v, pairs, p)
+    row = lambda h, name: estimation_error(estimate(h, pairs), exact).select(F.lit(name).alias("key"), "*")
+    return row(h_full, "feature_level").unionByName(row(h_feature, "feature"))
+
+
 def cosine(v: DataFrame, pairs: DataFrame) -> DataFrame:
     norm = v.groupBy("user_id").agg(F.sqrt(F.sum(F.col("weight") * F.col("weight"))).alias("t"))
     x = pairs.join(v.select(F.col("user_id").alias("a"), "feature", F.col("weight").alias("x")), "a")

@@ -2,11 +2,13 @@
 
 from __future__ import annotations
 
+import time
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..operators import blocks, campaigns, hashing, mode_split
-from ..operators.features import binarise
+from ..operators.storage import shared_write
 
 CAMPAIGNS = 400
 
@@ -28,42 +30,73 @@ def basket_campaigns(spark: SparkSession) -> DataFrame:
     return spark.createDataFrame(rows, "campaign_id string, feature string, min_weight double")
 
 
-def signatures(v: DataFrame, family: str, length: int, p: float = 1.0, seed: int = 7) -> DataFrame:
-    """user_id, sig of one family: 'sign', 'minwise' (on binary vectors) or 'weighted'."""
-    rounds = list(range(1, length + 1))
-    if family == "sign":
-        return hashing.signature(hashing.sign_bits(v, rounds, seed), F.col("bit"))
-    if family == "minwise":
-        return hashing.signature(hashing.minwise(binarise(v), rounds, seed), F.col("h"))
-    return hashing.signature(hashing.weighted_samples(v, rounds, p, seed), F.col("feature"))
-
-
 def evaluate(assign: DataFrame, matches: DataFrame, theta: float = 0.5) -> DataFrame:
     return campaigns.recalls(campaigns.campaign_counts(campaigns.match_cohorts(matches, assign, theta=theta)))
 
 
-def compare(v: DataFrame, camps: DataFrame, k: int = 20, rounds: int = 400, lengths=(50, 75, 100), p: float = 1.2, seed: int = 7) -> DataFrame:
-    """method, length, micro_recall, macro_recall, ...: the table of all five methods; every length is reported."""
-    v = mode_split.shared_write(v, "vectors")
+def compare(v: DataFrame, camps: DataFrame, k: int = 20, rounds: int = 1000, lengths=(50, 75, 100), p: float = 1.2, seed: int = 7) -> DataFrame:
+    """method, length, micro_recall, macro_recall, ...: the table of all five methods; every length is a row (``blocks.best_length`` keeps the best).
+
+    A family's signature is made once, at the longest length; shorter ones are its prefixes.
+    """
+    v = shared_write(v, "vectors")
     users = v.select("user_id").distinct()
-    matches = mode_split.shared_write(campaigns.match_users(camps, v), "matches")
+    matches = shared_write(campaigns.match_users(camps, v), "matches")
     n = users.count()
     runs = [("random", 0, blocks.random_groups(users, max(1, int(n / 23.33)), seed)), ("mode_split", 0, mode_split.mode_split(v, users, k, rounds, p, seed).assignments)]
     for family in ("minwise", "sign", "weighted"):
-        longest = mode_split.shared_write(signatures(v, family, max(lengths), seed=seed), "signature")
+        longest = shared_write(hashing.signatures(v, family, max(lengths), p, seed), "signature")
         runs += [(f"sorted_{family}", m, blocks.sorted_blocks(longest.withColumn("sig", F.slice("sig", 1, m)), k)) for m in lengths]
-    out = None
-    for name, m, assign in runs:
-        row = evaluate(assign, matches).select(F.lit(name).alias("method"), F.lit(m).alias("length"), "*")
-        out = row if out is None else out.unionByName(row)
-    return out
+    return evaluate_all([(F.lit(name).alias("method"), F.lit(m).alias("length"), assign) for name, m, assign in runs], matches)
 
 
-def p_sweep(v: DataFrame, users: DataFrame, camps: DataFrame, grid, k: int = 20, rounds: int = 400, seed: int = 7) -> DataFrame:
-    """p, micro_recall, macro_recall, ... of consecutive splitting."""
-    matches = mode_split.shared_write(campaigns.match_users(camps, v), "matches")
+def evaluate_all(runs: list, matches: DataFrame, theta: float = 0.5) -> DataFrame:
+    """Recalls of many assignments, each with its naming columns, in one aggregation."""
     out = None
-    for p in grid:
-        row = evaluate(mode_split.mode_split(v, users, k, rounds, p, seed).assignments, matches).select(F.lit(float(p)).alias("p"), "*")
+    for *names, assign in runs:
+        a = assign.select("user_id", F.col("cohort_id").cast("string").alias("cohort_id"), *names)
+        out = a if out is None else out.unionByName(a)
+    keys = [c for c in out.columns if c not in ("user_id", "cohort_id")]
+    out = shared_write(out, "runs")
+    size = out.groupBy(*keys, "cohort_id").agg(F.count("*").alias("members"))
+    m = matches.join(out, "user_id").groupBy(*keys, "campaign_id", "cohort_id").agg(F.count("*").alias("matched")).join(size, [*keys, "cohort_id"])
+    m = m.withColumn("hit", F.col("matched") >= theta * F.col("members"))
+    on = lambda x: F.sum(F.when(F.col("hit"), x).otherwise(0))
+    c = m.groupBy(*keys, "campaign_id").agg(on(F.col("matched")).alias("tp"), on(F.col("members")).alias("audience"), F.sum("matched").alias("wanted"))
+    agg = c.groupBy(*keys).agg(F.avg(F.col("tp") / F.col("wanted")).alias("micro_recall"), (F.sum("tp") / F.sum("wanted")).alias("macro_recall"), (F.sum("tp") / F.nullif(F.sum("audience"), F.lit(0))).alias("precision"), F.count("*").alias("campaigns"))
+    return agg
+
+
+def p_sweep(v: DataFrame, users: DataFrame, camps: DataFrame, grid, k: int = 20, rounds: int = 1000, seed: int = 7) -> DataFrame:
+    """p, micro_recall, macro_recall, ... of consecutive splitting."""
+    v = shared_write(v, "vectors")
+    matches = shared_write(campaigns.match_users(camps, v), "matches")
+    return evaluate_all([(F.lit(float(p)).alias("p"), mode_split.mode_split(v, users, k, rounds, p, seed).assignments) for p in grid], matches)
+
+
+def k_sweep(v: DataFrame, users: DataFrame, sizes=(5, 10, 20, 50), rounds: int = 1000, p: float = 1.2, seed: int = 7) -> DataFrame:
+    """k and the anonymity audit of consecutive splitting at it."""
+    v, out = shared_write(v, "vectors"), None
+    for k in sizes:
+        row = campaigns.anonymity_audit(mode_split.mode_split(v, users, k, rounds, p, seed).assignments, users, k).select(F.lit(k).alias("k"), "*")
         out = row if out is None else out.unionByName(row)
     return out
+
+
+def cost_runs(v: DataFrame, users: DataFrame, shares=(1, 2, 4), rounds=(8, 16, 32), k: int = 20, p: float = 1.2, seed: int = 7) -> DataFrame:
+    """users, entries, rounds, seconds of consecutive splitting over every n-th user and over several numbers of rounds."""
+    rows = []
+    for n in shares:
+        some = shared_write(v.where(F.col("user_id") % n == 0), "vectors")
+        who = users.where(F.col("user_id") % n == 0)
+        size, entries = who.count(), some.count()
+        for t in rounds:
+            began = time.time()
+            mode_split.mode_split(some, who, k, t, p, seed).assignments.count()
+            rows.append((size, entries, t, time.time() - began))
+    return users.sparkSession.createDataFrame(rows, "users long, entries long, rounds int, seconds double")
+
+
+def scaling_fit(runs: DataFrame, by: str = "users") -> DataFrame:
+    """slope: the exponent of seconds in ``by`` (least squares on logarithms)."""
+    return runs.agg(F.regr_slope(F.log("seconds"), F.log(by)).alias("slope"), F.count("*").alias("runs"))
