@@ -19,6 +19,7 @@ rows are separate pieces; extra columns are ignored.
 from __future__ import annotations
 
 import base64
+import math
 import zlib
 from collections.abc import Iterator
 from functools import lru_cache
@@ -193,9 +194,12 @@ def plan(counts: dict[int, int], capacity: int = CAPACITY) -> tuple[np.ndarray,
     return runs, state.bins
 
 
-def ranked_pieces(pieces: DataFrame, per: dict[int, int], bucket_rows: int) -> DataFrame:
-    """``pieces`` plus _rank, from 0 within each length of ``per`` (length: pieces): buckets of about ``bucket_rows`` are ranked apart and shifted by the counts before them."""
-    buckets = F.array(*[F.lit(max(1, -(-per.get(length, 0) // bucket_rows))) for length in range(max(per, default=0) + 1)])
+def ranked_pieces(pieces: DataFrame, per: dict[int, int]) -> DataFrame:
+    """``pieces`` plus _rank, from 0 within each length of ``per`` (length: pieces): buckets are ranked apart and shifted by the counts before them.
+
+    A length of n pieces has about sqrt(n) / 4 buckets, so buckets and rows in a bucket both stay few.
+    """
+    buckets = F.array(*[F.lit(max(1, math.isqrt(per.get(length, 0)) // 4)) for length in range(max(per, default=0) + 1)])
     keyed = pieces.withColumn("_bucket", F.pmod(F.xxhash64("doc_id", "piece", "start"), F.get(buckets, F.col("length").cast("int"))).cast("int"))
     counts = materialise(keyed.groupBy("length", "_bucket").count(), "pack_counts")
     before = Window.partitionBy("length").orderBy("_bucket").rowsBetween(Window.unboundedPreceding, -1)
@@ -205,7 +209,7 @@ def ranked_pieces(pieces: DataFrame, per: dict[int, int], bucket_rows: int) -> D
     return join_small(ranked, starts, ["length", "_bucket"], "inner", 200_000).withColumn("_rank", F.col("_row") + F.col("_start")).drop("_bucket", "_row", "_start")
 
 
-def pack(pieces: DataFrame, capacity: int = CAPACITY, bucket_rows: int = 200_000, max_runs: int = 200_000) -> DataFrame:
+def pack(pieces: DataFrame, capacity: int = CAPACITY, max_runs: int = 200_000) -> DataFrame:
     """``pieces`` (doc_id, piece, start, length, ids_crc32, ...) plus sequence_id and offset.
 
     The driver gets at most ``capacity`` counts. At most ``max_runs`` runs (48 bytes each) are
@@ -214,7 +218,7 @@ def pack(pieces: DataFrame, capacity: int = CAPACITY, bucket_rows: int = 200_000
     spark = pieces.sparkSession
     per = {int(r["length"]): r["n"] for r in pieces.groupBy("length").agg(F.count("*").alias("n")).collect()}
     runs, _ = plan(per, capacity)
-    ranked = ranked_pieces(pieces, per, bucket_rows)
+    ranked = ranked_pieces(pieces, per)
     names = pieces.columns
     if len(runs) > max_runs:
         side = spark.createDataFrame(pd.DataFrame(runs, columns=["_length", "_first", "_number", "_per", "_bin", "_offset"]))
