@@ -5,7 +5,8 @@ from __future__ import annotations
 from pyspark.sql import functions as F
 
 from .functions.randomness import NULL_KEY, code, code_sql, gamma2_sql, multipliers_sql, rank_sql, rounds_sql, unit_sql
-from .operators import blocks, campaigns, features, hashing, mode_split, neighbours, similarity
+from .functions import sql
+from .operators import blocks, campaigns, features, hashing, mode_split, neighbours, relational, similarity
 from .operators.features import BASKETS_SQL, DOCS_SQL, EMBED_SQL
 from .operators.storage import shared_write
 from .plans import workloads
@@ -582,6 +583,87 @@ def campaign_counts(spark, sf):
     return campaigns.campaign_counts(_matched(spark, sf)).withColumn("recall", F.round("recall", 9))
 
 
+@query(_after(_MATCH + "select campaign_id, count(*) as cohorts, sum(members)::bigint as audience from mc where hit group by 1"))
+def audience(spark, sf):
+    return campaigns.audience(_matched(spark, sf))
+
+
+@query(_after(_COUNTS + "select round(sum(tp) / nullif(sum(tp + fp), 0)::double, 9) as \"precision\", round(avg(tp / nullif(tp + fp, 0)::double), 9) as mean_precision, round(2 * sum(tp) / sum(2 * tp + fp + fn)::double, 9) as f1, round(avg(2 * tp / nullif(2 * tp + fp + fn, 0)::double), 9) as mean_f1, round(avg(tp / nullif(tp + fn, 0)::double), 9) as mean_recall from cc"))
+def precisions(spark, sf):
+    d = campaigns.precisions(campaigns.campaign_counts(_matched(spark, sf)))
+    return d.withColumns({c: F.round(c, 9) for c in d.columns})
+
+
+@query(_after(_COUNTS + "select substr(campaign_id, 1, 1) as kind, campaign_id, round(sum(tp) / nullif(sum(tp + fn), 0)::double, 9) as recall, count(*) as campaigns, grouping_id(substr(campaign_id, 1, 1), campaign_id) as level from cc group by rollup (substr(campaign_id, 1, 1), campaign_id)"))
+def recall_rollup(spark, sf):
+    d = relational.recall_rollup(campaigns.campaign_counts(_matched(spark, sf)), F.substring("campaign_id", 1, 1))
+    return d.withColumn("recall", F.round("recall", 9))
+
+
+@query(_tail("select cohort_id, feature, sum(weight)::double as value, max(members) as members from v join a using (user_id) join z using (cohort_id) group by 1, 2"))
+def identity_sums(spark, sf):
+    return campaigns.identity_by(_split(spark, sf).assignments, features.baskets(spark, sf), "sum")
+
+
+@query(_tail("select cohort_id, feature, max(weight)::double as value, max(members) as members from v join a using (user_id) join z using (cohort_id) group by 1, 2"))
+def identity_maxima(spark, sf):
+    return campaigns.identity_by(_split(spark, sf).assignments, features.baskets(spark, sf), "max")
+
+
+@query(split_sql(final="select case when a.cohort_id = b.cohort_id then 'stayed' else 'moved' end as change, count(*) as users from l6 a join l{n} b using (user_id) group by 1"))
+def snapshot_changes(spark, sf):
+    """Between six and all of the rounds."""
+    return relational.snapshot_changes(_split(spark, sf, rounds=6).assignments, _split(spark, sf).assignments)
+
+
+_VERSIONS = "select c_custkey as user_id, timestamp '2024-01-01' as valid_from, 'n' || c_nationkey as cohort_id from customer where c_custkey % 3 > 0 union all select c_custkey, timestamp '2024-01-11', 's' || c_mktsegment from customer where c_custkey % 2 > 0"
+
+
+@query(f"select event_id, e.user_id, cohort_id from events e asof left join ({_VERSIONS}) x on e.user_id = x.user_id and e.ts >= x.valid_from")
+def asof_assignments(spark, sf):
+    """Each event's cohort in the snapshot that was valid then."""
+    c = read_table(spark, sf, "customer")
+    one = c.where("c_custkey % 3 > 0").select(F.col("c_custkey").alias("user_id"), F.lit("2024-01-01").cast("timestamp_ntz").alias("valid_from"), F.concat(F.lit("n"), F.col("c_nationkey").cast("string")).alias("cohort_id"))
+    two = c.where("c_custkey % 2 > 0").select(F.col("c_custkey").alias("user_id"), F.lit("2024-01-11").cast("timestamp_ntz").alias("valid_from"), F.concat(F.lit("s"), "c_mktsegment").alias("cohort_id"))
+    e = read_table(spark, sf, "events").select("event_id", "user_id", F.col("ts").cast("timestamp_ntz").alias("ts"))
+    return relational.asof_join(e, one.unionByName(two), "user_id", "ts", "valid_from", "cohort_id").drop("ts")
+
+
+@query("select v.event_id as view_id, p.event_id as purchase_id from events v join events p on p.user_id = v.user_id and p.ts >= v.ts and p.ts <= v.ts + interval 6 hours where v.event_type = 'view' and p.event_type = 'purchase'")
+def interval_conversions(spark, sf):
+    """Views with a purchase of the same user in the next six hours."""
+    e = read_table(spark, sf, "events").select("event_id", "user_id", "ts", "event_type")
+    j = relational.interval_join(e.where("event_type = 'view'"), e.where("event_type = 'purchase'"), "user_id", "ts", 6 * 3600)
+    return j.select(F.col("l_event_id").alias("view_id"), F.col("r_event_id").alias("purchase_id"))
+
+
+@query(f"{_BV}, s as ({hashing.weighted_sql('v', [1], P, SEED)}) select user_id, feature from s")
+def sql_sample_keys(spark, sf):
+    """The weighted sampler written with the inlined SQL functions."""
+    sql.register(spark)
+    features.baskets(spark, sf).createOrReplaceTempView("basket_rows")
+    draws = ", ".join(f"{f}(code, {SEED}L, 1, '{t}') as {t}" for f, t in (("gamma2_draw", "g"), ("gamma2_draw", "c"), ("unit_draw", "b")))
+    return spark.sql(f"with n as (select feature, feature_code(feature) as code from (select distinct feature from basket_rows)), d as (select feature, code, {draws} from n) select user_id, min_by(feature, struct(sample_score(weight, {P}D, g, c, b), code)) as feature from basket_rows join d using (feature) group by user_id")
+
+
+@query(f"{_BV}, s as ({hashing.weighted_sql('v', [1, 2, 3], P, SEED)}) select user_id, round as slot, code, level from s")
+def sql_signature_slots(spark, sf):
+    """The signature as a table function."""
+    sql.register(spark)
+    hashing.packed(features.baskets(spark, sf)).createOrReplaceTempView("packed_baskets")
+    return spark.sql(f"select user_id, s.slot, s.code, s.level from packed_baskets, lateral signature_slots(code, weight, 3, {P}D, {SEED}) s")
+
+
+@query(_kernel_sql(_BV, P))
+def sql_kernel_pairs(spark, sf):
+    """The kernel as an inlined SQL function over map columns."""
+    sql.register(spark)
+    v = features.baskets(spark, sf)
+    v.createOrReplaceTempView("basket_rows")
+    _pairs(v).createOrReplaceTempView("basket_pairs")
+    return spark.sql(f"with m as (select user_id, map_from_entries(collect_list(struct(feature, weight))) as vec from basket_rows group by user_id) select a, b, round(minmax_kernel(x.vec, y.vec, {P}D), 6) as similarity from basket_pairs join m x on x.user_id = a join m y on y.user_id = b")
+
+
 @query(_after(_COUNTS + "select round(avg(tp / nullif(tp + fn, 0)::double), 9) as micro_recall, round(sum(tp) / sum(tp + fn)::double, 9) as macro_recall, round(sum(tp) / nullif(sum(tp + fp), 0)::double, 9) as \"precision\", count(*) as campaigns from cc"))
 def recall_of_split(spark, sf):
     d = campaigns.recalls(campaigns.campaign_counts(_matched(spark, sf)))
@@ -796,6 +878,11 @@ def p_sweep(spark, sf):
     return _nine(workloads.p_sweep(features.baskets(spark, sf), _users(spark, sf), workloads.basket_campaigns(spark), _GRID, K, ALL_ROUNDS, SEED))
 
 
+@query(f"select method, max(macro_recall) filter (length = 0) as length_0, max(macro_recall) filter (length = 50) as length_50, max(macro_recall) filter (length = 75) as length_75, max(macro_recall) filter (length = 100) as length_100 from ({_TABLE_BASKETS}) group by 1")
+def method_pivot(spark, sf):
+    return relational.method_pivot(shared_write(recall_table_baskets(spark, sf), "table"))
+
+
 @query()
 def cost_scaling(spark, sf):
     """The exponent of seconds in users, and in rounds."""

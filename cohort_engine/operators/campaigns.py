@@ -23,6 +23,26 @@ def cohort_identity(assign: DataFrame, v: DataFrame, k: int = 1) -> DataFrame:
     return j.select("cohort_id", "feature", (F.col("n") / F.col("members")).alias("share"), (F.col("w") / F.col("members")).alias("mean_weight"), "members")
 
 
+def identity_by(assign: DataFrame, v: DataFrame, kind: str, k: int = 1) -> DataFrame:
+    """cohort_id, feature, value, members: identity vectors by 'share', 'mean', 'sum' or 'max' of the members' weights."""
+    value = {"share": F.count("*") / F.max("members"), "mean": F.sum("weight") / F.max("members"), "sum": F.sum("weight"), "max": F.max("weight")}[kind]
+    j = v.join(assign, "user_id").join(sizes(assign).where(F.col("members") >= k), "cohort_id")
+    return j.groupBy("cohort_id", "feature").agg(value.cast("double").alias("value"), F.max("members").alias("members"))
+
+
+def audience(cohorts: DataFrame) -> DataFrame:
+    """campaign_id, cohorts, audience: the matched cohorts of ``match_cohorts`` and their users."""
+    return cohorts.where("hit").groupBy("campaign_id").agg(F.count("*").alias("cohorts"), F.sum("members").alias("audience"))
+
+
+def precisions(counts: DataFrame) -> DataFrame:
+    """Pooled and mean precision and F1 of ``campaign_counts``; campaigns without an audience have no precision."""
+    p, r = F.col("tp") / F.nullif(F.col("audience"), F.lit(0)), F.col("tp") / F.nullif(F.col("tp") + F.col("fn"), F.lit(0))
+    f1 = 2 * F.col("tp") / F.nullif(F.col("audience") + F.col("tp") + F.col("fn"), F.lit(0))
+    pooled = 2 * F.sum("tp") / F.nullif(F.sum(F.col("audience") + F.col("tp") + F.col("fn")), F.lit(0))
+    return counts.agg((F.sum("tp") / F.nullif(F.sum("audience"), F.lit(0))).alias("precision"), F.avg(p).alias("mean_precision"), pooled.alias("f1"), F.avg(f1).alias("mean_f1"), F.avg(r).alias("mean_recall"))
+
+
 def match_users(campaigns: DataFrame, v: DataFrame, max_broadcast: int = 1_000_000) -> DataFrame:
     """campaign_id, user_id: users having all of a campaign's features at its least weights (relational division)."""
     n = campaigns.groupBy("campaign_id").agg(F.count("*").alias("need"))

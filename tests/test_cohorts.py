@@ -4,10 +4,12 @@ import glob
 import os
 
 import duckdb
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
 from cohort_engine import catalog
+from cohort_engine.functions import randomness
 from cohort_engine.operators import blocks, campaigns, features, hashing, mode_split, neighbours, similarity
 
 SF = "/root/testdata/sf0.001"
@@ -21,7 +23,7 @@ def users(spark, n):
     return spark.range(n).withColumnRenamed("id", "user_id")
 
 
-@pytest.mark.parametrize("name", ["vectors_baskets", "minmax_kernel_pairs", "weighted_sample", "sign_bits", "one_permutation_signature", "binwise_signature", "match_cohorts_any", "match_cohorts_all", "match_cohorts_score", "random_groups", "raw_buckets", "match_users"])
+@pytest.mark.parametrize("name", ["vectors_baskets", "minmax_kernel_pairs", "weighted_sample", "sign_bits", "one_permutation_signature", "binwise_signature", "match_cohorts_any", "match_cohorts_all", "match_cohorts_score", "random_groups", "raw_buckets", "match_users", "mode_split_multiway", "mode_split_own_seeds", "mode_split_by_features", "circulant_signature", "kernel_matrix", "sorted_blocks_quantised"])
 def test_queries_equal_duckdb(spark, name):
     con = duckdb.connect()
     for p in glob.glob(f"{SF}/*.parquet"):
@@ -49,14 +51,98 @@ def test_identical_short_empty_and_too_few(spark):
         mode_split.mode_split(same, users(spark, 4), k=5, rounds=1)
 
 
-def test_global_equals_local(spark):
+@pytest.mark.parametrize("options", [{}, {"fanout": "all"}, {"key": "feature_level"}, {"seed_scope": "cohort"}, {"patience": 2}, {"hash_family": "sign"}])
+def test_global_equals_local(spark, options):
     v = features.baskets(spark, SF)
     u = v.select("user_id").distinct()
-    a = mode_split.mode_split(v, u, k=5, rounds=10, block=5)
-    b = mode_split.mode_split(v, u, k=5, rounds=10, block=10, local_limit=0)
-    assert a.assignments.exceptAll(b.assignments).count() == 0
+    a = mode_split.mode_split(v, u, k=5, rounds=8, **options)
     audit = campaigns.anonymity_audit(a.assignments, u, 5).collect()[0]
     assert (audit["cohorts_below"], audit["missing"], audit["doubled"]) == (0, 0, 0) and audit["least"] >= 5
+    for other in ({"block": 8, "local_cells": 0}, {"block": 3, "local_cells": 700}):
+        b = mode_split.mode_split(v, u, k=5, rounds=8, **options, **other)
+        assert a.assignments.exceptAll(b.assignments).count() == 0
+        assert a.split_log.drop("anchor").exceptAll(b.split_log.drop("anchor")).count() == 0
+
+
+def test_decisions_too_many_to_send_are_joined(spark):
+    v = features.baskets(spark, SF)
+    u = v.select("user_id").distinct()
+    a = mode_split.mode_split(v, u, k=5, rounds=8)
+    b = mode_split.mode_split(v, u, k=5, rounds=8, local_cells=700, block=4, max_decisions=1)
+    assert a.assignments.exceptAll(b.assignments).count() == 0
+
+
+def test_log_adds_up_resumes_and_assigns(spark):
+    v = features.baskets(spark, SF)
+    u = v.select("user_id").distinct()
+    c = mode_split.mode_split(v, u, k=5, rounds=30)
+    size = {r["cohort_id"]: r["members"] for r in campaigns.sizes(c.assignments).collect()}
+    for r in sorted(c.split_log.collect(), key=lambda r: -r["round"]):
+        assert (size.setdefault(r["child"], r["n_matched"]), size.setdefault(r["rest_child"], r["n_rest"])) == (r["n_matched"], r["n_rest"])
+        size[r["parent"]] = r["n_matched"] + r["n_rest"]
+    assert size[mode_split.ROOT] == u.count()
+    half = mode_split.mode_split(v, u, k=5, rounds=4)
+    rest = mode_split.mode_split(v, u, k=5, rounds=30, initial=half.assignments, first_round=5)
+    assert rest.assignments.exceptAll(c.assignments).count() == 0
+    for log in (c.split_log, mode_split.mode_split(v, u, k=5, rounds=30, local_cells=700).split_log):
+        assert mode_split.assign_new(v, u, log, each=40).exceptAll(c.assignments).count() == 0
+
+
+def brute_split(vectors, k, rounds, p, seed):
+    """The prose of the method on dicts."""
+    units = lambda r, tag, c: float(randomness.units(np.array([c]), seed, [r], tag)[0, 0])
+    gamma = lambda r, tag, c: -np.log(units(r, tag + "1", c) * units(r, tag + "2", c))
+
+    def key(user, r):
+        best = None
+        for f, w in vectors[user].items():
+            c = randomness.code_of(f)
+            g, b = gamma(r, "g", c), units(r, "b", c)
+            score = np.log(gamma(r, "c", c)) - g * (np.floor(p * np.log(w) / g + b) + 1 - b)
+            best = min(best, (score, c)) if best else (score, c)
+        return best[1]
+
+    cohorts = [sorted(vectors)]
+    for r in range(1, rounds + 1):
+        after = []
+        for members in cohorts:
+            seen = {}
+            for u in members:
+                seen.setdefault(key(u, r), []).append(u)
+            modal = min(seen.values(), key=lambda x: (-len(x), key(x[0], r)))
+            rest = [u for u in members if u not in modal]
+            after += [modal, rest] if len(modal) >= k and len(rest) >= k else [members]
+        cohorts = after
+    return sorted(map(tuple, cohorts))
+
+
+def test_split_equals_brute_force(spark):
+    v = features.baskets(spark, SF).where("user_id < 70")
+    vectors = {}
+    for r in v.collect():
+        vectors.setdefault(r["user_id"], {})[r["feature"]] = r["weight"]
+    got = {}
+    for r in mode_split.mode_split(v, v.select("user_id").distinct(), k=4, rounds=6, p=1.1, seed=3).assignments.collect():
+        got.setdefault(r["cohort_id"], []).append(r["user_id"])
+    assert sorted(tuple(sorted(x)) for x in got.values()) == brute_split(vectors, 4, 6, 1.1, 3)
+
+
+def test_first_cohorts_of_few_users(spark):
+    v = vectors(spark, [(i, "a", 1.0) for i in range(3)] + [(i, "b", 1.0) for i in range(3, 20)])
+    u = users(spark, 20)
+    assert mode_split.initial_by_features(v, u, ["a"], 5).select("cohort_id").distinct().count() == 1
+    assert mode_split.initial_by_features(v, u, ["a"], 5, "suppress").count() == 17
+    with pytest.raises(ValueError):
+        mode_split.initial_by_features(v, u, ["a"], 5, "error")
+
+
+def test_draws_are_uniform_and_the_same_in_spark_and_numpy(spark):
+    codes = np.array([randomness.code_of(str(i)) for i in range(4000)])
+    x = randomness.units(codes, 7, list(range(1, 9)), "b")
+    assert abs(x.mean() - 0.5) < 0.01 and abs(np.corrcoef(x)[np.triu_indices(8, 1)]).max() < 0.07
+    assert abs(randomness.gamma2s(codes, 7, [1], "g").mean() - 2) < 0.1 and abs(randomness.gausses(codes, 7, [1]).std() - 1) < 0.05
+    got = [r[0] for r in spark.range(50).select(randomness.unit(7, 3, "b", randomness.code(F.col("id"))).alias("x"), "id").orderBy("id").collect()]
+    assert np.allclose(got, randomness.units(codes[:50], 7, [3], "b")[0], atol=0, rtol=0)
 
 
 def test_collision_follows_the_kernel(spark):
@@ -64,9 +150,7 @@ def test_collision_follows_the_kernel(spark):
     pair = spark.createDataFrame([(1, 2)], "a long, b long")
     assert abs(similarity.minmax_kernel(v, pair).collect()[0]["similarity"] - 1 / 6) < 1e-12
     m = 900
-    s = hashing.weighted_samples(v, list(range(m)), 1.0)
-    h = hashing.signature(s, F.concat_ws("|", "feature", "level"))
-    got = similarity.estimate(h, pair).collect()[0]["estimate"]
+    got = similarity.estimate(hashing.signatures(v, "weighted_pair", m, 1.0), pair).collect()[0]["estimate"]
     assert abs(got - 1 / 6) < 4 * (1 / 6 * 5 / 6 / m) ** 0.5
 
 
@@ -115,9 +199,56 @@ def test_short_bucket_queries_fall_back_to_all(spark):
 
 def test_experiments_have_all_rounds_and_lengths(spark, monkeypatch):
     seen = []
-    monkeypatch.setattr(catalog.workloads, "compare", lambda v, c, k, **o: seen.append((o["rounds"], o["lengths"])))
-    monkeypatch.setattr(catalog.workloads, "p_sweep", lambda v, u, c, grid, k, **o: seen.append((o["rounds"], grid)))
+    table = users(spark, 1).selectExpr("1.0 as micro_recall", "1.0 as macro_recall", "1.0 as precision")
+    monkeypatch.setattr(catalog.workloads, "compare", lambda v, c, k, rounds, lengths, p, seed: seen.append((rounds, lengths)) or table)
+    monkeypatch.setattr(catalog.workloads, "p_sweep", lambda v, u, c, grid, k, rounds, seed: seen.append((rounds, grid)) or table)
     monkeypatch.setattr(catalog.mode_split, "mode_split", lambda v, u, **o: seen.append(o["rounds"]) or mode_split.Cohorts(u, u, 0))
     for name in ("recall_table", "p_sweep", "full_split_baskets", "full_split_pair_key", "full_split_strict"):
         catalog.queries()[name](spark, SF)
     assert seen == [(1000, (50, 75, 100)), (1000, [x / 10 for x in range(5, 16)]), 1000, 1000, 1000]
+
+
+def test_signature_plan_has_one_exchange_and_no_join(spark):
+    v = spark.createDataFrame([(1, "a", 1.0)], "user_id long, feature string, weight double")
+    plan = hashing.signatures(v, "weighted", 32)._jdf.queryExecution().executedPlan().toString()
+    assert plan.count("Exchange hashpartitioning") == 1 and "Join" not in plan
+
+
+def test_kernel_matrix_is_positive_definite(spark):
+    v = features.split_signs(spark.read.parquet(f"{SF}/embeddings.parquet").where("vec_id < 60"), "vec_id", "embedding")
+    assert similarity.least_eigenvalue(similarity.kernel_matrix(v, 1.2)) > -1e-9
+
+
+def test_packing_power_and_floor_repair(spark):
+    v = features.baskets(spark, SF)
+    assert features.unpack(features.pack(v)).exceptAll(v).count() == 0
+    pair = spark.createDataFrame([(1, 2)], "a long, b long")
+    one, two = (similarity.minmax_kernel(x, pair, p).collect()[0]["similarity"] for x, p in ((v, 1.7), (features.power(v, 1.7), 1.0)))
+    assert abs(one - two) < 1e-12
+    a = spark.createDataFrame([(i, "x" if i < 7 else "y") for i in range(9)], "user_id long, cohort_id string")
+    assert blocks.enforce_floor(a, 5).count() == 7 and blocks.enforce_floor(a, 5, "merge").where("cohort_id = 'merged'").count() == 2
+
+
+def test_copies_are_one_entry_of_the_tables(spark):
+    rows = [(i, f"w{j}", 1.0) for i in range(30) for j in range(20)] + [(99, f"w{j}", 1.0) for j in range(19)]
+    v = vectors(spark, rows)
+    got = neighbours.similar_pairs(hashing.signatures(v, "minwise", 48), v, 0.8, 12, 4).collect()
+    assert [(r["a"], r["b"]) for r in got] == [(0, 99)]
+    assert neighbours.duplicates(v).where("head = 0").count() == 30
+
+
+def test_agglomerative_keeps_its_floor_and_kmeans_its_count(spark):
+    v = features.split_signs(spark.read.parquet(f"{SF}/embeddings.parquet").where("vec_id < 80"), "vec_id", "embedding")
+    sizes = [r["members"] for r in campaigns.sizes(blocks.agglomerative_cohorts(v, 8)).collect()]
+    assert min(sizes) >= 8 and sum(sizes) == 80
+    assert blocks.kmeans_cohorts(v, 5, dimensions=128).select("cohort_id").distinct().count() <= 5
+    with pytest.raises(ValueError):
+        blocks.agglomerative_cohorts(v, 8, max_users=10)
+
+
+def test_own_seeds_of_each_user_would_break_the_law(spark):
+    """Users with equal vectors share every key under shared draws; with draws of their own they would not."""
+    s = hashing.Sparse(np.tile(np.array([randomness.code_of(x) for x in "abcd"]), 2), np.ones(8), np.array([0, 4, 8]))
+    shared = hashing.keys_of(s, list(range(64)), p=1.0)
+    own = np.stack([hashing.keys_of(s.rows(np.array([i])), list(range(64)), p=1.0, scope=f":{i}")[0] for i in range(2)])
+    assert (shared[0] == shared[1]).all() and (own[0] == own[1]).mean() < 0.6
