@@ -106,7 +106,7 @@ def lean(f: Callable) -> Callable:
     return run
 
 
-_KINDS = {"long": pa.int64(), "int": pa.int32(), "binary": pa.binary(), "array<int>": pa.list_(pa.int32())}
+_KINDS = {"long": pa.int64(), "int": pa.int32(), "double": pa.float64(), "boolean": pa.bool_(), "string": pa.string(), "binary": pa.binary(), "array<int>": pa.list_(pa.int32())}
 
 
 def over_texts(docs: DataFrame, run: Callable[[Iterator[pd.DataFrame]], Iterator[pd.DataFrame]], schema: str, rows: int = 1000) -> DataFrame:
@@ -116,7 +116,7 @@ def over_texts(docs: DataFrame, run: Callable[[Iterator[pd.DataFrame]], Iterator
     def slices(batches: Iterator[pa.RecordBatch]) -> Iterator[pd.DataFrame]:
         for b in batches:
             for a in range(0, b.num_rows, rows):
-                yield b.slice(a, rows).to_pandas()
+                yield b.slice(a, rows).to_pandas(integer_object_nulls=True)
             give_back()
 
     def go(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

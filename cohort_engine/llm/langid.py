@@ -26,7 +26,7 @@ import regex
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import hex_order, join_small
+from .common import hex_order, join_small, over_texts
 
 NOT_LETTERS = regex.compile(r"[^\p{L}\p{M}]+")
 LETTER = regex.compile(r"\p{L}")
@@ -131,7 +131,7 @@ def identify(docs: DataFrame, model: BitSlicedFilter) -> DataFrame:
             yield pd.DataFrame({"doc_id": b["doc_id"], "held_out": b["held_out"], "lang_pred": [g[0] for g in got], "score": [g[1] for g in got]})
 
     rows = docs.select(F.col("doc_id").cast("long"), held_out().alias("held_out"), "text")
-    return rows.mapInPandas(run, "doc_id long, held_out boolean, lang_pred string, score double")
+    return over_texts(rows, run, "doc_id long, held_out boolean, lang_pred string, score double")
 
 
 def learn_and_identify(docs: DataFrame, **options) -> DataFrame:

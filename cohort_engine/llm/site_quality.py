@@ -23,7 +23,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import hex_order, join_small, materialise
+from .common import hex_order, join_small, materialise, over_texts
 from .quality_rules import count_texts
 
 _FOLD = bytes(c + 32 if 65 <= c <= 90 else c if c >= 128 or 48 <= c <= 57 or 97 <= c <= 122 else 32 for c in range(256))
@@ -106,7 +106,7 @@ def fit(docs: DataFrame, flags: DataFrame, max_train: int = 6000, max_words: int
 
     p1, p0 = (F.col("n1") + 0.5) / (n1 + 1), (F.col("n0") + 0.5) / (n0 + 1)
     z = (p1 - p0) / F.sqrt(p1 * (1 - p1) / n1 + p0 * (1 - p0) / n0)
-    df = sample.mapInPandas(seen, "w string, n0 long, n1 long").groupBy("w").agg(F.sum("n0").alias("n0"), F.sum("n1").alias("n1"))
+    df = over_texts(sample.select("text", "bad"), seen, "w string, n0 long, n1 long", 500).groupBy("w").agg(F.sum("n0").alias("n0"), F.sum("n1").alias("n1"))
     words = [r["w"] for r in df.where(F.col("n0") + F.col("n1") >= min_docs).orderBy(F.abs(z).desc(), "w").limit(max_words).collect()]
     model = DocumentModel(words, np.zeros(len(words) + len(RATIOS)), 0.0, n1 / (n1 + n0))
 
@@ -115,7 +115,7 @@ def fit(docs: DataFrame, flags: DataFrame, max_train: int = 6000, max_words: int
             x = model.features(list(b["text"]))
             yield pd.DataFrame({"bad": b["bad"], "x": [r.tobytes() for r in x]})
 
-    rows = sample.mapInPandas(features, "bad int, x binary").toPandas()
+    rows = over_texts(sample.select("text", "bad"), features, "bad int, x binary", 500).toPandas()
     x = np.stack([np.frombuffer(r, dtype=np.float32) for r in rows["x"]])
     order = np.lexsort((*x.T[:3], rows["bad"].to_numpy()))
     model.weights, model.bias = _logistic(x[order], rows["bad"].to_numpy(float)[order])
@@ -131,7 +131,7 @@ def score(docs: DataFrame, model: DocumentModel) -> DataFrame:
         for b in batches:
             yield pd.DataFrame({"doc_id": b["doc_id"], "host": b["host"], "path": b["path"], "evidence": shared.value.evidence(list(b["text"]))})
 
-    return docs.select(F.col("doc_id").cast("long"), "host", "path", "text").mapInPandas(run, "doc_id long, host string, path string, evidence double")
+    return over_texts(docs.select(F.col("doc_id").cast("long"), "host", "path", "text"), run, "doc_id long, host string, path string, evidence double", 500)
 
 
 def _strength(groups: DataFrame, rate, least: float = 1.0, most: float = 10_000.0):
