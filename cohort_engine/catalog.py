@@ -76,6 +76,31 @@ def vectors_clicks(spark, sf):
     return e.groupBy("user_id", "feature").agg(F.sum("x").cast("double").alias("weight")).where("weight > 0")
 
 
+_PART_SQL = "select o_custkey as user_id, l_partkey::varchar as feature, sum(l_quantity)::double as weight from lineitem join orders on l_orderkey = o_orderkey group by 1, 2"
+_WIDE_SQL = "select o_custkey as user_id, 'b:' || p_brand || '/' || p_type as feature, sum(l_quantity)::double as weight from lineitem join orders on l_orderkey = o_orderkey join part on l_partkey = p_partkey group by 1, 2"
+
+
+@query(_PART_SQL)
+def vectors_parts(spark, sf):
+    return features.baskets_part(spark, sf)
+
+
+@query(_WIDE_SQL)
+def vectors_wide(spark, sf):
+    return features.baskets(spark, sf, wide=True)
+
+
+@query(f"with v as ({_WIDE_SQL}), u as (select distinct user_id from v) select user_id, feature, round(sum(weight), 6) as weight from (select u.user_id, feature, weight from u join v on v.user_id = u.user_id % 25 union all select user_id, feature, 0.2 * weight from v) group by 1, 2")
+def vectors_planted(spark, sf):
+    return features.planted(features.baskets(spark, sf, wide=True), 25).withColumn("weight", F.round("weight", 6))
+
+
+@query("select doc_id as user_id, w[i] || ' ' || w[i + 1] || ' ' || w[i + 2] as feature, count(*)::double as weight from (select doc_id, w, unnest(range(1, len(w) - 1)) as i from (select doc_id, list_filter(regexp_split_to_array(lower(text), '[^\\p{L}\\p{N}]+'), lambda x: x <> '') as w from documents) where len(w) > 2) group by 1, 2")
+def vectors_shingles(spark, sf):
+    """Three-word shingles of the documents."""
+    return features.shingles(read_table(spark, sf, "documents"), "doc_id", "text", 3)
+
+
 def _embed(spark, sf):
     return features.split_signs(read_table(spark, sf, "embeddings"), "vec_id", "embedding")
 

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 
@@ -14,6 +14,22 @@ def clean(v: DataFrame) -> DataFrame:
     return v.groupBy("user_id", "feature").agg(F.sum("weight").alias("weight"))
 
 
+def sparse_vectors(rows: DataFrame, user: str, feature, weight, how: str = "sum") -> DataFrame:
+    """Vectors from fact rows: ``weight`` (a column or number) by user and feature, 'sum', 'max' or 'count'; then cleaned."""
+    f = feature if isinstance(feature, Column) else F.col(feature)
+    w = (weight if isinstance(weight, Column) else F.col(weight) if isinstance(weight, str) else F.lit(weight)).cast("double")
+    out = {"sum": F.sum("w"), "max": F.max("w"), "count": F.count("w").cast("double")}[how].alias("weight")
+    d = rows.select(F.col(user).alias("user_id"), f.cast("string").alias("feature"), w.alias("w")).where("w is not null and feature is not null")
+    return clean(d.groupBy("user_id", "feature").agg(out))
+
+
+def planted(v: DataFrame, groups: int, own: float = 0.2) -> DataFrame:
+    """Vectors with similar users by construction: user u gets the vector of user u mod ``groups``, plus ``own`` times its own."""
+    users = v.select("user_id").distinct()
+    base = users.join(v.withColumnRenamed("user_id", "from"), F.col("from") == F.col("user_id") % groups).select("user_id", "feature", "weight")
+    return base.unionByName(v.withColumn("weight", F.col("weight") * own)).groupBy("user_id", "feature").agg(F.sum("weight").alias("weight"))
+
+
 def pack(v: DataFrame) -> DataFrame:
     """user_id, vec: array of (feature, weight) in feature order."""
     return v.groupBy("user_id").agg(F.sort_array(F.collect_list(F.struct("feature", "weight"))).alias("vec"))
@@ -70,7 +86,9 @@ def feature_ids(v: DataFrame) -> DataFrame:
 
 def shingles(df: DataFrame, key: str, text: str, n: int) -> DataFrame:
     """Term frequencies of n-word shingles in lower case."""
-    words = df.select(F.col(key).alias("user_id"), F.filter(F.split(F.lower(text), r"[^\p{L}\p{N}]+"), lambda w: w != "").alias("w")).where(F.size("w") >= n)
+    from .storage import spread
+
+    words = spread(df.select(key, text)).select(F.col(key).alias("user_id"), F.filter(F.split(F.lower(text), r"[^\p{L}\p{N}]+"), lambda w: w != "").alias("w")).where(F.size("w") >= n)
     parts = F.transform(F.sequence(F.lit(1), F.size("w") - (n - 1)), lambda i: F.array_join(F.slice("w", i, n), " "))
     return words.select("user_id", F.explode(parts).alias("feature")).groupBy("user_id", "feature").agg(F.count("*").cast("double").alias("weight"))
 
@@ -97,6 +115,15 @@ def baskets(spark, sf_dir: str, wide: bool = False) -> DataFrame:
     return bought.unionByName(nation).unionByName(segment)
 
 
+def baskets_part(spark, sf_dir: str) -> DataFrame:
+    """Customers by quantity per part: sparse, little overlap."""
+    from ..sources.tables import read_table as t
+
+    lines = t(spark, sf_dir, "lineitem").select("l_orderkey", "l_partkey", "l_quantity")
+    orders = t(spark, sf_dir, "orders").select(F.col("o_orderkey").alias("l_orderkey"), F.col("o_custkey").alias("user_id"))
+    return sparse_vectors(lines.join(orders, "l_orderkey"), "user_id", "l_partkey", "l_quantity")
+
+
 BASKETS_SQL = """
     select o_custkey as user_id, 'b:' || p_brand as feature, sum(l_quantity) as weight
     from lineitem join orders on l_orderkey = o_orderkey join part on l_partkey = p_partkey group by 1, 2

@@ -41,3 +41,9 @@ def discard(df: DataFrame) -> None:
 def fits(df: DataFrame, most: int) -> bool:
     """Whether ``df`` has at most ``most`` rows; reads no more than that."""
     return df.limit(most + 1).count() <= most
+
+
+def spread(df: DataFrame) -> DataFrame:
+    """``df`` dealt over the cores if it has fewer partitions than they are (one small file is one task); a large input stays as it is."""
+    cores = df.sparkSession.sparkContext.defaultParallelism
+    return df.repartition(cores) if df.rdd.getNumPartitions() < cores else df
