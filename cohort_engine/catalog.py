@@ -806,22 +806,26 @@ _SETS = f"with v as (select user_id, feature from ({DOCS_SQL})), t as (select us
 _JACCARD = "select a, b, m / (x.t + y.t - m)::double as similarity from (select a, b, count(*) as m from c join v x on x.user_id = a join v y on y.user_id = b and y.feature = x.feature group by 1, 2) join t x on x.user_id = a join t y on y.user_id = b"
 
 
-@query(f"""{_SETS}, s as ({hashing.minwise_sql('v', list(range(1, 51)), SEED)}),
+_NEAREST = f"""{_SETS}, s as ({hashing.minwise_sql('v', list(range(1, 51)), SEED)}),
     c as (select distinct x.user_id as a, y.user_id as b from s x join s y on x.round = y.round and x.h = y.h and x.user_id <> y.user_id where x.user_id % 20 = 0),
     n as (select *, row_number() over (partition by a order by similarity desc, b) as place from ({_JACCARD})),
     short as (select user_id from t where user_id % 20 = 0 and user_id not in (select a from n where place = 10)),
     e as (select x.user_id as a, y.user_id as b, count(*) as m from v x join v y on y.feature = x.feature and y.user_id <> x.user_id where x.user_id in (select user_id from short) group by 1, 2),
     o as (select *, row_number() over (partition by a order by similarity desc, b) as place from (select a, b, m / (x.t + y.t - m)::double as similarity from e join t x on x.user_id = a join t y on y.user_id = b))
-    select a, b, round(similarity, 6) as similarity, place::int as place from n where place <= 10 and a not in (select user_id from short) union all select a, b, round(similarity, 6), place::int from o where place <= 10""")
+    select a, b, round(similarity, 6) as similarity, place::int as place from n where place <= 10 and a not in (select user_id from short) union all select a, b, round(similarity, 6), place::int from o where place <= 10"""
+_EXACT = f"select a, b from (select *, row_number() over (partition by a order by similarity desc, b) as place from (select a, b, m / (x.t + y.t - m)::double as similarity from (select x.user_id as a, y.user_id as b, count(*) as m from v x join v y on y.feature = x.feature and y.user_id <> x.user_id where x.user_id % 20 = 0 group by 1, 2) join t x on x.user_id = a join t y on y.user_id = b)) where place <= 10"
+
+
+@query(_NEAREST)
 def bucket_query(spark, sf):
     """Ten nearest of every twentieth document from 50 bands of one min-wise slot (a pair at 0.1 is missed once in 194)."""
     return _rounded(_nearest(spark, sf)[0])
 
 
-@query()
+@query(f"{_SETS}, exact as ({_EXACT}), near as ({_NEAREST}) select round(avg(case when near.a is null then 0.0 else 1.0 end), 9) as recall, count(*) as wanted from exact left join near using (a, b)")
 def neighbour_recall(spark, sf):
     """Recall of ``bucket_query`` against brute force."""
-    return neighbours.neighbour_recall(*_nearest(spark, sf))
+    return neighbours.neighbour_recall(*_nearest(spark, sf)).withColumn("recall", F.round("recall", 9))
 
 
 @query(f"""{_SETS}, s as ({hashing.minwise_sql('v', list(range(1, 49)), SEED)}), g as (select user_id, md5(string_agg(feature, ' ' order by feature)) as fp from v group by 1), head as (select min(user_id) as user_id from g group by fp),
@@ -922,7 +926,14 @@ def kmeans_cohorts(spark, sf):
     return blocks.kmeans_cohorts(v, 20, dimensions=128)
 
 
-@query()
+@query(f"""{_EV.replace("with v", "with recursive v", 1)}, t as (select user_id, sum(weight) as t from v group by 1),
+    m as (select x.user_id as a, y.user_id as b, sum(least(x.weight, y.weight)) as m from v x join v y on x.feature = y.feature and x.user_id <> y.user_id group by 1, 2),
+    near as materialized (select a, b from m join t x on x.user_id = a join t y on y.user_id = b where m / (x.t + y.t - m) >= 0.2),
+    core as (select a from near group by 1 having count(*) >= 1), inside as (select near.a, near.b from near semi join core using (a) semi join (select a as b from core) c using (b)),
+    r as (select a, a as c from core union select r.a, inside.b from r join inside on inside.a = r.c), lab as (select a, min(c) as c from r group by 1),
+    border as (select near.a, min(lab.c) as c from near join lab on lab.a = near.b group by 1)
+    select user_id, coalesce(lab.c, border.c)::varchar as cohort_id from t left join lab on lab.a = user_id left join border on border.a = user_id where lab.c is not null or border.c is not null
+    union all select user_id, 'noise' from t where user_id not in (select a from lab) and user_id not in (select a from border)""")
 def density_cohorts(spark, sf):
     v = _embed(spark, sf)
     return blocks.density_cohorts(similarity.similarity_join(v, 0.2), v.select("user_id").distinct(), 0.2, 2)
