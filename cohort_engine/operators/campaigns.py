@@ -80,7 +80,7 @@ def recalls(counts: DataFrame) -> DataFrame:
 
 
 def recall_by_audience(counts: DataFrame, bands: int = 4) -> DataFrame:
-    """Pooled and mean recall by band of the audience that a campaign asks for (tp + fn)."""
+    """Pooled and mean recall by band of the audience that a campaign asks for (tp + fn). The window holds one row a campaign."""
     banded = counts.withColumn("band", F.ntile(bands).over(Window.orderBy(F.col("tp") + F.col("fn"), "campaign_id")))
     return banded.groupBy("band").agg(F.avg("recall").alias("micro_recall"), (F.sum("tp") / F.sum(F.col("tp") + F.col("fn"))).alias("macro_recall"), F.count("*").alias("campaigns"))
 

@@ -242,6 +242,7 @@ def mode_split(v: DataFrame, users: DataFrame, k: int = 20, rounds: int = 1000,
     ``key``, ``hash_family`` and ``seed_scope``: see ``Keys``. ``initial`` (user_id, cohort_id): first
     cohorts; one below ``k`` is an error. ``first_round`` with ``initial`` goes on from earlier cohorts.
     ``fanout``: see ``decisions``. ``patience``: a cohort freezes after so many rounds without a split.
+    With ``seed_scope`` 'cohort' the cluster's rounds move vectors, as draws follow the cohort.
     Users without features share the null key. Fewer than ``k`` users are an error.
     """
     spark = users.sparkSession
