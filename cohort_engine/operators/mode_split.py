@@ -249,9 +249,18 @@ def mode_split(v: DataFrame, users: DataFrame, k: int = 20, rounds: int = 1000,
     how, least = Keys(hash_family, key, p, seed, seed_scope), k + 1 if strict else k
     vectors = shared_write(packed(v, users).select("user_id", "code", "weight"), "vectors")
     whole = initial is None
-    start = users.select("user_id", F.lit(ROOT).cast("long").alias("cohort_id")) if whole else first_cohorts(initial)
+    schema = "user_id long, cohort_id long, " + LOG
+    if whole:
+        size = vectors.agg(F.count("*").alias("n"), F.coalesce(F.sum(F.size("code") + 1), F.lit(0)).alias("cells")).collect()[0]
+        if size["n"] < k:
+            raise ValueError(f"a cohort of {size['n']} users cannot be {k}-anonymous")
+        if size["cells"] <= local_cells:  # one task runs it all
+            rows = vectors.withColumns({"cohort_id": F.lit(ROOT).cast("long"), "born": F.lit(first_round - 1), "done": F.lit(first_round - 1)})
+            out = shared_write(rows.groupBy("cohort_id").applyInArrow(_finisher(rounds, least, how, fanout, patience), schema), "finished")
+            discard(vectors)
+            return Cohorts(out.where("user_id is not null").select("user_id", "cohort_id"), out.where("user_id is null").drop("user_id", "cohort_id"), rounds)
     cells = vectors.select("user_id", (F.size("code") + 1).cast("long").alias("cells"))
-    labels = cells.withColumn("cohort_id", F.lit(ROOT).cast("long")) if whole else start.join(cells, "user_id")
+    labels = cells.withColumn("cohort_id", F.lit(ROOT).cast("long")) if whole else first_cohorts(initial).join(cells, "user_id")
     labels = shared_write(labels.select("user_id", "cohort_id", "cells", F.lit(first_round - 1).alias("born"), F.lit(first_round - 1).alias("done")), "labels")
     log, at = spark.createDataFrame([], LOG), first_round
     low = labels.groupBy("cohort_id").count().agg(F.min("count")).collect()[0][0] or 0
@@ -300,12 +309,11 @@ def mode_split(v: DataFrame, users: DataFrame, k: int = 20, rounds: int = 1000,
         at = done + 1
     if labels.where(F.col("done") < rounds).limit(1).count():
         open_ = labels.groupBy("cohort_id").agg(F.count("*").alias("n")).where(F.col("n") >= 2 * least).select("cohort_id")  # a cohort goes on where the cluster left it
-        one = whole and at == first_round
-        rows = vectors.withColumns({"cohort_id": F.lit(ROOT).cast("long"), "born": F.lit(first_round - 1), "done": F.lit(first_round - 1)}) if one else labels.join(open_, "cohort_id", "left_semi").drop("cells").join(vectors, "user_id")
-        out = shared_write(rows.groupBy("cohort_id").applyInArrow(_finisher(rounds, least, how, fanout, patience), "user_id long, cohort_id long, " + LOG), "finished")
+        rows = labels.join(open_, "cohort_id", "left_semi").drop("cells").join(vectors, "user_id")
+        out = shared_write(rows.groupBy("cohort_id").applyInArrow(_finisher(rounds, least, how, fanout, patience), schema), "finished")
         moved = out.where("user_id is not null").select("user_id", "cohort_id")
         log = log.unionByName(out.where("user_id is null").drop("user_id", "cohort_id"))
-        still = labels.limit(0) if one else labels.join(open_, "cohort_id", "left_anti")
+        still = labels.join(open_, "cohort_id", "left_anti")
         before, labels = labels, shared_write(still.select("user_id", "cohort_id").unionByName(moved), "labels")
         discard(before)
     discard(vectors)
