@@ -197,6 +197,20 @@ def test_short_bucket_queries_fall_back_to_all(spark):
     assert neighbours.nearest(none, q, v, 5).exceptAll(neighbours.exact_neighbours(v, q, 5)).count() == 0 and neighbours.nearest(none, q, v, 5).count() == 5
 
 
+def test_set_search_is_the_search_by_pairs_without_a_row_a_pair(spark, monkeypatch):
+    """Several groups, common and rare features, copies that tie and a query without enough equal slots."""
+    rows = [(i, x, 1.0) for i in range(80) for x in {"all", f"c{i % 3}", f"r{i % 11}", *(f"{i // 2}.{j}" for j in range(i % 7))}] + [(100, "lone", 1.0)]
+    v = vectors(spark, rows)
+    sets = hashing.signed_sets(v.groupBy("user_id").agg(F.array_sort(F.collect_list(randomness.code(F.col("feature")))).alias("code")), 4)
+    q = v.where("user_id % 20 = 0").select("user_id").distinct()
+    index = neighbours.bucket_index(hashing.signatures(v, "minwise", 4), 4, 1)
+    near, exact = neighbours.nearest_sets(neighbours.set_search(sets, 81, 5, parts=3).localCheckpoint(), 5)
+    for got, want in ((near, neighbours.nearest(index, q, v, 5)), (exact, neighbours.exact_neighbours(v, q, 5))):
+        assert got.count() == want.count() > 0 and got.exceptAll(want).count() == 0
+    monkeypatch.setattr(neighbours, "minmax_kernel", lambda *a: pytest.fail("pairs as rows"))
+    assert catalog.queries()["bucket_query"](spark, SF).count() == 100
+
+
 def test_experiments_have_all_rounds_and_lengths(spark, monkeypatch):
     seen = []
     table = users(spark, 1).selectExpr("1.0 as micro_recall", "1.0 as macro_recall", "1.0 as precision")
