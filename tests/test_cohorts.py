@@ -211,6 +211,26 @@ def test_set_search_is_the_search_by_pairs_without_a_row_a_pair(spark, monkeypat
     assert catalog.queries()["bucket_query"](spark, SF).count() == 100
 
 
+def test_agglomeration_in_batches_is_that_by_single_merges():
+    m = np.abs(np.random.default_rng(1).normal(size=(300, 16)))
+    m /= np.linalg.norm(m, axis=1, keepdims=True)
+    sums, members, live = m.copy(), [[i] for i in range(300)], list(range(300))
+    while len(live) > 1 and len(members[small := min(live, key=lambda c: (len(members[c]), c))]) < 8:
+        live.remove(small)
+        to = live[int(((sums[live] @ sums[small]) / [len(members[c]) for c in live]).argmax())]
+        sums[to] += sums[small]
+        members[to] += members[small]
+    head = {i: min(members[c]) for c in live for i in members[c]}
+    for cells in (300 * 16, 8_000_000):
+        assert blocks.merged(m.copy(), 8, cells).tolist() == [head[i] for i in range(300)]
+
+
+def test_agglomerative_takes_more_than_2000_users(spark):
+    v = spark.range(2_400).selectExpr("id as user_id", "cast(id % 40 as string) as feature", "1.0 as weight")
+    sizes = [r["members"] for r in campaigns.sizes(blocks.agglomerative_cohorts(v, 20)).collect()]
+    assert min(sizes) >= 20 and sum(sizes) == 2_400
+
+
 def test_experiments_have_all_rounds_and_lengths(spark, monkeypatch):
     seen = []
     table = users(spark, 1).selectExpr("1.0 as micro_recall", "1.0 as macro_recall", "1.0 as precision")
