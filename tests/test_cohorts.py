@@ -211,6 +211,18 @@ def test_set_search_is_the_search_by_pairs_without_a_row_a_pair(spark, monkeypat
     assert catalog.queries()["bucket_query"](spark, SF).count() == 100
 
 
+def test_forest_joins_what_all_links_join(spark):
+    """Over several shards, at thresholds with one, several and no clusters; more users than the join of pairs takes."""
+    v = features.split_signs(spark.read.parquet(f"{SF}/embeddings.parquet").where("vec_id < 90"), "vec_id", "embedding")
+    u = v.select("user_id").distinct()
+    for threshold in (0.2, 0.24, 0.9):
+        want = blocks.density_cohorts(similarity.similarity_join(v, threshold), u, threshold, 2)
+        forest = similarity.near_forest(hashing.packed(v), 90, threshold, each=30)
+        assert blocks.density_cohorts(forest, u, threshold, 2).exceptAll(want).count() == 0
+    many = spark.range(20_001).select(F.col("id").alias("user_id"), F.array(F.col("id") % 7).alias("code"), F.array(F.lit(1.0)).alias("weight"))
+    assert similarity.near_forest(many, 20_001, 0.5).select("b").distinct().count() >= 20_001 - 7 * 2
+
+
 def test_agglomeration_in_batches_is_that_by_single_merges():
     m = np.abs(np.random.default_rng(1).normal(size=(300, 16)))
     m /= np.linalg.norm(m, axis=1, keepdims=True)
