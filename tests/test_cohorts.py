@@ -211,6 +211,18 @@ def test_set_search_is_the_search_by_pairs_without_a_row_a_pair(spark, monkeypat
     assert catalog.queries()["bucket_query"](spark, SF).count() == 100
 
 
+def test_similar_sets_are_the_similar_pairs_without_rows_of_features(spark, monkeypatch):
+    """Copies, pairs on and beside the threshold, and the documents."""
+    rows = [(i, f"w{j}", 1.0) for i, most in enumerate((20, 20, 16, 15, 18, 90, 72, 71)) for j in range(most)]
+    sets = lambda v: hashing.signed_sets(v.groupBy("user_id").agg(F.array_sort(F.collect_list(randomness.code(F.col("feature")))).alias("code")), 48)
+    for v in (vectors(spark, rows), features.binarise(features.doc_terms(spark, SF))):
+        want = neighbours.similar_pairs(hashing.signatures(v, "minwise", 48), v, 0.8, 12, 4)
+        got = neighbours.similar_sets(sets(v), 0.8, 12, 4)
+        assert got.count() == want.count() > 0 and got.exceptAll(want).count() == 0
+    monkeypatch.setattr(neighbours, "minmax_kernel", lambda *a: pytest.fail("pairs by features"))
+    catalog.queries()["similar_pairs"](spark, SF)
+
+
 def test_forest_joins_what_all_links_join(spark):
     """Over several shards, at thresholds with one, several and no clusters; more users than the join of pairs takes."""
     v = features.split_signs(spark.read.parquet(f"{SF}/embeddings.parquet").where("vec_id < 90"), "vec_id", "embedding")
