@@ -211,6 +211,13 @@ def test_set_search_is_the_search_by_pairs_without_a_row_a_pair(spark, monkeypat
     assert catalog.queries()["bucket_query"](spark, SF).count() == 100
 
 
+def test_set_search_makes_sets_once(spark):
+    """Documents and queries leave one narrow pass: sets were split, hashed and signed once for each."""
+    sets = hashing.signed_sets(features.term_sets(spark.read.parquet(f"{SF}/documents.parquet"), "doc_id", "text"), 4)
+    plan = neighbours.set_search(sets, 200, 5)._jdf.queryExecution().executedPlan().toString()
+    assert plan.count("MapInArrow") == 1 and plan.count("Exchange hashpartitioning") == 1
+
+
 def test_similar_sets_are_the_similar_pairs_without_rows_of_features(spark, monkeypatch):
     """Copies, pairs on and beside the threshold, and the documents."""
     rows = [(i, f"w{j}", 1.0) for i, most in enumerate((20, 20, 16, 15, 18, 90, 72, 71)) for j in range(most)]
