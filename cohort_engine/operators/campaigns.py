@@ -2,9 +2,14 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..functions.randomness import code
+from .hashing import Sparse, _slices
+
 
 def content_ids(assign: DataFrame) -> DataFrame:
     """cohort_id, content_id: SHA-256 of the members in numeric order."""
@@ -52,6 +57,62 @@ def match_users(campaigns: DataFrame, v: DataFrame, max_broadcast: int = 1_000_0
     return hits.where("hits = need").select("campaign_id", "user_id")
 
 
+def match_bits(campaigns: DataFrame, vectors: DataFrame) -> tuple[DataFrame, int]:
+    """user_id, bits: ``match_users`` of packed ``vectors`` as a bit for each campaign (the driver holds the campaigns), and the number of campaigns."""
+    c = campaigns.select("campaign_id", code(F.col("feature")).alias("code"), "min_weight").toPandas().sort_values(["code", "campaign_id"])
+    names, which = np.unique(c["campaign_id"].astype(str).to_numpy(), return_inverse=True)
+    need = np.bincount(which, minlength=len(names))
+    feature, least, n = c["code"].to_numpy(np.int64), c["min_weight"].to_numpy(np.float64), max(len(names), 1)
+
+    def run(batches):
+        for whole in batches:
+            for b in _slices(whole, 200_000):
+                s = Sparse.of(b.column("code"), b.column("weight"))
+                low = np.searchsorted(feature, s.code)
+                count = np.searchsorted(feature, s.code, side="right") - low
+                entry = np.repeat(np.arange(len(s.code)), count)
+                asked = np.arange(len(entry)) - np.repeat(np.cumsum(count) - count, count) + np.repeat(low, count)
+                enough = s.weight[entry] >= least[asked]
+                row = np.repeat(np.arange(b.num_rows), np.diff(s.ptr))[entry[enough]]
+                out = []
+                for a in range(0, b.num_rows, step := max(1, 4_000_000 // n)):
+                    here = (row >= a) & (row < a + step)
+                    size = min(step, b.num_rows - a)
+                    hits = np.bincount((row[here] - a) * n + which[asked[enough][here]], minlength=size * n).reshape(size, n)
+                    out += [x.tobytes() for x in np.packbits((hits[:, : len(need)] == need) & (hits[:, : len(need)] > 0), axis=1)]
+                yield pa.RecordBatch.from_pydict({"user_id": b.column("user_id"), "bits": pa.array(out, pa.binary())})
+
+    return vectors.select("user_id", "code", "weight").mapInArrow(run, "user_id long, bits binary"), len(names)
+
+
+def counts_by_bits(assign: DataFrame, bits: DataFrame, campaigns: int, theta: float = 0.5, buckets: int = 1) -> DataFrame:
+    """run, campaign, tp, audience, wanted of many assignments (run, user_id, cohort_id) by the 'share' rule; ``bits``: see ``match_bits``.
+
+    Cohorts are dealt to ``buckets`` of a run, whose members' bits are summed in a task, so no pair of user and campaign is a row.
+    """
+    def run(t: pa.Table) -> pa.Table:
+        cohort = t.column("cohort_id").combine_chunks().dictionary_encode().indices.to_numpy()
+        by = np.argsort(cohort, kind="stable")
+        size, members = np.bincount(cohort), t.column("bits").combine_chunks()
+        ends, total = np.cumsum(size), np.zeros((3, campaigns), np.int64)
+        at = 0
+        while at < len(size):  # some cohorts at a time
+            to = max(at + 1, int(np.searchsorted(ends, ends[at] - size[at] + 20_000, side="right")))
+            start = ends[at] - size[at]
+            have = members.take(pa.array(by[start : ends[to - 1]])).to_pylist()
+            have = np.frombuffer(b"".join(x or bytes(-(-campaigns // 8)) for x in have), np.uint8).reshape(len(have), -1)
+            n = np.add.reduceat(np.unpackbits(have, axis=1, count=campaigns), ends[at:to] - size[at:to] - start, axis=0, dtype=np.int64)
+            hit = (n > 0) & (n >= theta * size[at:to, None])
+            total += np.stack([np.where(hit, n, 0).sum(0), (hit * size[at:to, None]).sum(0), n.sum(0)])
+            at = to
+        some = np.flatnonzero(total[2])
+        return pa.table({"run": pa.array(np.full(len(some), t.column("run")[0].as_py(), np.int32)), "campaign": pa.array(some.astype(np.int32)), **dict(zip(("tp", "audience", "wanted"), map(pa.array, total[:, some])))})
+
+    x = assign.join(bits, "user_id", "left").withColumn("bucket", F.pmod(F.xxhash64("cohort_id"), F.lit(buckets)).cast("int"))
+    part = x.groupBy("run", "bucket").applyInArrow(run, "run int, campaign int, tp long, audience long, wanted long")
+    return part.groupBy("run", "campaign").agg(*[F.sum(c).alias(c) for c in ("tp", "audience", "wanted")])
+
+
 def match_cohorts(matches: DataFrame, assign: DataFrame, rule: str = "share", theta: float = 0.5) -> DataFrame:
     """campaign_id, cohort_id, matched, members, hit: by 'share' of matched members, 'any' or 'all'."""
     j = matches.join(assign, "user_id").groupBy("campaign_id", "cohort_id").agg(F.count("*").alias("matched")).join(sizes(assign), "cohort_id")

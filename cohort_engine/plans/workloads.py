@@ -7,6 +7,7 @@ import time
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..functions.randomness import code
 from ..operators import blocks, campaigns, hashing, mode_split
 from ..operators.storage import shared_write
 
@@ -21,6 +22,22 @@ def word_campaigns(v: DataFrame, k: int, top: int = CAMPAIGNS) -> DataFrame:
     return d.select(F.col("feature").alias("campaign_id"), "feature", "min_weight")
 
 
+def packed_campaigns(docs: DataFrame, vectors: DataFrame, key: str, text: str, k: int, top: int = CAMPAIGNS) -> DataFrame:
+    """``word_campaigns`` of documents ``docs`` with packed ``vectors``: weights are counted for the words that are chosen, not for all."""
+    n = vectors.count()
+    d = vectors.select(F.explode("code").alias("code")).groupBy("code").agg(F.count("*").alias("df"))
+    d = shared_write(d.where((F.col("df") >= k) & (F.col("df") <= 0.6 * n)), "frequencies")
+    least = d.orderBy(F.desc("df")).limit(top).agg(F.min("df")).collect()[0][0] or 0  # ties of the last one are named too
+    some = shared_write(d.where(F.col("df") >= least), "frequent")
+    w = F.explode(F.array_distinct(F.filter(F.split(F.lower(text), r"[^\p{L}\p{N}]+"), lambda x: x != "")))
+    names = docs.select(w.alias("feature")).groupBy("feature").agg(F.lit(1)).select("feature", code(F.col("feature")).alias("code"))
+    chosen = shared_write(names.join(some, "code").orderBy(F.desc("df"), "feature").limit(top), "campaigns")
+    x = vectors.select(F.explode(F.arrays_zip("code", "weight")).alias("e")).select("e.code", "e.weight").join(F.broadcast(chosen), "code")
+    x = x.groupBy("feature", "weight").agg(F.count("*").alias("n"))
+    d = x.groupBy("feature").agg(F.percentile("weight", F.lit(0.5), F.col("n")).alias("min_weight"))
+    return d.select(F.col("feature").alias("campaign_id"), "feature", "min_weight")
+
+
 def basket_campaigns(spark: SparkSession) -> DataFrame:
     """Nations, segments, brands (at 100) and their crosses with segments."""
     nations, segments = [f"n:{i}" for i in range(25)], ["s:" + s for s in ("AUTOMOBILE", "BUILDING", "FURNITURE", "MACHINERY", "HOUSEHOLD")]
@@ -37,17 +54,31 @@ def evaluate(assign: DataFrame, matches: DataFrame, theta: float = 0.5) -> DataF
 def compare(v: DataFrame, camps: DataFrame, k: int = 20, rounds: int = 1000, lengths=(50, 75, 100), p: float = 1.2, seed: int = 7) -> DataFrame:
     """method, length, micro_recall, macro_recall, ...: the table of all five methods; every length is a row (``blocks.best_length`` keeps the best).
 
-    A family's signature is made once, at the longest length; shorter ones are its prefixes.
+    Vectors are packed once (``v`` may be packed). A family's signature is made once, at the longest length and only
+    for users whose first slots do not tell their place; shorter ones are its prefixes.
     """
-    v = shared_write(v, "vectors")
-    users = v.select("user_id").distinct()
-    matches = shared_write(campaigns.match_users(camps, v), "matches")
+    vectors = shared_write(hashing.packed(v).select("user_id", "code", "weight"), "vectors")
+    users = vectors.select("user_id")
     n = users.count()
-    runs = [("random", 0, blocks.random_groups(users, max(1, int(n / 23.33)), seed)), ("mode_split", 0, mode_split.mode_split(v, users, k, rounds, p, seed).assignments)]
+    runs = [("random", 0, blocks.random_groups(users, max(1, int(n / 23.33)), seed)), ("mode_split", 0, mode_split.mode_split(vectors, users, k, rounds, p, seed).assignments)]
     for family in ("minwise", "sign", "weighted"):
-        longest = shared_write(hashing.signatures(v, family, max(lengths), p, seed), "signature")
+        longest = hashing.ordering_signatures(vectors, family, max(lengths), p, seed, min(32 if family == "sign" else 8, *lengths))
+        longest = shared_write(longest, "signature")
         runs += [(f"sorted_{family}", m, blocks.sorted_blocks(longest.withColumn("sig", F.slice("sig", 1, m)), k)) for m in lengths]
-    return evaluate_all([(F.lit(name).alias("method"), F.lit(m).alias("length"), assign) for name, m, assign in runs], matches)
+    return evaluate_bits([(F.lit(name).alias("method"), F.lit(m).alias("length"), assign) for name, m, assign in runs], camps, vectors, n)
+
+
+def evaluate_bits(runs: list, camps: DataFrame, vectors: DataFrame, users: int, theta: float = 0.5, each: int = 50_000) -> DataFrame:
+    """``evaluate_all`` with the matches of ``camps`` as bits of each user of the packed ``vectors``."""
+    bits, n = campaigns.match_bits(camps, vectors)
+    out = names = None
+    for i, (*keys, assign) in enumerate(runs):
+        a = assign.select(F.lit(i).alias("run"), "user_id", F.col("cohort_id").cast("string").alias("cohort_id"))
+        name = vectors.sparkSession.range(1).select(F.lit(i).alias("run"), *keys)
+        out, names = (a, name) if out is None else (out.unionByName(a), names.unionByName(name))
+    c = campaigns.counts_by_bits(out, bits, n, theta, max(1, -(-users // each)))
+    agg = c.groupBy("run").agg(F.avg(F.col("tp") / F.col("wanted")).alias("micro_recall"), (F.sum("tp") / F.sum("wanted")).alias("macro_recall"), (F.sum("tp") / F.nullif(F.sum("audience"), F.lit(0))).alias("precision"), F.count("*").alias("campaigns"))
+    return agg.join(F.broadcast(names), "run").select(*[x for x in names.columns if x != "run"], "micro_recall", "macro_recall", "precision", "campaigns")
 
 
 def evaluate_all(runs: list, matches: DataFrame, theta: float = 0.5) -> DataFrame:

@@ -11,6 +11,7 @@ from pyspark.sql import functions as F
 from cohort_engine import catalog
 from cohort_engine.functions import randomness
 from cohort_engine.operators import blocks, campaigns, features, hashing, mode_split, neighbours, similarity
+from cohort_engine.plans import workloads
 
 SF = "/root/testdata/sf0.001"
 
@@ -273,6 +274,34 @@ def test_experiments_have_all_rounds_and_lengths(spark, monkeypatch):
     assert seen == [(1000, (50, 75, 100)), (1000, [x / 10 for x in range(5, 16)]), 1000, 1000, 1000]
 
 
+def test_copies_get_keys_once_and_stop(monkeypatch):
+    """Fifty copies beside ten others never split at K = 20; keys of copies were made in all 1000 rounds."""
+    made, of = [], mode_split.Keys.of
+    monkeypatch.setattr(mode_split.Keys, "of", lambda self, s, *a: made.append(len(s.ptr) - 1) or of(self, s, *a))
+    code = np.concatenate([np.tile([1, 2, 3], 50), np.arange(100, 110)])
+    s = hashing.Sparse(code, np.ones(160), np.concatenate([np.arange(0, 150, 3), np.arange(150, 161)]))
+    label, log = mode_split.split_here(s, 0, 1, 1000, 20, mode_split.Keys())
+    assert set(label.tolist()) == {0} and not log and not made
+    code = np.concatenate([np.tile([1, 2, 3], 50), np.tile([7, 8], 50)])
+    s = hashing.Sparse(code, np.ones(250), np.concatenate([np.arange(0, 150, 3), np.arange(150, 251, 2)]))
+    label, log = mode_split.split_here(s, 0, 1, 1000, 20, mode_split.Keys())
+    assert len(log) == 1 and len(set(label.tolist())) == 2 and set(made) == {2}
+
+
+def test_comparison_makes_no_row_of_user_and_campaign(spark, monkeypatch):
+    """Packed documents, their campaigns and recalls by bits are those by rows."""
+    docs, v = spark.read.parquet(f"{SF}/documents.parquet"), features.doc_terms(spark, SF)
+    packed = features.packed_terms(docs, "doc_id", "text").localCheckpoint()
+    assert packed.exceptAll(hashing.packed(v).select("user_id", "code", "weight")).count() == 0 and packed.count() == 200
+    camps, want = workloads.packed_campaigns(docs, packed, "doc_id", "text", 5).localCheckpoint(), workloads.word_campaigns(v, 5)
+    assert camps.exceptAll(want).count() == 0 and camps.count() == want.count() > 0
+    runs = [(F.lit(n).alias("groups"), packed.select("user_id", (F.col("user_id") % n).alias("cohort_id"))) for n in (7, 40)]
+    nine = lambda d: d.select("groups", *[F.round(c, 9) for c in ("micro_recall", "macro_recall", "precision")], "campaigns")
+    rows = nine(workloads.evaluate_all(runs, campaigns.match_users(camps, v))).collect()
+    monkeypatch.setattr(workloads.campaigns, "match_users", lambda *a: pytest.fail("matches as rows"))
+    assert sorted(nine(workloads.evaluate_bits(runs, camps, packed, 200, each=50)).collect()) == sorted(rows)
+
+
 def test_signature_plan_has_one_exchange_and_no_join(spark):
     v = spark.createDataFrame([(1, "a", 1.0)], "user_id long, feature string, weight double")
     plan = hashing.signatures(v, "weighted", 32)._jdf.queryExecution().executedPlan().toString()
