@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import time
+from concurrent.futures import ThreadPoolExecutor
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -98,11 +99,12 @@ def evaluate_all(runs: list, matches: DataFrame, theta: float = 0.5) -> DataFram
     return agg
 
 
-def p_sweep(v: DataFrame, users: DataFrame, camps: DataFrame, grid, k: int = 20, rounds: int = 1000, seed: int = 7) -> DataFrame:
-    """p, micro_recall, macro_recall, ... of consecutive splitting."""
-    v = shared_write(v, "vectors")
-    matches = shared_write(campaigns.match_users(camps, v), "matches")
-    return evaluate_all([(F.lit(float(p)).alias("p"), mode_split.mode_split(v, users, k, rounds, p, seed).assignments) for p in grid], matches)
+def p_sweep(v: DataFrame, users: DataFrame, camps: DataFrame, grid, k: int = 20, rounds: int = 1000, seed: int = 7, together: int = 3) -> DataFrame:
+    """p, micro_recall, macro_recall, ... of consecutive splitting. Vectors are packed once; ``together`` powers run at a time, so that short jobs of one fill the pauses of others."""
+    vectors = shared_write(hashing.packed(v, users).select("user_id", "code", "weight"), "vectors")
+    with ThreadPoolExecutor(together) as pool:
+        runs = list(pool.map(lambda p: (F.lit(float(p)).alias("p"), mode_split.mode_split(vectors, users, k, rounds, p, seed).assignments), grid))
+    return evaluate_bits(runs, camps, vectors, vectors.count())
 
 
 def k_sweep(v: DataFrame, users: DataFrame, sizes=(5, 10, 20, 50), rounds: int = 1000, p: float = 1.2, seed: int = 7) -> DataFrame:

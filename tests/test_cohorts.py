@@ -302,6 +302,17 @@ def test_comparison_makes_no_row_of_user_and_campaign(spark, monkeypatch):
     assert sorted(nine(workloads.evaluate_bits(runs, camps, packed, 200, each=50)).collect()) == sorted(rows)
 
 
+def test_sweep_packs_vectors_once(spark, monkeypatch):
+    """Each power runs on the same packed vectors, with users without features; they were packed and matched by rows for each."""
+    v, u = vectors(spark, [(i, f"n:{i % 2}", 1.0 + i) for i in range(20)] + [(i, f"n:{i % 5}", 2.0) for i in range(15)]), users(spark, 26)
+    v, camps, seen, split = features.clean(v), workloads.basket_campaigns(spark), [], mode_split.mode_split
+    want = workloads.evaluate_all([(F.lit(p).alias("p"), split(v, u, 3, 40, p, 7).assignments) for p in (0.5, 1.2)], campaigns.match_users(camps, v))
+    monkeypatch.setattr(workloads.mode_split, "mode_split", lambda x, *a: seen.append(x.inputFiles()) or split(x, *a))
+    got = workloads.p_sweep(v, u, camps, (0.5, 1.2), 3, 40, 7)
+    nine = lambda d: sorted(map(str, d.select("p", *[F.round(c, 9) for c in ("micro_recall", "macro_recall", "precision")], "campaigns").collect()))
+    assert nine(got) == nine(want) and len(seen) == 2 and seen[0] == seen[1] and seen[0]
+
+
 def test_signature_plan_has_one_exchange_and_no_join(spark):
     v = spark.createDataFrame([(1, "a", 1.0)], "user_id long, feature string, weight double")
     plan = hashing.signatures(v, "weighted", 32)._jdf.queryExecution().executedPlan().toString()
