@@ -243,6 +243,37 @@ def test_forest_joins_what_all_links_join(spark):
     assert similarity.near_forest(many, 20_001, 0.5).select("b").distinct().count() >= 20_001 - 7 * 2
 
 
+def test_density_counts_every_neighbour(spark):
+    """Cores by their number of links, with common and rare features, sums of several sizes, copies and a feature twice."""
+    e = features.split_signs(spark.read.parquet(f"{SF}/embeddings.parquet").where("vec_id < 90"), "vec_id", "embedding")
+    rows = [(i, x, w * 1.15 ** (i % 17)) for i in range(60) for x, w in (("all", 1.0), (f"c{i % 3}", 2.0), (f"r{i % 13}", 1.5), (f"o{i // 2}", 0.7))]
+    twice = vectors(spark, [*rows, (7, "all", 2.0), (8, "c2", 0.5), (8, "c2", 0.25)])
+    for v, threshold in ((e, 0.24), (vectors(spark, rows), 0.25), (twice, 0.25)):
+        u = v.select("user_id").distinct()
+        x, n, t = hashing.packed(v).localCheckpoint(), u.count(), v.groupBy("user_id").agg(F.sum("weight").alias("t")).localCheckpoint()
+        m = v.toDF("a", "feature", "x").join(v.toDF("b", "feature", "y"), "feature").where("a <> b").groupBy("a", "b").agg(F.sum(F.least("x", "y")).alias("m"))
+        m = m.join(t.toDF("a", "s"), "a").join(t.toDF("b", "t"), "b").selectExpr("a", "b", "m / (s + t - m) as similarity").where(F.col("similarity") >= threshold).localCheckpoint()
+        counts = similarity.neighbour_counts(x, n, threshold, each=20).localCheckpoint()
+        want = {r["a"]: r["count"] for r in m.groupBy("a").count().collect()}
+        assert {r["user_id"]: r["neighbours"] for r in counts.collect()} == want and len(set(want.values())) > 2
+        least = sorted(want.values())[len(want) // 2] + 1
+        core = counts.where(F.col("neighbours") >= least - 1).select("user_id", F.lit(True).alias("core"))
+        flagged = x.join(core, "user_id", "left").withColumn("core", F.coalesce("core", F.lit(False)))
+        got = blocks.density_cohorts(similarity.near_forest(flagged, n, threshold, each=20), u, threshold, least, counts).localCheckpoint()
+        assert got.exceptAll(blocks.density_cohorts(m, u, threshold, least)).count() == 0 and got.count() == n
+
+
+def test_density_query_is_not_one_cluster_of_cores(spark):
+    """Clusters, borders and noise are left by its threshold and its number of points, and the number of points matters."""
+    c = catalog.queries()["density_cohorts"](spark, SF).localCheckpoint()
+    v = features.split_signs(spark.read.parquet(f"{SF}/embeddings.parquet"), "vec_id", "embedding")
+    pairs = similarity.similarity_join(v, catalog.NEAR).localCheckpoint()
+    u = v.select("user_id").distinct()
+    assert c.exceptAll(blocks.density_cohorts(pairs, u, catalog.NEAR, catalog.NEAR_POINTS)).count() == 0 and c.count() == u.count()
+    assert c.where("cohort_id <> 'noise'").select("cohort_id").distinct().count() > 1 and c.where("cohort_id = 'noise'").count() > 0
+    assert blocks.density_cohorts(pairs, u, catalog.NEAR, 2).exceptAll(c).count() > 0
+
+
 def test_agglomeration_in_batches_is_that_by_single_merges():
     m = np.abs(np.random.default_rng(1).normal(size=(300, 16)))
     m /= np.linalg.norm(m, axis=1, keepdims=True)
